@@ -40,3 +40,14 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     data = filled.buffers()[2]
     whole = np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
     return whole[offsets[0] : offsets[-1]], offsets - offsets[0]
+
+
+def learning_rows(rows: DataFrame, max_rows: int, max_bytes: int, seed: str) -> list:
+    """A sample of labelled rows for learning, on the driver: about max_rows of them (twice as many at most),
+    chosen by a hash of doc_id, no text over max_bytes. Column text must be there; rows come ordered by id."""
+    many = rows.count()
+    share = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(seed)), F.lit(1 << 40)) / float(1 << 40)
+    some = rows.filter(F.octet_length("text") <= max_bytes)
+    if many > max_rows:
+        some = some.filter(share < max_rows / many)
+    return sorted(some.limit(2 * max_rows).collect(), key=lambda r: (r["doc_id"], r["text"]))

@@ -2,8 +2,8 @@
 
 from pyspark.sql import functions as F
 
-from twinsift.llm import bpe, chat, license_scan, mixing, sharding, telephony
-from twinsift.llm.common import table
+from twinsift.llm import bpe, chat, language_id, license_scan, mixing, quality_cnn, sharding, telephony
+from twinsift.llm.common import id_remainder, table
 
 TOKENIZER = "byte_bpe_50k.json"
 
@@ -14,6 +14,11 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_language_id(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return language_id.predict_language(docs, language_id.fit_profiles(docs))
+
+
 def op2_license_scan(spark, sf_dir):
     found = license_scan.scan_licenses(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
@@ -24,6 +29,13 @@ def op3_sharding(spark, sf_dir):
     return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op4_quality(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    scored = quality_cnn.score_quality(docs, quality_cnn.fit_quality(docs, table(spark, sf_dir, "labels")))
+    held, good = F.coalesce(id_remainder(4) == 2, F.lit(False)), F.col("score") >= quality_cnn.THRESHOLD
+    return scored.select("doc_id", held.alias("held_out"), "score", good.cast("int").alias("predicted"))
+
+
 def op5_bpe(spark, sf_dir):
     coded = bpe.encode_texts(table(spark, sf_dir, "documents"), tokenizer_path(), keep=False)
     return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
@@ -46,5 +58,5 @@ def op10_mixing(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES = {f.__name__: f for f in (op2_license_scan, op3_sharding, op5_bpe, op6_chat_format, op9_telephony, op10_mixing)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_license_scan, op3_sharding, op4_quality, op5_bpe, op6_chat_format, op9_telephony, op10_mixing)}
 ORACLES = {"op2_license_scan": license_scan.ORACLE, "op10_mixing": mixing.ORACLE}
