@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from twinsift.llm import bpe, chat, embedding_dedup, language_id, license_scan, mixing, quality_cnn, sharding, telephony
+from twinsift.llm import bpe, chat, embedding_dedup, language_id, license_scan, mixing, ngram_join, quality_cnn, sharding, telephony
 from twinsift.llm.common import id_remainder, table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -49,6 +49,10 @@ def op6_chat_format(spark, sf_dir):
     return done.select("conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars", "rewrites")
 
 
+def op7_ngram_join(spark, sf_dir):
+    return ngram_join.jaccard_components(table(spark, sf_dir, "documents"))
+
+
 def op8_embedding_dedup(spark, sf_dir):
     return embedding_dedup.near_duplicates(table(spark, sf_dir, "embeddings"))
 
@@ -62,5 +66,5 @@ def op10_mixing(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_license_scan, op3_sharding, op4_quality, op5_bpe, op6_chat_format, op8_embedding_dedup, op9_telephony, op10_mixing)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_license_scan, op3_sharding, op4_quality, op5_bpe, op6_chat_format, op7_ngram_join, op8_embedding_dedup, op9_telephony, op10_mixing)}
 ORACLES = {"op2_license_scan": license_scan.ORACLE, "op10_mixing": mixing.ORACLE}
