@@ -188,8 +188,8 @@ def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
 _OUT = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32())), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded", pa.string()), ("decoded_sha256", pa.string())])
 
 
-def encode_texts(docs: DataFrame, tokenizer_path: str, keep: bool = True) -> DataFrame:
-    """Token ids of each text and the text decoded from them; keep=False returns their digests only.
+def encode_texts(docs: DataFrame, tokenizer_path: str, keep: bool = True, keep_ids: bool = True) -> DataFrame:
+    """Token ids of each text and the text decoded from them, with digests of both; keep=False leaves the decoded text out, keep_ids=False the ids.
 
     The vocabulary file (a few MB, fixed) is read once on the driver and travels with the tasks."""
     spark = docs.sparkSession
@@ -212,7 +212,7 @@ def encode_texts(docs: DataFrame, tokenizer_path: str, keep: bool = True) -> Dat
                 if not keep:
                     texts_back[k:] = [hashlib.sha256(x).hexdigest() for x in texts_back[k:]]
             sums = [hashlib.sha256(x).hexdigest() for x in texts_back] if keep else texts_back
-            lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(ids, pa.int32())) if keep else pa.nulls(len(texts), pa.list_(pa.int32()))
+            lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(ids, pa.int32())) if keep_ids else pa.nulls(len(texts), pa.list_(pa.int32()))
             back = pa.array([x.decode() for x in texts_back] if keep else [None] * len(texts), pa.string())
             yield pa.RecordBatch.from_arrays([piece.column(0), lists, pa.array(n, pa.int64()), pa.array(id_sums, pa.string()), back, pa.array(sums, pa.string())], schema=_OUT)
 

@@ -129,15 +129,18 @@ def fit_profiles(docs: DataFrame) -> Profiles:
     return model
 
 
-def predict_language(docs: DataFrame, model: Profiles) -> DataFrame:
-    """doc_id, held_out, lang_pred and score of every whole text."""
+def predict_language(docs: DataFrame, model: Profiles, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The columns in keep, and held_out, lang_pred and score of every whole text."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         model = sent.value
         for piece in slices(batches, 2 << 20):
             names, scores = model.predict([t or "" for t in piece.column(1).to_pylist()])
-            yield pa.RecordBatch.from_arrays([piece.column(0), piece.column(2), pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
+            found = [piece.column(0), pa.array(names, pa.string()), pa.array(scores, pa.float64())]
+            yield pa.RecordBatch.from_arrays([*(piece.column(2 + k) for k in range(len(keep))), *found], names=[*keep, "held_out", "lang_pred", "score"])
 
     held = F.coalesce(id_remainder(3) == 1, F.lit(False))
-    return docs.select(docs["doc_id"].cast("long"), docs["text"], held.alias("held_out")).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    rows = docs.select(held.alias("_held"), docs["text"].alias("_text"), *(docs[c] for c in keep))
+    schema = rows.drop("_held", "_text").schema.add("held_out", "boolean").add("lang_pred", "string").add("score", "double")
+    return rows.mapInArrow(run, schema)

@@ -158,8 +158,8 @@ def fit_quality(docs: DataFrame, labels: DataFrame) -> ByteCnn:
     return ByteCnn().fit([r["text"].encode() for r in got], [int(r["quality"]) for r in got])
 
 
-def score_quality(docs: DataFrame, model: ByteCnn) -> DataFrame:
-    """doc_id and score of every whole text."""
+def score_quality(docs: DataFrame, model: ByteCnn, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The columns in keep, and the score of every whole text."""
     spark = docs.sparkSession
     sent = spark.sparkContext.broadcast((model.params, model.constant))
 
@@ -171,6 +171,7 @@ def score_quality(docs: DataFrame, model: ByteCnn) -> DataFrame:
             data, offsets = text_bytes(piece.column(1))
             at = offsets.tolist()
             scores = [net.score(data[a:b]) for a, b in zip(at, at[1:], strict=False)]
-            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(scores, pa.float64())], names=["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([*(piece.column(2 + k) for k in range(len(keep))), pa.array(scores, pa.float64())], names=[*keep, "score"])
 
-    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, score double")
+    rows = docs.select(F.lit(0).alias("_"), docs["text"].alias("_text"), *(docs[c] for c in keep))
+    return rows.mapInArrow(run, rows.drop("_", "_text").schema.add("score", "double"))

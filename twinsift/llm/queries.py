@@ -37,7 +37,7 @@ def op4_quality(spark, sf_dir):
 
 
 def op5_bpe(spark, sf_dir):
-    coded = bpe.encode_texts(table(spark, sf_dir, "documents"), tokenizer_path(), keep=False)
+    coded = bpe.encode_texts(table(spark, sf_dir, "documents"), tokenizer_path(), keep=False, keep_ids=False)
     return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
 
 
