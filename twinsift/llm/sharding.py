@@ -49,7 +49,8 @@ def propagate(cells: DataFrame, quotas: list[int], rounds: int = ROUNDS) -> tupl
     cells = cut(cells)
     for turn in range(rounds):
         held = {r["shard"]: r["n"] for r in cells.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
-        room = spark.createDataFrame([(s, max(0, q - held.get(s, 0))) for s, q in enumerate(quotas)], "shard int, room long")
+        # a shard with a 32nd of its quota left counts as full, else a few last places would hold up the rest of a large group
+        room = spark.createDataFrame([(s, max(0, q - q // 32 - held.get(s, 0))) for s, q in enumerate(quotas)], "shard int, room long")
         here = cells.groupBy("group", "shard").agg(F.sum("n").alias("near")).join(F.broadcast(room), "shard")
         rank = F.when(F.col("room") > 0, F.struct("near", F.xxhash64("group", "shard").alias("tie"), F.col("shard").alias("to")))
         best = here.groupBy("group").agg(F.max(rank).alias("best")).filter("best is not null").select("group", "best.*")
