@@ -59,7 +59,7 @@ def source_targets(sized: DataFrame) -> DataFrame:
     by = by.withColumn("level", (F.sum("source_size").over(everything) - F.coalesce(F.sum("cap").over(before), F.lit(0))).cast("double") / F.sum("weight").over(left))
     by = by.withColumn("level", F.max("level").over(everything))
     target = F.least(F.col("cap").cast("double"), F.col("level") * F.col("weight"))
-    return by.select("source", "source_size", (F.col("source_size") / F.col("filled")).alias("mean_size"), target.alias("target"))
+    return by.select("source", "source_size", F.try_divide("source_size", "filled").alias("mean_size"), target.alias("target"))
 
 
 def mix(docs: DataFrame, seed: str = SEED) -> DataFrame:
@@ -70,16 +70,16 @@ def mix(docs: DataFrame, seed: str = SEED) -> DataFrame:
     near = (lambda df: F.broadcast(df)) if small else (lambda df: df)
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0)
     sources = sources.withColumn("whole", whole).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size"))
-    sources = sources.withColumn("share", F.col("rest") / F.col("source_size"))
+    sources = sources.withColumn("share", F.try_divide("rest", "source_size"))
 
     def beside(left: DataFrame, right: DataFrame) -> DataFrame:
         right = right.withColumnRenamed("source", "of_source")
         return left.join(near(right), F.col("source").eqNullSafe(F.col("of_source")), "left").drop("of_source")
 
     u = uniform(F.col("doc_id"), seed)
-    tilted = F.sqrt(F.col("size") / F.col("mean_size"))  # the power TILT is one half
+    tilted = F.sqrt(F.try_divide("size", "mean_size"))  # the power TILT is one half
     rows = beside(sized, sources).withColumn("odds", F.when(F.col("size") > 0, u / (1 - u) / tilted))
-    rows = rows.withColumn("rank_value", F.col("odds") / (F.col("share") / (1 - F.col("share"))))
+    rows = rows.withColumn("rank_value", F.try_divide(F.col("odds") * (1 - F.col("share")), "share"))
     n = max(16, sized.count() // ROWS_PER_INTERVAL + 1)
     rows = rows.withColumn("interval", F.floor(F.col("odds") / (1 + F.col("odds")) * n).cast("long"))
 
