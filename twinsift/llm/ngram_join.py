@@ -43,6 +43,7 @@ by_value(__name__)
 SHINGLE = 4
 NUMER, DENOM = 85, 100  # the threshold as a fraction
 BAND_RATIO = 1.4
+COMMON = 0.1  # share of shingles that two unrelated sets are taken to have in common, for the cost estimate only
 BITS = 1024
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
@@ -130,7 +131,7 @@ def band_edges(limit: int = 1 << 31) -> np.ndarray:
 EDGES = band_edges()
 
 
-def plan_band(band: int, sets: int, common: float = 0.3) -> tuple[int, int, int]:
+def plan_band(band: int, sets: int, common: float = COMMON) -> tuple[int, int, int]:
     """Segments indexed exactly, segments with one-deletion neighbourhoods, and S.
 
     Of two unrelated sets a share `common` of shingles is taken to be the same. The cost counts index rows and
@@ -149,6 +150,7 @@ def plan_band(band: int, sets: int, common: float = 0.3) -> tuple[int, int, int]
             each = mean / m
             blank = one * math.exp(-low / m) + 2 * two * math.exp(-low / m) * (1 + low / m)
             room = 1 + math.ceil(blank + 2 * math.sqrt(blank)) if h else 1
+        room = one + 2 * two - h  # S, as it is with these segments
         rows = one + two * (1 + each)
         meets = sets * (one * common**each + two * each * common ** max(0.0, each - 1))
         cost = rows + 0.2 * min(meets, 1e12)
