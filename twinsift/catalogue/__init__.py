@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("lexical",)
+MODULES = ("lexical", "vector")
 
 
 def everything() -> tuple[dict, dict]:

@@ -86,7 +86,7 @@ def agglomerative(vectors: DataFrame, linkage: str = "average", cut: float = 0.3
     size = parts.groupBy("cluster").agg(F.count("*").alias("n"))
     rows = rows.join(size, "cluster")
 
-    def run(key, part: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
         if len(part) > MAX_COMPONENT:
             raise ValueError(f"component {key[0]} has {len(part)} members; cut lower")
         part = part.sort_values("id")

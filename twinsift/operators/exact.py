@@ -58,8 +58,8 @@ def passage_hits(df: DataFrame, passages: DataFrame) -> DataFrame:
     sizes = [r["k"] for r in known.select("k").distinct().collect()]  # at most `lead` numbers
     found = None
     for k in sizes:
-        starts = F.when(F.size("w") >= k, F.sequence(F.lit(1), F.size("w") - k + 1))
-        rows = w.select("doc_id", "w", F.explode(F.transform(starts, lambda s, k=k: F.struct(s.alias("at"), F.xxhash64(F.array_join(F.slice("w", s, k), " ")).alias("key")))).alias("x")).select("doc_id", "w", "x.at", "x.key")
+        rows = w.filter(F.size("w") >= k).select("doc_id", "w", F.posexplode(F.sequence(F.lit(1), F.size("w") - k + 1)).alias("_", "at"))
+        rows = rows.withColumn("key", F.xxhash64(F.array_join(F.slice("w", F.col("at"), F.lit(k)), " ")))
         hit = rows.join(known.filter(F.col("k") == k), "key").filter(F.expr("slice(w, at, size(p))") == F.col("p")).select("doc_id", "item_id")
         found = hit if found is None else found.union(hit)
     if found is None:

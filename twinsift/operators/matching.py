@@ -38,7 +38,7 @@ def knn(queries: DataFrame, targets: DataFrame, k: int = 1, q: tuple[str, str] =
     qs = qs.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(nt - 1)))).select(F.col("block").alias("i"), F.col("other").alias("j"), F.lit(0).alias("side"), "id", "v")
     ts = ts.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(nq - 1)))).select(F.col("other").alias("i"), F.col("block").alias("j"), F.lit(1).alias("side"), "id", "v")
 
-    def best(_, rows: pd.DataFrame) -> pd.DataFrame:
+    def best(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         a, b = rows[rows["side"] == 0], rows[rows["side"] == 1].sort_values("id")
         if not len(a) or not len(b):
             return pd.DataFrame({"query_id": [], "target_id": [], "score": []})
@@ -64,7 +64,7 @@ def pairs(vectors: DataFrame, threshold: float, id_col: str = "vec_id", vector:
     dealt = base.withColumn("b", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
     tiles = dealt.select(F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"), "b", "id", "v", "_g")
 
-    def join(key, rows: pd.DataFrame) -> pd.DataFrame:
+    def join(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         left, right = rows[rows["b"] == key[0]], rows[rows["b"] == key[1]]
         if not len(left) or not len(right):
             return pd.DataFrame({"a": [], "b": [], "score": []})
