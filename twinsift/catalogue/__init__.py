@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("lexical", "vector")
+MODULES = ("lexical", "vector", "relational", "corruption")
 
 
 def everything() -> tuple[dict, dict]:
