@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("lexical", "vector", "relational", "corruption")
+MODULES = ("lexical", "vector", "relational", "corruption", "streams")
 
 
 def everything() -> tuple[dict, dict]:

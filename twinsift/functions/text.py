@@ -35,9 +35,9 @@ def char_shingles(text: Column, n: int) -> Column:
 
 
 def chunk_array(text: Column, size: int, stride: int | None = None) -> Column:
-    """Slices of size code points; an empty text has one empty slice."""
+    """Slices of size code points; an empty text has one empty slice, null has null."""
     starts = F.sequence(F.lit(0), F.greatest(F.length(text) - 1, F.lit(0)), F.lit(stride or size))
-    return F.transform(starts, lambda s: F.struct(s.alias("start"), F.substring(text, s + 1, F.lit(size)).alias("chunk")))
+    return F.when(text.isNotNull(), F.transform(starts, lambda s: F.struct(s.alias("start"), F.substring(text, s + 1, F.lit(size)).alias("chunk"))))
 
 
 def code_points(text: Column) -> Column:

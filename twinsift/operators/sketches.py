@@ -153,8 +153,8 @@ def simhash(grams: Column) -> Column:
     def half(part: int) -> Column:
         number = lambda g: F.conv(F.substring(F.md5(g.cast("binary")), 1 + 8 * part, 8), 16, 10).cast("long")
         numbers = F.transform(grams, number)
-        vote = lambda b: F.aggregate(numbers, F.lit(0), lambda s, h: s + F.shiftright(h, b).bitwiseAND(F.lit(1)).cast("int") * 2 - 1)
-        bits = F.transform(F.sequence(F.lit(0), F.lit(SIM_HALF - 1)), lambda b: F.when(vote(b) > 0, F.shiftleft(F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long")))
+        vote = lambda b: F.aggregate(numbers, F.lit(0), lambda s, h: s + F.getbit(h, b).cast("int") * 2 - 1)
+        bits = F.transform(F.sequence(F.lit(0), F.lit(SIM_HALF - 1)), lambda b: F.when(vote(b) > 0, F.call_function("shiftleft", F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long")))
         return F.aggregate(bits, F.lit(0).cast("long"), lambda s, v: s.bitwiseOR(v))
 
     return F.when(F.size(grams) > 0, F.shiftleft(half(0), SIM_HALF).bitwiseOR(half(1)))
