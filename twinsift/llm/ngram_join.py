@@ -12,10 +12,11 @@ indexed unless a set has so many of them that they use up S; such sets index the
 their own, where only their like meets them. So no pair is lost and nothing is capped.
 
 A set writes index rows under the parameters of its own band and of the next lower one.
-Rows that share a key are candidates. They are compared in two rounds, so that
+Rows that share a key are candidates. They are compared in three rounds, so that
 a large group of copies never becomes all its pairs: first each member with the
-smallest of its bucket; what the verified links connect is one part; then, only in buckets
-where several parts meet, members of different parts. Before
+smallest of its bucket; what the verified links connect is one part. Then, in buckets
+where several parts meet, the nearest pairs that would join them (a spanning forest, fewer than parts).
+Last, in buckets where parts are still apart, all their pairs that have not been compared yet. Before
 exact verification a parity sketch (BITS bits, one flipped for each shingle) gives a lower bound of the
 difference, so it drops pairs but never a link.
 
@@ -47,6 +48,7 @@ COMMON = 0.1  # share of shingles that two unrelated sets are taken to have in c
 BITS = 1024
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
+RUN = 1 << 18  # bytes of text whose hashes are computed at a time
 _BASE = 0x9E3779B97F4A7C15 | 1
 
 
@@ -82,7 +84,6 @@ class Shingler:
     def words(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Hash of each word, and the number of words before each text."""
         n = len(data)
-        self._powers(n + 1)
         solid = ~self.space[data]
         first, last = solid.copy(), solid.copy()
         first[1:] &= ~solid[:-1]
@@ -92,8 +93,16 @@ class Shingler:
         first[edges] = solid[edges]
         last[edges - 1] = solid[edges - 1]
         starts, ends = np.flatnonzero(first), np.flatnonzero(last)
-        total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(self.value[data] * self.up[:n], dtype=np.uint64)])
-        hashes = mix64((total[ends + 1] - total[starts]) * self.down[starts] + (ends - starts).astype(np.uint64))
+        hashes = np.empty(len(starts), np.uint64)
+        i = 0
+        while i < len(starts):  # runs of words of bounded length in bytes; a longer word comes alone
+            j = max(i + 1, int(np.searchsorted(ends, starts[i] + RUN)))
+            part = data[starts[i] : ends[j - 1] + 1]
+            self._powers(len(part) + 1)
+            total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(self.value[part] * self.up[: len(part)], dtype=np.uint64)])
+            a, z = starts[i:j] - starts[i], ends[i:j] + 1 - starts[i]
+            hashes[i:j] = mix64((total[z] - total[a]) * self.down[a] + (z - a).astype(np.uint64))
+            i = j
         return hashes, np.searchsorted(starts, offsets)
 
     def shingle_sets(self, data: np.ndarray, offsets: np.ndarray):
@@ -198,7 +207,7 @@ def describe(docs: DataFrame) -> DataFrame:
 
     def run(batches):
         shingler = Shingler()
-        for piece in slices(batches, 4 << 20):
+        for piece in slices(batches, 2 << 20):
             n, number, sketch = [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
                 n.append(len(values))
@@ -214,7 +223,7 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]]) -> DataFrame:
 
     def run(batches):
         shingler, seen = Shingler(), set()
-        for piece in slices(batches, 4 << 20):
+        for piece in slices(batches, 2 << 20):
             keys, numbers, sizes, lens = [], [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
                 if not len(values) or (number := number_of(values)) in seen:
@@ -245,7 +254,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
     def run(batches):
         shingler = Shingler()
-        for piece in slices(batches, 4 << 20):
+        for piece in slices(batches, 2 << 20):
             found = [(number_of(v), v.tobytes()) for v in shingler.shingle_sets(*text_bytes(piece.column(1))) if len(v)]
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in found], pa.int64()), pa.array([x[1] for x in found], pa.binary())], names=["number", "set"])
 
@@ -270,14 +279,16 @@ def verify(pairs: DataFrame, sets: DataFrame, numer: int = NUMER, denom: int = D
     return full.select("x", "y", "set_x", "set_y").mapInArrow(run, "x long, y long")
 
 
-def _across(table: pa.Table, bits_apart: int, bits_sum: int) -> tuple[np.ndarray, np.ndarray]:
-    """In one bucket (or tile of one): pairs of different parts whose sketches and sizes allow a link."""
+def _across(table: pa.Table, bits_apart: int, bits_sum: int, forest: bool) -> tuple[np.ndarray, np.ndarray]:
+    """In one bucket (or tile of one): pairs of different parts whose sketches and sizes allow a link.
+
+    forest: only as many as connect all parts that such pairs connect, the nearest first."""
     number, part, n, side = (table[c].to_numpy() for c in ("number", "part", "n", "block"))
     words = np.frombuffer(b"".join(table["sketch"].to_pylist()), np.uint64).reshape(len(number), -1)
     i, j = table["i"][0].as_py(), table["j"][0].as_py()
     left = np.flatnonzero(side == i)
     right = np.flatnonzero(side == j)
-    xs, ys = [], []
+    xs, ys, far = [], [], []
     step = max(1, (1 << 21) // max(1, len(right) * words.shape[1]))
     for k in range(0, len(left), step):
         a = left[k : k + step]
@@ -287,14 +298,34 @@ def _across(table: pa.Table, bits_apart: int, bits_sum: int) -> tuple[np.ndarray
         apart = np.bitwise_count(words[a][:, None, :] ^ words[right][None, :, :]).sum(2, dtype=np.int64)
         total = n[a][:, None] + n[right][None]
         p, q = np.nonzero(ok & (apart * bits_sum <= total * bits_apart))
-        xs.append(number[a[p]])
-        ys.append(number[right[q]])
+        xs.append(a[p])
+        ys.append(right[q])
+        far.append(apart[p, q] / total[p, q])
     none = np.zeros(0, np.int64)
-    x, y = (np.concatenate(v) if v else none for v in (xs, ys))
+    x, y, d = (np.concatenate(v) if v else none for v in (xs, ys, far))
+    if forest and len(x) > 1:
+        order = np.argsort(d, kind="stable")
+        x, y = x[order], y[order]
+        root: dict[int, int] = {}
+
+        def top(v):
+            while (u := root.get(v, v)) != v:
+                root[v] = root.get(u, u)
+                v = u
+            return v
+
+        used = []
+        for k, (u, v) in enumerate(zip(part[x].tolist(), part[y].tolist(), strict=True)):
+            u, v = top(u), top(v)
+            if u != v:
+                root[max(u, v)] = min(u, v)
+                used.append(k)
+        x, y = x[used], y[used]
+    x, y = number[x], number[y]
     return np.minimum(x, y), np.maximum(x, y)
 
 
-def pairs_across(rows: DataFrame, sketches: DataFrame) -> DataFrame:
+def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool) -> DataFrame:
     """(x, y) of different parts in one bucket; rows (key, number, n, part). Large buckets go as tiles of blocks, each a group of its own."""
     size = rows.groupBy("key").agg(F.ceil(F.count("*") / BUCKET).cast("int").alias("blocks"), F.min("part").alias("p"), F.max("part").alias("q")).filter("p <> q").select("key", "blocks")
     rows = rows.join(size, "key").withColumn("block", F.pmod(F.xxhash64("number"), F.col("blocks")).cast("int"))
@@ -310,11 +341,11 @@ def pairs_across(rows: DataFrame, sketches: DataFrame) -> DataFrame:
             key, i, j = (table[c].to_numpy() for c in ("key", "i", "j"))
             cuts = np.flatnonzero((np.diff(key) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
             edges = [0, *cuts.tolist()]
-            done = [_across(table.slice(a, b - a), DENOM - NUMER, DENOM + NUMER) for a, b in zip(edges, edges[1:], strict=False)]
+            done = [_across(table.slice(a, b - a), DENOM - NUMER, DENOM + NUMER, forest) for a, b in zip(edges, edges[1:], strict=False)]
             kept = table.slice(edges[-1])
             yield from out(done)
         if kept is not None and kept.num_rows:
-            yield from out([_across(kept, DENOM - NUMER, DENOM + NUMER)])
+            yield from out([_across(kept, DENOM - NUMER, DENOM + NUMER, forest)])
 
     def out(done):
         if any(len(x) for x, _ in done):
@@ -340,16 +371,17 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
 
     sketches = sets.select("number", "n", "sketch")
     star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).distinct()
-    star = _near(star, sketches)
-    links, tested = _links(docs, star, sets)
-    parts = components(links.select(F.col("x").alias("a"), F.col("y").alias("b")))
-    labelled = rows.join(parts.select(F.col("id").alias("number"), F.col("component").alias("part")), "number", "left").withColumn("part", F.coalesce("part", "number"))
-    mixed = labelled.select("key", "number", "n", "part").distinct()
-    more = cut(pairs_across(mixed, sketches.select("number", "sketch")).join(tested, ["x", "y"], "left_anti"))
-    found, _ = _links(docs, more, sets)
+    tested = _near(star, sketches)
+    links = _links(docs, tested, sets)
+    for forest in (True, False):
+        parts = components(links.select(F.col("x").alias("a"), F.col("y").alias("b")))
+        labelled = rows.join(parts.select(F.col("id").alias("number"), F.col("component").alias("part")), "number", "left").withColumn("part", F.coalesce("part", "number"))
+        mixed = labelled.select("key", "number", "n", "part").distinct()
+        more = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest).join(tested, ["x", "y"], "left_anti"))
+        links, tested = links.union(_links(docs, more, sets)), tested.union(more)
 
     node = sets.select("number", "n", "node")
-    edges = links.union(found)
+    edges = links
     nodes = node.select("number", "node")
     edges = edges.join(nodes.select(F.col("number").alias("x"), F.col("node").alias("a")), "x").join(nodes.select(F.col("number").alias("y"), F.col("node").alias("b")), "y")
     parts = components(edges.select("a", "b"))
@@ -376,8 +408,8 @@ def _near(pairs: DataFrame, sketches: DataFrame) -> DataFrame:
     return cut(both.select("x", "y", "nx", "ny", "sx", "sy").mapInArrow(run, "x long, y long"))
 
 
-def _links(docs: DataFrame, pairs: DataFrame, sets: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Verified links of the pairs, and the pairs themselves."""
+def _links(docs: DataFrame, pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs that are links."""
     numbers = pairs.select(F.explode(F.array("x", "y")).alias("number")).distinct()
     wanted = cut(sets.join(numbers, "number").select(F.col("node").alias("doc_id")))
-    return cut(verify(pairs, sets_of(docs, wanted))), pairs
+    return cut(verify(pairs, sets_of(docs, wanted)))
