@@ -42,6 +42,17 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return whole[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
+def text_first(docs: DataFrame, first: Column, keep: tuple[str, ...]) -> DataFrame:
+    """A value, the text, and the other columns in keep: a text that is kept goes to Python once."""
+    return docs.select(first.alias("_first"), docs["text"].alias("_text"), *(docs[c] for c in keep if c != "text"))
+
+
+def kept_columns(piece: pa.RecordBatch, keep: tuple[str, ...]) -> list[pa.Array]:
+    """The columns in keep of a batch of text_first."""
+    rest = iter(range(2, piece.num_columns))
+    return [piece.column(1) if c == "text" else piece.column(next(rest)) for c in keep]
+
+
 def learning_rows(rows: DataFrame, max_rows: int, max_bytes: int, seed: str) -> list:
     """A sample of labelled rows for learning, on the driver: about max_rows of them (twice as many at most),
     chosen by a hash of doc_id, no text over max_bytes. Column text must be there; rows come ordered by id."""

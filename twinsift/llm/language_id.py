@@ -26,13 +26,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import id_remainder, learning_rows, slices
+from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, text_first
 
 by_value(__name__)
 
 DIMENSIONS, LETTERS, SPARE = 1024, 80, 12
 FIT_ROWS, FIT_BYTES = 4000, 65_536
-MAX_CELLS = 4 << 20
+MAX_CELLS = 1 << 20
+BLOCK = 4096  # trigrams whose vectors are in memory at a time
 UNKNOWN = "und"
 
 
@@ -87,10 +88,10 @@ class Profiles:
         column = np.zeros(self.size**3, np.int32)
         column[distinct] = np.arange(len(distinct))
         col = column[codes]
-        for a in range(0, len(distinct), 16_384):  # blocks of trigrams, and of texts, bound the memory
-            vectors = self.vectors(distinct[a : a + 16_384])
+        for a in range(0, len(distinct), BLOCK):  # blocks of trigrams, and of texts, bound the memory
+            vectors = self.vectors(distinct[a : a + BLOCK])
             width = len(vectors)
-            mine = (col >= a) & (col < a + width) if len(distinct) > 16_384 else slice(None)
+            mine = (col >= a) & (col < a + width) if len(distinct) > BLOCK else slice(None)
             c, o = col[mine] - a, owner[mine]
             rows = max(1, MAX_CELLS // width)
             for r in range(0, len(texts), rows):
@@ -138,9 +139,8 @@ def predict_language(docs: DataFrame, model: Profiles, keep: tuple[str, ...] = (
         for piece in slices(batches, 2 << 20):
             names, scores = model.predict([t or "" for t in piece.column(1).to_pylist()])
             found = [piece.column(0), pa.array(names, pa.string()), pa.array(scores, pa.float64())]
-            yield pa.RecordBatch.from_arrays([*(piece.column(2 + k) for k in range(len(keep))), *found], names=[*keep, "held_out", "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*kept_columns(piece, keep), *found], names=[*keep, "held_out", "lang_pred", "score"])
 
     held = F.coalesce(id_remainder(3) == 1, F.lit(False))
-    rows = docs.select(held.alias("_held"), docs["text"].alias("_text"), *(docs[c] for c in keep))
-    schema = rows.drop("_held", "_text").schema.add("held_out", "boolean").add("lang_pred", "string").add("score", "double")
-    return rows.mapInArrow(run, schema)
+    schema = docs.select(*keep).schema.add("held_out", "boolean").add("lang_pred", "string").add("score", "double")
+    return text_first(docs, held, keep).mapInArrow(run, schema)

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import id_remainder, learning_rows, slices, text_bytes
+from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, text_bytes, text_first
 
 by_value(__name__)
 
@@ -171,7 +171,7 @@ def score_quality(docs: DataFrame, model: ByteCnn, keep: tuple[str, ...] = ("doc
             data, offsets = text_bytes(piece.column(1))
             at = offsets.tolist()
             scores = [net.score(data[a:b]) for a, b in zip(at, at[1:], strict=False)]
-            yield pa.RecordBatch.from_arrays([*(piece.column(2 + k) for k in range(len(keep))), pa.array(scores, pa.float64())], names=[*keep, "score"])
+            yield pa.RecordBatch.from_arrays([*kept_columns(piece, keep), pa.array(scores, pa.float64())], names=[*keep, "score"])
 
-    rows = docs.select(F.lit(0).alias("_"), docs["text"].alias("_text"), *(docs[c] for c in keep))
-    return rows.mapInArrow(run, rows.drop("_", "_text").schema.add("score", "double"))
+    rows = text_first(docs, F.lit(0), keep)
+    return rows.mapInArrow(run, docs.select(*keep).schema.add("score", "double"))
