@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("lexical", "vector", "relational", "corruption", "streams")
+MODULES = ("lexical", "vector", "relational", "corruption", "streams", "experiments")
 
 
 def everything() -> tuple[dict, dict]:
