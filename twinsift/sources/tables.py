@@ -37,12 +37,14 @@ def read_corpus(spark: SparkSession, path: str, form: str) -> tuple[DataFrame, D
     if form == "text":
         lines = spark.read.text(path)
         return lines.select(F.xxhash64("value").alias("doc_id"), F.col("value").alias("text")), None
-    if form in ("json", "csv"):
-        reader = spark.read.schema(schema + ", bad string").option("columnNameOfCorruptRecord", "bad").option("mode", "PERMISSIVE")
-        if form == "csv":
-            reader = reader.option("header", True).option("multiLine", True).option("escape", '"')
-        rows = reader.format(form).load(path)
+    if form == "json":
+        how = {"mode": "PERMISSIVE", "columnNameOfCorruptRecord": "bad"}
+        rows = spark.read.text(path).select(F.from_json("value", schema + ", bad string", how).alias("r")).select("r.*")
         return rows.filter("bad is null").drop("bad"), rows.filter("bad is not null").select("bad")
+    if form == "csv":
+        reader = spark.read.schema(schema + ", bad string").option("columnNameOfCorruptRecord", "bad").option("mode", "PERMISSIVE").option("header", True).option("multiLine", True).option("escape", '"')
+        rows = reader.csv(path)
+        return rows.filter("bad is null").drop("bad"), rows.filter("bad is not null")
     return spark.read.schema(schema).format(form).load(path), None
 
 
