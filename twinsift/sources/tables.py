@@ -21,14 +21,23 @@ SCHEMAS = {
 }
 
 
+def one_file(spark: SparkSession, path: str) -> bool:
+    """Whether a path is a single file, which one task may have to read alone."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(p).isFile()
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A table of the given directory; its schema is checked by name and not inferred from data."""
+    """A table of the given directory; its columns are checked by name."""
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     want = [c.split()[0] for c in SCHEMAS[name].split(", ")]
     missing = [c for c in want if c not in df.columns]
     if missing:
         raise ValueError(f"{name} lacks {missing}")
-    return df.select(*want)
+    df = df.select(*want)
+    # small test tables are one file with one row group; a corpus is many files and is left as it is
+    spread = name == "documents" and one_file(spark, f"{sf_dir}/{name}.parquet")
+    return df.repartition(spark.sparkContext.defaultParallelism) if spread else df
 
 
 def read_corpus(spark: SparkSession, path: str, form: str) -> tuple[DataFrame, DataFrame | None]:
