@@ -13,6 +13,7 @@ encoded as that token. The word index is reset when it exceeds WORDS entries,
 so memory follows the batch and not the corpus.
 """
 
+import gc
 import hashlib
 import heapq
 import json
@@ -23,11 +24,11 @@ import regex
 from pyspark.sql import DataFrame
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import slices
+from twinsift.llm.common import slices, small_batches
 
 by_value(__name__)
 
-WORDS = 300_000
+WORDS = 150_000
 # Fixed value: how the public vocabulary's pre-tokenizer splits text.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 _END, _DEAD = -1, -2
@@ -193,12 +194,14 @@ def encode_texts(docs: DataFrame, tokenizer_path: str, keep: bool = True, keep_i
 
     The vocabulary file (a few MB, fixed) is read once on the driver and travels with the tasks."""
     spark = docs.sparkSession
+    small_batches(spark)
     with open(tokenizer_path, encoding="utf-8") as f:
         spec = spark.sparkContext.broadcast(f.read())
     schema = "doc_id long, ids array<int>, n_tokens long, ids_sha256 string, decoded string, decoded_sha256 string"
 
     def run(batches):
         bpe = PairIndexBpe(spec.value)
+        gc.collect()
         for piece in slices(batches, 4 << 20):
             texts = [t or "" for t in piece.column(1).to_pylist()]
             ids, offsets = bpe.encode(texts)

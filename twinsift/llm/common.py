@@ -1,5 +1,8 @@
 """What the operators of this subpackage share."""
 
+import ctypes
+import gc
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -19,8 +22,35 @@ def id_remainder(n: int, col: str = "doc_id") -> Column:
     return F.crc32(F.col(col).cast("string").cast("binary")) % n
 
 
+BATCH_BYTES = 4 << 20
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most BATCH_BYTES go to Python (a run-time setting): memory of the workers does not depend on how long texts are on average."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark.conf.get(name, None) != str(BATCH_BYTES):
+        spark.conf.set(name, str(BATCH_BYTES))
+
+
+def hand_back() -> None:
+    """Returns freed memory to the system: Python workers live on after a task, and their heaps add up from stage to stage."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def slices(batches, max_bytes: int = 8 << 20):
-    """Arrow batches whose second column is text or binary, cut to runs of at most max_bytes of it (a longer row comes alone)."""
+    """Arrow batches whose second column is text or binary, cut to runs of at most max_bytes of it (a longer row comes alone). At the end memory is handed back."""
+    try:
+        yield from _slices(batches, max_bytes)
+    finally:
+        hand_back()
+
+
+def _slices(batches, max_bytes: int):
     for batch in batches:
         lens = np.asarray(pa.compute.fill_null(pa.compute.binary_length(batch.column(1)), 0), dtype=np.int64)
         start, total = 0, 0

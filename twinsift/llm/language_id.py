@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, text_first
+from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, small_batches, text_first
 
 by_value(__name__)
 
@@ -132,6 +132,7 @@ def fit_profiles(docs: DataFrame) -> Profiles:
 
 def predict_language(docs: DataFrame, model: Profiles, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The columns in keep, and held_out, lang_pred and score of every whole text."""
+    small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):

@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import slices, text_bytes
+from twinsift.llm.common import slices, small_batches, text_bytes
 from twinsift.operators.components import components
 from twinsift.plans.checkpoints import cut
 
@@ -356,6 +356,7 @@ def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool) -> DataFram
 
 def jaccard_components(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles and component_id of every document."""
+    small_batches(docs.sparkSession)
     described = cut(describe(docs))
     full = described.filter("n > 0")
     sets = cut(full.groupBy("number", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch")))

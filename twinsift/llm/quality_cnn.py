@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, text_bytes, text_first
+from twinsift.llm.common import id_remainder, kept_columns, learning_rows, slices, small_batches, text_bytes, text_first
 
 by_value(__name__)
 
@@ -161,6 +161,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame) -> ByteCnn:
 def score_quality(docs: DataFrame, model: ByteCnn, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The columns in keep, and the score of every whole text."""
     spark = docs.sparkSession
+    small_batches(spark)
     sent = spark.sparkContext.broadcast((model.params, model.constant))
 
     def run(batches):

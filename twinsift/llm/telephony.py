@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from twinsift.functions.shipping import by_value
-from twinsift.llm.common import slices
+from twinsift.llm.common import slices, small_batches
 
 by_value(__name__)
 
@@ -149,6 +149,7 @@ def store_texts(docs: DataFrame, form: int = MU_LAW, keep: bool = True) -> DataF
                 rows.append((key, len(raw), media if keep else None, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), wide.astype("<i2", copy=False).tobytes() if keep else None, features(pcm, wide)))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _STORED.types, strict=True)], schema=_STORED)
 
+    small_batches(docs.sparkSession)
     return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, schema)
 
 
