@@ -86,4 +86,4 @@ def test_plans(spark):
     weights, c = api.model("tiny")
     done = api.encode_texts(docs, weights, c)
     physical = plan(done.select("id", F.size("doc_vector"), F.size("chunk_vectors"))).split("== Physical Plan ==")[1]
-    assert physical.count("MapInPandas") == 1 and "Exchange" not in physical
+    assert physical.count("MapInPandas") == 1 and "hashpartitioning" not in physical
