@@ -17,6 +17,7 @@ from twinsift.plans.checkpoints import ensure_checkpoint_dir
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 QUALITY_AT_LEAST = 0.5
+STAGE_SHINGLE, STAGE_JACCARD = 5, (80, 100)  # words, and the threshold as a fraction; op7 has its own
 BROADCAST_IDS = 1_000_000  # at most so many rows of two numbers are broadcast; beyond that Spark joins by shuffling
 
 ORACLE_SQL = None  # learned models, hash-based sampling and BPE are not SQL
@@ -39,10 +40,20 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of linked documents the one with the smallest id stays; rows without an id stay."""
-    groups = ngram_join.jaccard_components(docs)
-    gone = ngram_join.cut(groups.filter("component_id <> doc_id").select("doc_id").distinct())
-    return docs.select(*COLUMNS).join(_near(gone), "doc_id", "left_anti").select(*COLUMNS)
+    """Of each group of linked documents the one with the smallest id stays; of repeated rows (equal id, or none, and equal text) one.
+
+    Rows whose id is null or not their own are told apart by a 64-bit hash of id and text."""
+    shared = ngram_join.cut(docs.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 or doc_id is null").select(F.col("doc_id").alias("id"), F.lit(True).alias("shared")))
+    marked = docs.select(*COLUMNS).join(_near(shared), F.col("doc_id").eqNullSafe(F.col("id")), "left")
+    rows = marked.select(*COLUMNS, F.when(F.col("shared"), F.xxhash64("doc_id", "text")).otherwise(F.col("doc_id").cast("long")).alias("key"), "shared")
+    groups = ngram_join.jaccard_components(rows.select(F.col("key").alias("doc_id"), "text"), STAGE_SHINGLE, *STAGE_JACCARD)
+    groups = ngram_join.cut(groups.filter("n_shingles > 0").select(F.col("doc_id").alias("key"), "component_id").distinct().join(rows.select("key", "doc_id").distinct(), "key"))
+    first = groups.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "key")).alias("first"))
+    gone = ngram_join.cut(groups.join(first, "component_id").filter(F.col("key") != F.col("first.key")).select("key"))
+    kept = rows.join(_near(gone), "key", "left_anti")
+    if shared.isEmpty():
+        return kept.select(*COLUMNS)
+    return kept.filter("shared is null").unionByName(kept.filter("shared").dropDuplicates(["key"])).select(*COLUMNS)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

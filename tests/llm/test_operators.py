@@ -391,3 +391,49 @@ def test_pipeline(spark):
         was = out
     want = Counter(r.doc_id for r in was.collect())
     assert Counter(r.doc_id for r in cp.run(spark, SF).collect()) == want
+
+
+def wide_shingles(text, size=5):
+    w = words((text or "").translate({c: c + 32 for c in range(65, 91)}))
+    return frozenset(tuple(w[k : k + size]) for k in range(len(w) - size + 1)) if len(w) >= size else frozenset([tuple(w)] if w else [])
+
+
+def test_pipeline_near_duplicates_five_words(spark):
+    import corpus_pipeline as cp
+
+    rnd = random.Random(12)
+    rows = []
+    for n, most in ((12, 2), (20, 2), (60, 3), (100, 4), (150, 5), (300, 8), (1000, 30)):
+        base = [f"w{n}_{k}" for k in range(n)]
+        for changes in range(most + 1):
+            for _ in range(2):
+                own = list(base) if rnd.random() < 0.5 else [*base[:-1], f"e{rnd.randint(0, 2)}"]
+                for at in rnd.sample(range(n), changes):
+                    own[at] = f"x{rnd.randint(0, 10**6)}"
+                rows.append((len(rows), " ".join(own)))
+    two = [f"v{k}" for k in range(100)]
+    rows += [(5000, " ".join(two)), (5001, " ".join(w if k not in (30, 60) else "y" for k, w in enumerate(two)))]  # .811 of five words, .848 of four
+    truth = brute_components([(i, wide_shingles(t)) for i, t in rows], lambda x, y: 100 * len(x & y) >= 80 * len(x | y))
+    assert truth != brute_components([(i, shingles(t)) for i, t in rows], lambda x, y: 100 * len(x & y) >= 85 * len(x | y)) and truth[5001] == 5000
+    assert len(set(truth.values())) > 20
+
+    def stage(rows):
+        df = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+        return cp.near_duplicates(spark, df, SF).collect()
+
+    assert sorted(r.doc_id for r in stage(rows)) == sorted(set(truth.values()))
+    text, other, third = (" ".join(f"{c}{k}" for k in range(50)) for c in "pqr")
+    odd = [(None, text), (None, text), (None, other), (7, other), (9, third), (9, third), (9, "quite another text than the rest of nine has"), (None, text + " end"), (3, third + " end"), (11, text + " of an own"), (12, "alone here with not many words")]
+    got = Counter((r.doc_id, r.text) for r in stage(odd))
+    assert got == Counter([(11, text + " of an own"), (7, other), (3, third + " end"), (9, "quite another text than the rest of nine has"), (12, "alone here with not many words")])
+    nulls = Counter((r.doc_id, r.text) for r in stage([(None, text)] * 3 + [(None, other)]))
+    assert nulls == Counter([(None, text), (None, other)])
+
+
+@pytest.mark.parametrize("numer,denom", [(80, 100), (85, 100), (95, 100)])
+def test_ngram_bands_hold_every_threshold(numer, denom):
+    for band in range(30):
+        one, two, room = ngram_join.plan_band(band, 10**6, numer=numer, denom=denom)
+        high = int(ngram_join.EDGES[band + 1]) - 1
+        assert one + 2 * two == ngram_join.most_apart(high, high * denom // numer, numer, denom) + room
+        assert high * denom // numer < ngram_join.EDGES[band + 2]

@@ -1,6 +1,6 @@
 """N-gram Jaccard join by a universe partition and the pigeonhole principle.
 
-A document's set holds the hashes of its distinct SHINGLE-word shingles. Sizes are
+A document's set holds the hashes of its distinct shingles of `size` words. Sizes are
 cut into bands; for each band the universe of hashes is dealt by hash into m
 segments. Two sets that reach the threshold differ in at most H shingles (H
 follows from the band), so if every segment is indexed exactly (worth 1) or with its
@@ -41,7 +41,7 @@ from twinsift.plans.checkpoints import cut
 
 by_value(__name__)
 
-SHINGLE = 4
+SHINGLE = 4  # words, unless the caller of jaccard_components says otherwise; so is the threshold
 NUMER, DENOM = 85, 100  # the threshold as a fraction
 BAND_RATIO = 1.4
 COMMON = 0.1  # share of shingles that two unrelated sets are taken to have in common, for the cost estimate only
@@ -140,13 +140,13 @@ def band_edges(limit: int = 1 << 31) -> np.ndarray:
 EDGES = band_edges()
 
 
-def plan_band(band: int, sets: int, common: float = COMMON) -> tuple[int, int, int]:
+def plan_band(band: int, sets: int, common: float = COMMON, numer: int = NUMER, denom: int = DENOM) -> tuple[int, int, int]:
     """Segments indexed exactly, segments with one-deletion neighbourhoods, and S.
 
     Of two unrelated sets a share `common` of shingles is taken to be the same. The cost counts index rows and
     the rows that meet others by accident, for a band of this many sets."""
     low, high = int(EDGES[band]), int(EDGES[band + 1]) - 1
-    h = most_apart(high, high * DENOM // NUMER)
+    h = most_apart(high, high * denom // numer, numer, denom)
     mean = (low + high) / 2
     best = None
     for two in sorted({round((h + 1) // 2 * k / 8) for k in range(9)}):
@@ -202,11 +202,11 @@ def parity(values: np.ndarray) -> bytes:
     return np.packbits(odd.astype(np.uint8)).tobytes()
 
 
-def describe(docs: DataFrame) -> DataFrame:
+def describe(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     """doc_id, n, number, sketch of each document's set; number and sketch are null for an empty set."""
 
     def run(batches):
-        shingler = Shingler()
+        shingler = Shingler(size)
         for piece in slices(batches, 2 << 20):
             n, number, sketch = [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
@@ -218,11 +218,11 @@ def describe(docs: DataFrame) -> DataFrame:
     return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, n long, number long, sketch binary")
 
 
-def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]]) -> DataFrame:
+def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = SHINGLE, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
     """(key, number, n): the index rows of every distinct set. A task writes those of equal sets once."""
 
     def run(batches):
-        shingler, seen = Shingler(), set()
+        shingler, seen = Shingler(size), set()
         for piece in slices(batches, 2 << 20):
             keys, numbers, sizes, lens = [], [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
@@ -231,9 +231,10 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]]) -> DataFrame:
                 seen.add(number)
                 band = int(np.searchsorted(EDGES, len(values), "right")) - 1
                 for b in (band, band - 1):
-                    if b < 0 or b < band and len(values) > (int(EDGES[b + 1]) - 1) * DENOM // NUMER:
+                    high = int(EDGES[b + 1]) - 1
+                    if b < 0 or b < band and len(values) > high * denom // numer:
                         continue
-                    if most_apart(int(EDGES[b + 1]) - 1, (int(EDGES[b + 1]) - 1) * DENOM // NUMER) == 0:
+                    if most_apart(high, high * denom // numer, numer, denom) == 0:
                         continue  # in so small a band only equal sets link
                     own = _segment_keys(values, b, plans[b])
                     keys.append(own)
@@ -246,14 +247,14 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]]) -> DataFrame:
     return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "key long, number long, n int")
 
 
-def sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+def sets_of(docs: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFrame:
     """(number, values) of the documents in wanted (doc_id), their shingle hashes as bytes."""
     if wanted.count() <= BROADCAST_IDS:
         wanted = F.broadcast(wanted)
     texts = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"]).join(wanted, "doc_id", "left_semi")
 
     def run(batches):
-        shingler = Shingler()
+        shingler = Shingler(size)
         for piece in slices(batches, 2 << 20):
             found = [(number_of(v), v.tobytes()) for v in shingler.shingle_sets(*text_bytes(piece.column(1))) if len(v)]
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in found], pa.int64()), pa.array([x[1] for x in found], pa.binary())], names=["number", "set"])
@@ -325,7 +326,7 @@ def _across(table: pa.Table, bits_apart: int, bits_sum: int, forest: bool) -> tu
     return np.minimum(x, y), np.maximum(x, y)
 
 
-def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool) -> DataFrame:
+def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
     """(x, y) of different parts in one bucket; rows (key, number, n, part). Large buckets go as tiles of blocks, each a group of its own."""
     size = rows.groupBy("key").agg(F.ceil(F.count("*") / BUCKET).cast("int").alias("blocks"), F.min("part").alias("p"), F.max("part").alias("q")).filter("p <> q").select("key", "blocks")
     rows = rows.join(size, "key").withColumn("block", F.pmod(F.xxhash64("number"), F.col("blocks")).cast("int"))
@@ -341,11 +342,11 @@ def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool) -> DataFram
             key, i, j = (table[c].to_numpy() for c in ("key", "i", "j"))
             cuts = np.flatnonzero((np.diff(key) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
             edges = [0, *cuts.tolist()]
-            done = [_across(table.slice(a, b - a), DENOM - NUMER, DENOM + NUMER, forest) for a, b in zip(edges, edges[1:], strict=False)]
+            done = [_across(table.slice(a, b - a), denom - numer, denom + numer, forest) for a, b in zip(edges, edges[1:], strict=False)]
             kept = table.slice(edges[-1])
             yield from out(done)
         if kept is not None and kept.num_rows:
-            yield from out([_across(kept, DENOM - NUMER, DENOM + NUMER, forest)])
+            yield from out([_across(kept, denom - numer, denom + numer, forest)])
 
     def out(done):
         if any(len(x) for x, _ in done):
@@ -354,32 +355,34 @@ def pairs_across(rows: DataFrame, sketches: DataFrame, forest: bool) -> DataFram
     return rows.select("key", "i", "j", "number", "n", "part", "block", "sketch").mapInArrow(run, "x long, y long").distinct()
 
 
-def jaccard_components(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles and component_id of every document."""
+def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
+    """doc_id, n_shingles and component_id of every document; links are pairs of sets of `size`-word shingles with Jaccard numer / denom or more."""
+    if not 0 < numer < denom <= BAND_RATIO * numer:
+        raise ValueError(f"the threshold must be below 1 and at least 1 / {BAND_RATIO}: sets of two neighbouring bands are compared")
     small_batches(docs.sparkSession)
-    described = cut(describe(docs))
+    described = cut(describe(docs, size))
     full = described.filter("n > 0")
     sets = cut(full.groupBy("number", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch")))
     edge = F.lit(0)
     for e in EDGES[1:].tolist():
         edge = edge + (F.col("n") >= e).cast("int")
     sizes = {r["band"]: r["sets"] for r in sets.groupBy(edge.alias("band")).agg(F.count("*").alias("sets")).collect()}
-    plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0)) for b in range(len(EDGES) - 1)]
+    plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), numer=numer, denom=denom) for b in range(len(EDGES) - 1)]
 
     met = Window.partitionBy("key")
-    rows = index_rows(docs, plans).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
+    rows = index_rows(docs, plans, size, numer, denom).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
     rows = cut(rows.filter("pivot <> last").select("key", "number", "n", "pivot"))
 
     sketches = sets.select("number", "n", "sketch")
     star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).distinct()
-    tested = _near(star, sketches)
-    links = _links(docs, tested, sets)
+    tested = _near(star, sketches, numer, denom)
+    links = _links(docs, tested, sets, size, numer, denom)
     for forest in (True, False):
         parts = components(links.select(F.col("x").alias("a"), F.col("y").alias("b")))
         labelled = rows.join(parts.select(F.col("id").alias("number"), F.col("component").alias("part")), "number", "left").withColumn("part", F.coalesce("part", "number"))
         mixed = labelled.select("key", "number", "n", "part").distinct()
-        more = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest).join(tested, ["x", "y"], "left_anti"))
-        links, tested = links.union(_links(docs, more, sets)), tested.union(more)
+        more = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest, numer, denom).join(tested, ["x", "y"], "left_anti"))
+        links, tested = links.union(_links(docs, more, sets, size, numer, denom)), tested.union(more)
 
     node = sets.select("number", "n", "node")
     edges = links
@@ -391,7 +394,7 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
-def _near(pairs: DataFrame, sketches: DataFrame) -> DataFrame:
+def _near(pairs: DataFrame, sketches: DataFrame, numer: int, denom: int) -> DataFrame:
     """The pairs whose sizes and sketches allow a link."""
 
     def run(batches):
@@ -400,17 +403,17 @@ def _near(pairs: DataFrame, sketches: DataFrame) -> DataFrame:
                 continue
             a, b = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint64).reshape(batch.num_rows, -1) for c in (4, 5))
             apart = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
-            keep = apart * (DENOM + NUMER) <= (batch.column(2).to_numpy() + batch.column(3).to_numpy()) * (DENOM - NUMER)
+            keep = apart * (denom + numer) <= (batch.column(2).to_numpy() + batch.column(3).to_numpy()) * (denom - numer)
             yield batch.select([0, 1]).filter(pa.array(keep))
 
     one = sketches.select(F.col("number").alias("x"), F.col("n").alias("nx"), F.col("sketch").alias("sx"))
     two = sketches.select(F.col("number").alias("y"), F.col("n").alias("ny"), F.col("sketch").alias("sy"))
-    both = pairs.join(one, "x").join(two, "y").filter(f"least(nx, ny) * {DENOM} >= greatest(nx, ny) * {NUMER}")
+    both = pairs.join(one, "x").join(two, "y").filter(f"least(nx, ny) * {denom} >= greatest(nx, ny) * {numer}")
     return cut(both.select("x", "y", "nx", "ny", "sx", "sy").mapInArrow(run, "x long, y long"))
 
 
-def _links(docs: DataFrame, pairs: DataFrame, sets: DataFrame) -> DataFrame:
+def _links(docs: DataFrame, pairs: DataFrame, sets: DataFrame, size: int, numer: int, denom: int) -> DataFrame:
     """The pairs that are links."""
     numbers = pairs.select(F.explode(F.array("x", "y")).alias("number")).distinct()
     wanted = cut(sets.join(numbers, "number").select(F.col("node").alias("doc_id")))
-    return cut(verify(pairs, sets_of(docs, wanted)))
+    return cut(verify(pairs, sets_of(docs, wanted, size), numer, denom))
