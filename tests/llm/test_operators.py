@@ -191,6 +191,37 @@ def test_chat_query(spark):
     assert chat.format_conversations(odd.limit(0)).count() == 0
 
 
+def test_chat_keeps_true_prefixes(spark):
+    rows = [(c, k, "assistant" if k % 2 else "user", f"{c}t{k}.", 1) for c, n in ((1, 10), (2, 100), (3, 31)) for k in range(n)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, n_turns int")
+    said = {c: [(r, t) for i, _, r, t, _ in rows if i == c] for c in (1, 2, 3)}
+
+    def last_thirty(turns):
+        return "".join(f"<{r}|{t}>" for r, t in turns[-30:])
+
+    def numbered(turns):
+        return "".join(f"<{r}|{k}:{t}>" for k, (r, t) in enumerate(turns))
+
+    def summary(turns):
+        return (f"(early {len(turns[:-30])})" if len(turns) > 30 else "") + "".join(f"<{r}|{t}>" for r, t in turns[-30:])
+
+    def parse(text):
+        return [tuple(x.split("|")) for x in re.findall(r"<(.*?)>", text)]
+
+    for render, rewrites in ((last_thirty, True), (numbered, False), (summary, True)):
+        out = {r.conv_id: r for r in chat.format_conversations(df, render, parse, str).collect()}
+        short = {r.conv_id: r for r in chat.format_conversations(df, render, parse, str, keep=False).collect()}
+        for c, turns in said.items():
+            r = out[c]
+            assert r.formatted == render(turns) and r.formatted_chars == len(r.formatted)
+            assert (r.rewrites > 0) == (rewrites and len(turns) > 30), (render, c)
+            shown = turns if render is numbered else turns[-30:]
+            loss = [t for role, t in shown if role == "assistant"]
+            assert [r.formatted[a:b] for a, b in r.loss_spans] == loss and r.loss_chars == len("".join(loss))
+            assert r.n_turns == len(shown) and short[c].loss_sha256 == r.loss_sha256 == hashlib.sha256("".join(loss).encode()).hexdigest()
+            assert (short[c].turns_sha256, short[c].rewrites, short[c].formatted_chars) == (r.turns_sha256, r.rewrites, r.formatted_chars)
+
+
 def brute_components(rows, linked):
     root = {i: i for i, _ in rows}
 

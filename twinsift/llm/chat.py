@@ -3,20 +3,24 @@
 A template is any function from a list of (role, text) turns to a string. The
 renderer is called on successive prefixes; each output must begin with the one
 before, and what it adds is the span of the new turn. Where it does not, the
-template rewrites history and this is reported, not repaired. The part of a
+template rewrites history: this is reported, and the text is the template's output for the
+whole conversation, in which every turn's own text is looked for anew. The part of a
 span that is the turn's own text is found by rendering the turn twice more with
 one-letter probes: what both probes share on the left and on the right is the
 frame. So the loss mask needs no knowledge of the template.
 
-Conversations longer than WINDOW turns are rendered over a sliding window of
-turns, so the work for each turn is bounded; at the end of each window the first turn
+The prefixes are whole ones, so work grows with the square of a conversation's turns and a
+conversation is held in memory. Only a template that is declared history-free (attribute
+`history_free`: what a turn adds depends on that turn alone, as in `instruct_template`) is, beyond WINDOW turns, rendered
+over a sliding window of turns, so the work for each turn is bounded; at the end of each window the first turn
 of the next one is rendered in both and must add the same text.
 
 Defined cases: a null text is empty, a null role is the empty role; turns go by
 (turn, role, text), null first, and repeated rows are separate turns; rows with
 a null conv_id form one conversation; an empty table gives an empty one;
-further columns are ignored. A conversation is a stream of its sorted rows: no
-more than one window of turns and one Arrow batch is in memory at a time, whatever its length.
+further columns are ignored. A conversation is a stream of its sorted rows: with a history-free template no
+more than one window of turns and one Arrow batch is in memory at a time, whatever its length. After a rewrite, a turn that
+the final text lacks or shows more than once has no span.
 """
 
 import hashlib
@@ -64,6 +68,8 @@ def instruct_template(turns: list[Turn]) -> str:
     return "".join(out)
 
 
+instruct_template.history_free = True
+
 _TOKENS = re.compile(_ESCAPED.pattern + "|(?P<mark>" + "|".join(map(re.escape, CONTROLS)) + ")")
 _OPENS = {"<s>": ("user", "[INST] ", " [/INST]"), "<<SYS>>": ("system", "\n", "\n<</SYS>>\n")}
 
@@ -107,14 +113,15 @@ class Spans:
     """Feeds turns one after another to a black-box template and tells what each adds."""
 
     def __init__(self, render: Callable[[list[Turn]], str], window: int = WINDOW, probes: tuple[str, str] = ("a", "b")):
-        self.render, self.window, self.probes = render, window, probes
+        self.render, self.probes = render, probes
+        self.window = window if getattr(render, "history_free", False) else None
         self.turns: list[Turn] = []
         self.out = render([])
         self.opening, self.rewrites = self.out, 0
 
     def add(self, role: str, text: str) -> tuple[str, int, int]:
         """The text that this turn adds, and where its own (rendered) text begins and ends in it."""
-        if len(self.turns) >= self.window:
+        if self.window and len(self.turns) >= self.window:
             self.turns = self.turns[-(self.window // 2) :]
             short = self.render(self.turns)
             self.rewrites += self.render([*self.turns, (role, text)])[len(short) :] != self.render([*self.turns[1:], (role, text)])[len(self.render(self.turns[1:])) :]
@@ -131,6 +138,16 @@ class Spans:
         self.out = after
         return added, min(head, len(added)), max(min(head, len(added)), len(added) - tail)
 
+    def place(self, k: int) -> tuple[int, int] | None:
+        """Where the text of turn k is in the output for all turns; None if it is not there, or not in one place."""
+        role = self.turns[k][0]
+        one, two = (self.render([*self.turns[:k], (role, p), *self.turns[k + 1 :]]) for p in self.probes)
+        head = _shared(one, two)
+        tail = _shared(one[:head:-1], two[:head:-1])
+        if one == two or head + tail + 1 != len(one) or not one[:head] == self.out[:head] or head + tail > len(self.out) or not self.out.endswith(one[len(one) - tail :]):
+            return None
+        return head, len(self.out) - tail
+
 
 def _grouped(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple]:
     for batch in batches:
@@ -149,10 +166,32 @@ def format_conversations(turns: DataFrame, render: Callable[[list[Turn]], str] =
     def run(batches):
         rows, state = [], None
 
+        def tell(s, text):
+            for was_role, was_text in parse(text):
+                s["n"] += 1
+                s["all"].update(f"{was_role}\n{was_text}\n".encode())
+
+        def learn(s, text, begin, end, at):
+            body = read(text[begin:end])
+            s["loss"].update(body.encode())
+            s["loss_n"] += len(body)
+            if keep:
+                s["marked"].append([at + begin, at + end])
+
         def close():
             if state is not None:
-                s = state
-                rows.append((s["id"], s["n"], s["all"].hexdigest(), s["loss_n"], s["loss"].hexdigest(), s["chars"], s["spans"].rewrites, "".join(s["text"]) if keep else None, s["marked"] if keep else None))
+                s, spans = state, state["spans"]
+                if spans.window is None:  # all turns are held: what counts is the output for all of them
+                    s["text"], s["chars"] = [spans.out], len(spans.out)
+                    if spans.rewrites:
+                        found = [spans.place(k) for k, (role, _) in enumerate(spans.turns) if role == "assistant"]
+                    else:
+                        found = s["found"]
+                    tell(s, spans.out)
+                    for at in found:
+                        if at:
+                            learn(s, spans.out, *at, 0)
+                rows.append((s["id"], s["n"], s["all"].hexdigest(), s["loss_n"], s["loss"].hexdigest(), s["chars"], spans.rewrites, "".join(s["text"]) if keep else None, s["marked"] if keep else None))
 
         def flush():
             cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _OUT.types, strict=True)]
@@ -162,20 +201,19 @@ def format_conversations(turns: DataFrame, render: Callable[[list[Turn]], str] =
             if state is None or state["id"] != conv:
                 close()
                 spans = Spans(render)
-                state = {"id": conv, "n": 0, "all": hashlib.sha256(), "loss": hashlib.sha256(), "loss_n": 0, "chars": len(spans.opening), "spans": spans, "text": [spans.opening], "marked": []}
+                state = {"id": conv, "n": 0, "all": hashlib.sha256(), "loss": hashlib.sha256(), "loss_n": 0, "chars": len(spans.opening), "spans": spans, "text": [spans.opening], "marked": [], "found": []}
                 if len(rows) >= 2000:
                     yield flush()
                     rows.clear()
             added, begin, end = state["spans"].add(role or "", text or "")
-            for was_role, was_text in parse(added):
-                state["n"] += 1
-                state["all"].update(f"{was_role}\n{was_text}\n".encode())
+            if state["spans"].window is None:
+                if role == "assistant":
+                    state["found"].append((state["chars"] + begin, state["chars"] + end))
+                state["chars"] += len(added)
+                continue
+            tell(state, added)
             if role == "assistant":
-                body = read(added[begin:end])
-                state["loss"].update(body.encode())
-                state["loss_n"] += len(body)
-                if keep:
-                    state["marked"].append([state["chars"] + begin, state["chars"] + end])
+                learn(state, added, begin, end, state["chars"])
             state["chars"] += len(added)
             if keep:
                 state["text"].append(added)
