@@ -77,6 +77,15 @@ def test_sharding(spark, odd, none, docs):
     assert sharding.balance(none).count() == 0
 
 
+def test_sharding_gathers_a_large_group(spark):
+    cells = spark.range(16).selectExpr("7L as group", "cast(id as int) as bucket", "cast(id as int) as shard", "50L as n").coalesce(1)  # 8 quotas
+    done, report = sharding.propagate(cells, [100] * 16)
+    hot = {r["shard"]: r["n"] for r in done.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
+    assert sum(hot.values()) == 800 and len(hot) <= 9 and len(report) > 6
+    with pytest.warns(UserWarning, match="still ask"):
+        sharding.propagate(cells, [100] * 16, 1)
+
+
 def test_quality(spark, odd, none, docs):
     labels = spark.read.parquet(f"{SF}/labels.parquet")
     model = quality_cnn.fit_quality(docs, labels)

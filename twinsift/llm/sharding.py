@@ -8,7 +8,9 @@ bucket, shard, documents), small even for a group that holds a third of all rows
 In each round a cell looks at how many of its group are in each shard and asks
 to move to the one, with room left, that has most. The requests to a shard share
 its quota in proportion (a quota table of shards x shards is all the driver
-sees); rounds end early when nothing moves. Documents without links yield
+sees); rounds go on until none asks to move. A move goes from fewer to more of a group, so
+the squares of a group's counts only grow and the rounds come to an end; a group larger than many quotas fills
+about one shard a round. Documents without links yield
 their places: in the end every shard keeps its linked documents first and hands
 the rest over to shards with free places, so counts differ by one at most.
 
@@ -20,13 +22,14 @@ documents of one group; a null id is hashed like an empty one; fewer documents t
 leave shards empty; an empty table gives an empty one; further columns are ignored.
 """
 
+import warnings
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from twinsift.plans.checkpoints import cut
 
 SHARDS = 40
-ROUNDS = 6
 ROWS_PER_BUCKET = 4096
 
 
@@ -42,11 +45,14 @@ def describe(docs: DataFrame) -> DataFrame:
     return docs.select(key.alias("doc_id"), (F.octet_length(text) + 16).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), F.xxhash64(text, F.octet_length(text)).alias("group"), F.xxhash64(F.coalesce(key, F.lit(0)), F.lit("shard")).alias("h"))
 
 
-def propagate(cells: DataFrame, quotas: list[int], rounds: int = ROUNDS) -> tuple[DataFrame, list[dict]]:
-    """cells: group, bucket, shard, n, all of groups of two or more documents. Returns the cells after the last round and what each round did."""
+def propagate(cells: DataFrame, quotas: list[int], rounds: int | None = None) -> tuple[DataFrame, list[dict]]:
+    """cells: group, bucket, shard, n, all of groups of two or more documents. Returns the cells after the last round and what each round did.
+
+    Rounds end when no cell asks to move; a warning tells if `rounds` (4 a shard and 32 more, if not given) were too few for that."""
     spark = cells.sparkSession
     report = []
     cells = cut(cells)
+    rounds = 4 * len(quotas) + 32 if rounds is None else rounds
     for turn in range(rounds):
         held = {r["shard"]: r["n"] for r in cells.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
         # a shard with a 32nd of its quota left counts as full, else a few last places would hold up the rest of a large group
@@ -69,6 +75,8 @@ def propagate(cells: DataFrame, quotas: list[int], rounds: int = ROUNDS) -> tupl
         split = going.select("group", "bucket", F.explode(F.array(F.struct("shard", (F.col("n") - F.col("gone")).alias("n")), F.struct(F.coalesce("to", "shard").alias("shard"), F.col("gone").alias("n")))).alias("c"))
         cells = cut(split.select("group", "bucket", "c.*").filter("n > 0").groupBy("group", "bucket", "shard").agg(F.sum("n").alias("n")))
         report.append({"round": turn, "asked": sum(asked.values()), "room": sum(max(0, q - held.get(s, 0)) for s, q in enumerate(quotas))})
+    else:
+        warnings.warn(f"documents still ask to move after {rounds} rounds", stacklevel=2)
     return cells, report
 
 
@@ -82,7 +90,7 @@ def numbered(rows: DataFrame, keys: list[str], small: list[str], order: list) ->
     return rows.join(counts, [*keys, *small]).withColumn("place", F.col("before") + F.col("inner")).drop("before", "inner")
 
 
-def balance(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
+def balance(docs: DataFrame, shards: int = SHARDS, rounds: int | None = None) -> DataFrame:
     """doc_id, size, text_crc32, group, shard, slot; counts of the shards differ by one at most."""
     spark = docs.sparkSession
     base = cut(describe(docs))
