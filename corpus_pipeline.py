@@ -17,6 +17,8 @@ from twinsift.plans.checkpoints import ensure_checkpoint_dir
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 QUALITY_AT_LEAST = 0.5
+LANGUAGE_AT_LEAST = 5 / language_id.DIMENSIONS**0.5  # unrelated vectors have cosines of deviation 1 / sqrt(DIMENSIONS)
+TELLING = 24  # characters
 STAGE_SHINGLE, STAGE_JACCARD = 5, (80, 100)  # words, and the threshold as a fraction; op7 has its own
 BROADCAST_IDS = 1_000_000  # at most so many rows of two numbers are broadcast; beyond that Spark joins by shuffling
 
@@ -34,9 +36,12 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or unlike every language that was learned, go. The lang column stays as it was."""
+    """Documents without a letter, or unlike every language that was learned, go. The lang column stays as it was.
+
+    Unlike means below LANGUAGE_AT_LEAST; texts shorter than TELLING tell too little for that and only go at score 0."""
     found = language_id.predict_language(docs, language_id.fit_profiles(docs), COLUMNS)
-    return found.filter((F.col("lang_pred") != language_id.UNKNOWN) & (F.col("score") > 0)).select(*COLUMNS)
+    like = (F.col("score") >= LANGUAGE_AT_LEAST) | ((F.length("text") < TELLING) & (F.col("score") > 0))
+    return found.filter((F.col("lang_pred") != language_id.UNKNOWN) & like).select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

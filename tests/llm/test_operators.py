@@ -477,3 +477,20 @@ def test_ngram_bands_hold_every_threshold(numer, denom):
         high = int(ngram_join.EDGES[band + 1]) - 1
         assert one + 2 * two == ngram_join.most_apart(high, high * denom // numer, numer, denom) + room
         assert high * denom // numer < ngram_join.EDGES[band + 2]
+
+
+def test_pipeline_language_drops_foreign_and_noise(spark, docs):
+    import corpus_pipeline as cp
+
+    rnd = random.Random(3)
+    alphabets = [[chr(c) for c in range(0x430, 0x450)], [chr(c) for c in range(0x4E00, 0x5E00)], [chr(c) for c in range(0x627, 0x64A)], [chr(c) for c in range(97, 123)]]
+    planted = []
+    for letters in alphabets:
+        for n in (10, 40, 300):
+            for _ in range(10):
+                planted.append((1_000_000 + len(planted), " ".join("".join(rnd.choice(letters) for _ in range(rnd.randint(3, 9))) for _ in range(n)), None, "planted", 0))
+    both = docs.select(*cp.COLUMNS).union(spark.createDataFrame(planted, docs.select(*cp.COLUMNS).schema))
+    kept = Counter(r.doc_id for r in cp.language(spark, both, SF).collect())
+    assert not [i for i in kept if i >= 1_000_000]
+    lettered = Counter(r.doc_id for r in docs.collect() if any(c.isalpha() for c in r.text or ""))
+    assert kept == lettered
