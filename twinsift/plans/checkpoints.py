@@ -6,14 +6,21 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Use the cluster's shared folder; only a session without one (tests) gets a local one."""
+    """Use the cluster's shared folder. Only a local session without one (tests, the bench) gets a temporary folder; on a cluster its absence is an error."""
     sc = spark.sparkContext
     if sc.getCheckpointDir():
         return
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
+    if not named and not is_local(sc.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="twinsift-checkpoint-"))
 
 
+def is_local(master: str) -> bool:
+    """Whether the driver is the only machine."""
+    return master == "local" or master.startswith("local[")
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write the rows to the checkpoint folder and go on from the files."""
     ensure_checkpoint_dir(df.sparkSession)
