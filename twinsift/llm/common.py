@@ -83,12 +83,17 @@ def kept_columns(piece: pa.RecordBatch, keep: tuple[str, ...]) -> list[pa.Array]
     return [piece.column(1) if c == "text" else piece.column(next(rest)) for c in keep]
 
 
+LEARN_BYTES = 48 << 20  # text that learning may bring to the driver
+
+
 def learning_rows(rows: DataFrame, max_rows: int, max_bytes: int, seed: str) -> list:
-    """A sample of labelled rows for learning, on the driver: about max_rows of them (twice as many at most),
-    chosen by a hash of doc_id, no text over max_bytes. Column text must be there; rows come ordered by id."""
-    many = rows.count()
-    share = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(seed)), F.lit(1 << 40)) / float(1 << 40)
-    some = rows.filter(F.octet_length("text") <= max_bytes)
-    if many > max_rows:
-        some = some.filter(share < max_rows / many)
-    return sorted(some.limit(2 * max_rows).collect(), key=lambda r: (r["doc_id"], r["text"]))
+    """A sample of labelled rows for learning, on the driver: about max_rows of them, no text over max_bytes,
+    LEARN_BYTES of text in expectation at most. Which rows is fixed by a hash of doc_id and text. Column text must be there; rows come ordered by id.
+
+    Rows are chosen by a threshold on the hash, so their number and bytes scatter around the bound by a few deviations; of repeated rows one comes."""
+    rows = rows.filter(F.octet_length("text") <= max_bytes)
+    many, size = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    share = min(1.0, max_rows / max(1, many), LEARN_BYTES / max(1, size))
+    if share < 1:
+        rows = rows.filter(F.pmod(F.xxhash64(F.col("doc_id"), F.col("text"), F.lit(seed)), F.lit(1 << 40)) < int(share * (1 << 40)))
+    return sorted(rows.distinct().collect(), key=lambda r: (r["doc_id"], r["text"]))

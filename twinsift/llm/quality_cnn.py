@@ -154,7 +154,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame) -> ByteCnn:
         picked = F.col("doc_id").isNotNull() & (share < FIT_ROWS / many)
         marks = marks.filter(picked)
         rows = docs.select("doc_id", "text").filter((id_remainder(4) != 2) & picked & F.col("text").isNotNull()).join(F.broadcast(marks) if marks.count() <= 4 * FIT_ROWS else marks, "doc_id")
-    got = learning_rows(rows, 2 * FIT_ROWS, FIT_BYTES, "quality")
+    got = learning_rows(rows, FIT_ROWS, FIT_BYTES, "quality")
     return ByteCnn().fit([r["text"].encode() for r in got], [int(r["quality"]) for r in got])
 
 
