@@ -7,7 +7,7 @@ template rewrites history: this is reported, and the text is the template's outp
 whole conversation, in which every turn's own text is looked for anew. The part of a
 span that is the turn's own text is found by rendering the turn twice more with
 one-letter probes: what both probes share on the left and on the right is the
-frame. So the loss mask needs no knowledge of the template.
+frame. So the loss mask needs no knowledge of the template. What is told of a conversation is parsed from its finished text, in a step that sees nothing else.
 
 The prefixes are whole ones, so work grows with the square of a conversation's turns and a
 conversation is held in memory. Only a template that is declared history-free (attribute
@@ -18,9 +18,8 @@ of the next one is rendered in both and must add the same text.
 Defined cases: a null text is empty, a null role is the empty role; turns go by
 (turn, role, text), null first, and repeated rows are separate turns; rows with
 a null conv_id form one conversation; an empty table gives an empty one;
-further columns are ignored. A conversation is a stream of its sorted rows: with a history-free template no
-more than one window of turns and one Arrow batch is in memory at a time, whatever its length. After a rewrite, a turn that
-the final text lacks or shows more than once has no span.
+further columns are ignored. A conversation is a stream of its sorted rows and one row of output, so a task holds the text of
+one conversation (2 GB at most) besides one batch. After a rewrite, a turn that the final text lacks or shows more than once has no span.
 """
 
 import hashlib
@@ -154,73 +153,81 @@ def _grouped(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple]:
         yield from zip(*(c.to_pylist() for c in batch.columns), strict=True)
 
 
-_OUT = pa.schema([("conv_id", pa.int64()), ("n_turns", pa.int64()), ("turns_sha256", pa.string()), ("loss_chars", pa.int64()), ("loss_sha256", pa.string()), ("formatted_chars", pa.int64()), ("rewrites", pa.int64()), ("formatted", pa.string()), ("loss_spans", pa.list_(pa.list_(pa.int64())))])
+_MADE = "conv_id long, formatted string, loss_spans array<array<long>>, rewrites long"
+_READ = _MADE + ", n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long"
+ROWS_OUT, CHARS_OUT = 2000, 4 << 20  # conversations, and their characters, in a batch that is handed on
 
 
-def format_conversations(turns: DataFrame, render: Callable[[list[Turn]], str] = instruct_template, parse: Callable[[str], list[Turn]] = parse_instruct, read: Callable[[str], str] = unescape, keep: bool = True) -> DataFrame:
-    """One row per conversation: its text, the code-point spans under the loss mask, and digests read back from that text.
-
-    keep=False leaves out the text and the spans; then memory does not follow the length of a conversation."""
-    schema = "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, rewrites long, formatted string, loss_spans array<array<long>>"
-
-    def run(batches):
-        rows, state = [], None
-
-        def tell(s, text):
-            for was_role, was_text in parse(text):
-                s["n"] += 1
-                s["all"].update(f"{was_role}\n{was_text}\n".encode())
-
-        def learn(s, text, begin, end, at):
-            body = read(text[begin:end])
-            s["loss"].update(body.encode())
-            s["loss_n"] += len(body)
-            if keep:
-                s["marked"].append([at + begin, at + end])
-
-        def close():
-            if state is not None:
-                s, spans = state, state["spans"]
-                if spans.window is None:  # all turns are held: what counts is the output for all of them
-                    s["text"], s["chars"] = [spans.out], len(spans.out)
-                    if spans.rewrites:
-                        found = [spans.place(k) for k, (role, _) in enumerate(spans.turns) if role == "assistant"]
-                    else:
-                        found = s["found"]
-                    tell(s, spans.out)
-                    for at in found:
-                        if at:
-                            learn(s, spans.out, *at, 0)
-                rows.append((s["id"], s["n"], s["all"].hexdigest(), s["loss_n"], s["loss"].hexdigest(), s["chars"], spans.rewrites, "".join(s["text"]) if keep else None, s["marked"] if keep else None))
-
-        def flush():
-            cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _OUT.types, strict=True)]
-            return pa.RecordBatch.from_arrays(cols, schema=_OUT)
+def _handed_on(rows: Iterable[tuple], schema: str, chars: int) -> Iterator[pa.RecordBatch]:
+    """Rows as batches of bounded size; chars is the place of the long text in a row."""
+    types = {"long": pa.int64(), "string": pa.string(), "array<array<long>>": pa.list_(pa.list_(pa.int64()))}
+    fields = pa.schema([(name, types[kind]) for name, kind in (c.split() for c in schema.split(", "))])
+    held, size = [], 0
+    for row in rows:
+        held.append(row)
+        size += len(row[chars])
+        if len(held) >= ROWS_OUT or size >= CHARS_OUT:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*held, strict=True), fields.types, strict=True)], schema=fields)
+            held, size = [], 0
+    if held:
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*held, strict=True), fields.types, strict=True)], schema=fields)
+
 
+def render_conversations(turns: DataFrame, render: Callable[[list[Turn]], str] = instruct_template) -> DataFrame:
+    """conv_id, formatted, loss_spans (code points, begin and end of each assistant text), rewrites: one row per conversation."""
+
+    def finished(conv, spans: Spans, pieces: list[str], marked: list[list[int]]) -> tuple:
+        if spans.window is None:  # the output for all turns is what counts; after a rewrite every turn is looked for anew
+            text = spans.out
+            if spans.rewrites:
+                marked = [list(at) for at in (spans.place(k) for k, (role, _) in enumerate(spans.turns) if role == "assistant") if at]
+        else:
+            text = "".join(pieces)
+        return conv, text, marked, spans.rewrites
+
+    def conversations(batches):
+        now = None
         for conv, role, text in _grouped(batches):
-            if state is None or state["id"] != conv:
-                close()
+            if now is None or now[0] != conv:
+                if now:
+                    yield finished(*now)
                 spans = Spans(render)
-                state = {"id": conv, "n": 0, "all": hashlib.sha256(), "loss": hashlib.sha256(), "loss_n": 0, "chars": len(spans.opening), "spans": spans, "text": [spans.opening], "marked": [], "found": []}
-                if len(rows) >= 2000:
-                    yield flush()
-                    rows.clear()
-            added, begin, end = state["spans"].add(role or "", text or "")
-            if state["spans"].window is None:
-                if role == "assistant":
-                    state["found"].append((state["chars"] + begin, state["chars"] + end))
-                state["chars"] += len(added)
-                continue
-            tell(state, added)
+                now, length = (conv, spans, [spans.opening], []), len(spans.opening)
+            added, begin, end = spans.add(role or "", text or "")
             if role == "assistant":
-                learn(state, added, begin, end, state["chars"])
-            state["chars"] += len(added)
-            if keep:
-                state["text"].append(added)
-        close()
-        if rows:
-            yield flush()
+                now[3].append([length + begin, length + end])
+            length += len(added)
+            if spans.window:
+                now[2].append(added)
+        if now:
+            yield finished(*now)
 
     rows = turns.select(turns["conv_id"].cast("long"), turns["turn"], turns["role"], turns["text"])
     rows = rows.repartition(F.col("conv_id")).sortWithinPartitions("conv_id", "turn", "role", "text")
-    return rows.select("conv_id", "role", "text").mapInArrow(run, schema)
+    return rows.select("conv_id", "role", "text").mapInArrow(lambda batches: _handed_on(conversations(batches), _MADE, 1), _MADE)
+
+
+def read_back(made: DataFrame, parse: Callable[[str], list[Turn]] = parse_instruct, read: Callable[[str], str] = unescape) -> DataFrame:
+    """What the finished texts say: turns that parsing finds in them, and what stands under the loss mask; input as render_conversations gives it."""
+
+    def conversations(batches):
+        for conv, text, marked, rewrites in _grouped(batches):
+            turns, loss, n, chars = hashlib.sha256(), hashlib.sha256(), 0, 0
+            for role, said in parse(text):
+                n += 1
+                turns.update(f"{role}\n{said}\n".encode())
+            for begin, end in marked:
+                body = read(text[begin:end])
+                loss.update(body.encode())
+                chars += len(body)
+            yield conv, text, marked, rewrites, n, turns.hexdigest(), chars, loss.hexdigest(), len(text)
+
+    return made.select("conv_id", "formatted", "loss_spans", "rewrites").mapInArrow(lambda batches: _handed_on(conversations(batches), _READ, 1), _READ)
+
+
+def format_conversations(turns: DataFrame, render: Callable[[list[Turn]], str] = instruct_template, parse: Callable[[str], list[Turn]] = parse_instruct, read: Callable[[str], str] = unescape, keep: bool = True) -> DataFrame:
+    """One row per conversation: its text, the code-point spans under the loss mask, and digests read back from that text alone.
+
+    keep=False leaves the text and the spans out of the result after they have been read."""
+    done = read_back(render_conversations(turns, render), parse, read)
+    return done if keep else done.withColumn("formatted", F.lit(None).cast("string")).withColumn("loss_spans", F.lit(None).cast("array<array<long>>"))
