@@ -279,6 +279,17 @@ def test_chat_keeps_true_prefixes(spark):
             assert (short[c].turns_sha256, short[c].rewrites, short[c].formatted_chars) == (r.turns_sha256, r.rewrites, r.formatted_chars)
 
 
+def test_chat_reads_the_finished_text(spark):
+    """What is told comes from the text alone: another text under the same id tells something else."""
+    rows = [(1, k, "assistant" if k % 2 else "user", f"t{k}", 1) for k in range(60)]
+    made = chat.render_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, n_turns int"))
+    first = chat.read_back(made).first()
+    assert (first.n_turns, first.loss_chars, first.rewrites) == (60, sum(len(f"t{k}") for k in range(1, 60, 2)), 0)
+    other = made.withColumn("formatted", F.lit(chat.instruct_template([("user", "x"), ("assistant", "yy")]))).withColumn("loss_spans", F.array(F.array(F.lit(0).cast("long"), F.lit(3).cast("long"))))
+    got = chat.read_back(other).first()
+    assert (got.n_turns, got.loss_chars) == (2, 3) and got.loss_sha256 == hashlib.sha256(b"<s>").hexdigest()
+
+
 def brute_components(rows, linked):
     root = {i: i for i, _ in rows}
 
@@ -386,17 +397,30 @@ def test_quantisation_bound():
     assert (np.abs(x @ x.T - product) <= near[:, None] * err[None] + err[:, None] + 1e-12).all()
 
 
-def test_telephony(odd, none):
-    for form in (telephony.MU_LAW, telephony.A_LAW, telephony.IMA):
-        assert telephony.store_texts(odd, form).count() == len(ODD) if form != telephony.IMA else True
-    rows = telephony.store_texts(odd).collect()
-    for r in rows:
-        raw = (dict(ODD)[r.doc_id] or "").encode()
-        payload = raw + b"\0" * (-len(raw) % 64 if raw else 64)
-        assert (r.n_bytes, r.payload_bytes) == (len(raw), len(payload)) and r.payload_sha256 == hashlib.sha256(payload).hexdigest()
-        assert r.tail_crc32 == zlib.crc32(payload[-64:]) and telephony.read_wav(r.media)[3] == payload
-        assert r.media_bytes == len(r.media) and len(r.pcm) == 4 * len(payload)
-    assert telephony.store_texts(none).count() == 0
+def test_telephony(spark, odd, none):
+    more = spark.createDataFrame([(100 + k, "é" * k + "text") for k in range(0, 900, 7)], "doc_id long, text string")
+    both = odd.select("doc_id", "text").union(more)
+    texts = dict(both.collect())
+    for form in (None, telephony.MU_LAW, telephony.A_LAW, telephony.IMA):
+        stored = telephony.store_texts(both, form)
+        kept = {(r.doc_id, r.n_bytes): r for r in stored.collect()}
+        rows = telephony.measure_stored(stored).collect()
+        assert len(rows) == both.count()
+        forms = set()
+        for r in rows:
+            raw = (texts[r.doc_id] or "").encode()
+            payload = raw + b"\0" * (-len(raw) % 64 if raw else 64)
+            assert (r.n_bytes, r.payload_bytes) == (len(raw), len(payload)) and r.payload_sha256 == hashlib.sha256(payload).hexdigest()
+            media, pcm = kept[r.doc_id, r.n_bytes].media, kept[r.doc_id, r.n_bytes].pcm
+            tag, rate, align, data = telephony.read_wav(media)
+            forms.add(tag)
+            assert rate == 8000 and tag == (telephony.form_of(payload) if form is None else form)
+            assert data == payload if tag != telephony.IMA else telephony.ima_payload(data, align) == payload
+            samples = len(payload) if tag != telephony.IMA else 2 * len(payload) + -(-len(payload) // 252)
+            assert len(pcm) == 4 * samples and f"samples={samples};" in r.feature
+            assert r.tail_crc32 == zlib.crc32(payload[-64:]) and (r.media_bytes, r.media_sha256) == (len(media), hashlib.sha256(media).hexdigest())
+        assert forms == ({telephony.MU_LAW, telephony.A_LAW, telephony.IMA} if form is None else {form})
+    assert telephony.measure_stored(telephony.store_texts(none)).count() == 0
 
 
 def test_telephony_codecs(spark):

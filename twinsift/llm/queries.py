@@ -58,8 +58,8 @@ def op8_embedding_dedup(spark, sf_dir):
 
 
 def op9_telephony(spark, sf_dir):
-    stored = telephony.store_texts(table(spark, sf_dir, "documents"), keep=False)
-    return stored.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
+    stored = telephony.store_texts(table(spark, sf_dir, "documents"))
+    return telephony.measure_stored(stored).select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
 
 
 def op10_mixing(spark, sf_dir):

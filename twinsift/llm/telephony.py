@@ -1,8 +1,9 @@
 """Media columns for telephony audio.
 
 mu-law and A-law samples expand through 256-entry lookup tables, IMA ADPCM
-blocks decode with numpy across all blocks at once, and the linear PCM is
-stored at a second sampling rate. Containers are RIFF/WAVE, written and parsed here.
+blocks decode with numpy across all blocks of many rows at once, and the linear PCM is
+stored at a second sampling rate. Containers are RIFF/WAVE, written and parsed here. Which codec a text is stored
+in follows from its bytes (`form_of`), so a table holds all three.
 
 Defined cases: a null text is empty; an empty text is stored as 64 zero bytes;
 equal texts give equal values; repeated rows give repeated results; an empty
@@ -32,6 +33,16 @@ IMA_STEPS = np.array([7, 8, 9, 10, 11, 12, 13, 14, 16, 17, 19, 21, 23, 25, 28, 3
 IMA_MOVES = np.array([-1, -1, -1, -1, 2, 4, 6, 8] * 2, np.int32)
 
 
+def _changes() -> np.ndarray:
+    """What each code adds to a sample at each step size."""
+    step, code = IMA_STEPS[:, None], np.arange(16)[None]
+    size = (step >> 3) + np.where(code & 4, step, 0) + np.where(code & 2, step >> 1, 0) + np.where(code & 1, step >> 2, 0)
+    return np.where(code & 8, -size, size).astype(np.int32)
+
+
+IMA_CHANGES = _changes()
+
+
 def mu_law_table() -> np.ndarray:
     code = ~np.arange(256, dtype=np.uint8)
     size = ((((code & 15).astype(np.int32) << 3) + 132) << ((code >> 4) & 7)) - 132
@@ -48,27 +59,34 @@ def a_law_table() -> np.ndarray:
 EXPAND = {MU_LAW: mu_law_table(), A_LAW: a_law_table()}
 
 
-def decode_ima(data: bytes, block: int) -> np.ndarray:
-    """Mono IMA ADPCM: one pass over the positions of a block, each for all blocks together. The last block may be short."""
-    if not data:
-        return np.zeros(0, np.int16)
-    n = -(-len(data) // block)
-    raw = np.zeros((n, block), np.uint8)
-    raw.reshape(-1)[: len(data)] = np.frombuffer(data, np.uint8)
-    last = len(data) - (n - 1) * block
+def decode_ima_many(streams: list[bytes], block: int) -> list[np.ndarray]:
+    """Mono IMA ADPCM: one pass over the positions of a block, each for all blocks of all streams together. A stream's last block may be short."""
+    counts = np.array([-(-len(x) // block) for x in streams], np.int64)
+    raw = np.zeros((int(counts.sum()), block), np.uint8)
+    ends = np.cumsum(counts)
+    for x, end, n in zip(streams, ends.tolist(), counts.tolist(), strict=True):
+        raw[end - n : end].reshape(-1)[: len(x)] = np.frombuffer(x, np.uint8)
     value = raw[:, :2].copy().view("<i2")[:, 0].astype(np.int32)
     at = np.clip(raw[:, 2].astype(np.int32), 0, len(IMA_STEPS) - 1)
-    codes = np.stack([raw[:, 4:] & 15, raw[:, 4:] >> 4], -1).reshape(n, -1)
-    out = np.empty((n, codes.shape[1] + 1), np.int16)
-    out[:, 0] = value
-    for k in range(codes.shape[1]):
-        c, step = codes[:, k].astype(np.int32), IMA_STEPS[at]
-        change = (step >> 3) + np.where(c & 4, step, 0) + np.where(c & 2, step >> 1, 0) + np.where(c & 1, step >> 2, 0)
-        value = np.clip(value + np.where(c & 8, -change, change), -32768, 32767)
-        at = np.clip(at + IMA_MOVES[c], 0, len(IMA_STEPS) - 1)
-        out[:, k + 1] = value
-    kept = (n - 1) * out.shape[1] + (max(0, last - 4) * 2 + 1 if last >= 4 else 0)
-    return out.reshape(-1)[:kept]
+    codes = np.stack([raw[:, 4:] & 15, raw[:, 4:] >> 4], -1).reshape(len(raw), 2 * (block - 4)).T.astype(np.int32, order="C")
+    out = np.empty((len(codes) + 1, len(raw)), np.int16)
+    out[0] = value
+    for k, c in enumerate(codes):
+        value += IMA_CHANGES[at, c]
+        np.clip(value, -32768, 32767, out=value)
+        at += IMA_MOVES[c]
+        np.clip(at, 0, len(IMA_STEPS) - 1, out=at)
+        out[k + 1] = value
+    samples, done = np.ascontiguousarray(out.T), []
+    for x, end, n in zip(streams, ends.tolist(), counts.tolist(), strict=True):
+        last = len(x) - (n - 1) * block
+        kept = (n - 1) * samples.shape[1] + (max(0, last - 4) * 2 + 1 if last >= 4 else 0)
+        done.append(samples[end - n : end].reshape(-1)[: max(0, kept)])
+    return done
+
+
+def decode_ima(data: bytes, block: int) -> np.ndarray:
+    return decode_ima_many([data], block)[0]
 
 
 def resample(pcm: np.ndarray, up: int, down: int = 1) -> np.ndarray:
@@ -128,43 +146,88 @@ def pad(data: bytes) -> bytes:
     return data + b"\0" * (-len(data) % UNIT if data else UNIT)
 
 
-_STORED = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("pcm", pa.binary()), ("feature", pa.string())])
+IMA_BLOCK = 256  # bytes: a header of 4 and 252 bytes of two codes each
+
+
+def form_of(payload: bytes) -> int:
+    """Which of the three codecs a payload is stored in: its CRC-32 modulo 3 decides, so equal payloads are stored alike."""
+    return (MU_LAW, A_LAW, IMA)[zlib.crc32(payload) % 3]
 
 
-def store_texts(docs: DataFrame, form: int = MU_LAW, keep: bool = True) -> DataFrame:
-    """Each text as telephony samples in a container, read back, expanded and resampled to twice the rate.
+def ima_blocks(payload: bytes) -> bytes:
+    """Payload bytes as pairs of ADPCM codes, each block behind a header (first sample 0, first step 0); nothing of the payload is lost."""
+    room = IMA_BLOCK - 4
+    return b"".join(b"\0\0\0\0" + payload[k : k + room] for k in range(0, len(payload), room))
 
-    keep=False leaves the stored bytes and samples out of the result after they have been made and read."""
-    schema = "doc_id long, n_bytes long, media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, pcm binary, feature string"
+
+def ima_payload(data: bytes, block: int) -> bytes:
+    """The codes of all blocks, without the headers."""
+    return b"".join(data[k + 4 : k + block] for k in range(0, len(data), block))
+
+
+def to_media(payload: bytes, form: int) -> bytes:
+    """A container that holds the payload as samples (mu-law, A-law) or codes (IMA ADPCM)."""
+    if form == IMA:
+        data = ima_blocks(payload)
+        blocks = -(-len(data) // IMA_BLOCK)
+        return wav(data, IMA, bits=4, align=IMA_BLOCK, samples=2 * (len(data) - 4 * blocks) + blocks)
+    return wav(payload, form)
+
+
+def from_media(media: list[bytes]) -> list[tuple[bytes, np.ndarray, int]]:
+    """Payload, linear samples and rate of each container, from its bytes alone. ADPCM streams of one block size are decoded together."""
+    parts = [read_wav(x) for x in media]
+    pcm: list = [None if tag == IMA else to_pcm(tag, align, data) for tag, _, align, data in parts]
+    for block in {align for tag, _, align, _ in parts if tag == IMA}:
+        own = [k for k, p in enumerate(parts) if p[0] == IMA and p[2] == block]
+        for k, x in zip(own, decode_ima_many([parts[k][3] for k in own], block), strict=True):
+            pcm[k] = x
+    return [(ima_payload(data, align) if tag == IMA else data, x, rate) for (tag, rate, align, data), x in zip(parts, pcm, strict=True)]
+
+
+def store_texts(docs: DataFrame, form: int | None = None) -> DataFrame:
+    """doc_id, n_bytes, media, pcm: each text as telephony samples in a container, and its linear samples at twice the rate (16 bits, little-endian).
+
+    form None: form_of decides for each payload."""
+    schema = "doc_id long, n_bytes long, media binary, pcm binary"
 
     def run(batches):
-        for piece in slices(batches):
-            rows = []
-            for key, value in zip(piece.column(0).to_pylist(), piece.column(1), strict=True):
-                raw = value.as_buffer().to_pybytes() if value.is_valid else b""
-                media = wav(pad(raw), form)
-                tag, _, align, back = read_wav(media)
-                pcm = to_pcm(tag, align, back)
-                wide = resample(pcm, 2)
-                rows.append((key, len(raw), media if keep else None, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), wide.astype("<i2", copy=False).tobytes() if keep else None, features(pcm, wide)))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), _STORED.types, strict=True)], schema=_STORED)
+        for piece in slices(batches, 2 << 20):
+            raw = [value.as_buffer().to_pybytes() if value.is_valid else b"" for value in piece.column(1)]
+            payloads = [pad(x) for x in raw]
+            media = [to_media(x, form_of(x) if form is None else form) for x in payloads]
+            pcm = [resample(x, 2).astype("<i2", copy=False).tobytes() for _, x, _ in from_media(media)]
+            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array([len(x) for x in raw], pa.int64()), pa.array(media, pa.binary()), pa.array(pcm, pa.binary())], names=["doc_id", "n_bytes", "media", "pcm"])
 
     small_batches(docs.sparkSession)
     return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, schema)
 
 
+def measure_stored(stored: DataFrame) -> DataFrame:
+    """Digests and features of stored rows (doc_id, n_bytes, media, pcm), from the stored bytes alone."""
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+
+    def run(batches):
+        for piece in slices(batches, 4 << 20):
+            rows, media = [], [x.as_buffer().to_pybytes() for x in piece.column(1)]
+            for key, n, whole, (payload, pcm, _), wide in zip(piece.column(0).to_pylist(), piece.column(2).to_pylist(), media, from_media(media), piece.column(3), strict=True):
+                rows.append((key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(whole), hashlib.sha256(whole).hexdigest(), features(pcm, np.frombuffer(wide.as_buffer(), "<i2"))))
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=[c.split()[0] for c in schema.split(", ")])
+
+    return stored.select("doc_id", "media", "n_bytes", "pcm").mapInArrow(run, schema)
+
+
 def decode_media(media: DataFrame, rate: int = 16000) -> DataFrame:
     """Stored containers (media_id, media) of any of the three codecs as 16-bit PCM at the given rate; null media gives null."""
 
     def run(batches):
         for piece in slices(batches):
-            out = []
-            for value in piece.column(1):
-                if not value.is_valid:
-                    out.append(None)
-                    continue
-                tag, was, align, data = read_wav(value.as_py())
-                out.append(resample(to_pcm(tag, align, data), rate, was).astype("<i2", copy=False).tobytes() if rate % was else resample(to_pcm(tag, align, data), rate // was).astype("<i2", copy=False).tobytes())
+            there = [k for k, value in enumerate(piece.column(1)) if value.is_valid]
+            out: list = [None] * piece.num_rows
+            for k, (_, pcm, was) in zip(there, from_media([piece.column(1)[k].as_py() for k in there]), strict=True):
+                up, down = (rate, was) if rate % was else (rate // was, 1)
+                out[k] = resample(pcm, up, down).astype("<i2", copy=False).tobytes()
             yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(out, pa.binary())], names=["media_id", "pcm"])
 
     return media.select(media["media_id"].cast("long"), media["media"]).mapInArrow(run, "media_id long, pcm binary")
