@@ -471,6 +471,55 @@ def test_mixing(spark, odd, none):
     assert mixing.mix(none).count() == 0
 
 
+def slow_mix(rows):
+    """The rule row by row: (source, doc_id, size) in order of odds, taken while that brings the source's words nearer to its rest."""
+    by = {}
+    for i, size, source in rows:
+        by.setdefault(source, []).append((i, size))
+    names = sorted(s for s in by if s is not None) + [None] * (None in by)
+    weight, total = {s: k % 3 + 1 for k, s in enumerate(names)}, {s: sum(x for _, x in by[s]) for s in names}
+    target, left, open_ = {}, sum(total.values()), set(names)
+    while open_:
+        level = left / sum(weight[s] for s in open_)
+        over = [s for s in open_ if level * weight[s] > 3 * total[s]]
+        for s in over or list(open_):
+            target[s] = 3 * total[s] if over else level * weight[s]
+            open_.discard(s)
+            left -= target[s] if over else 0
+    out = Counter()
+    for s in names:
+        if not total[s]:
+            out.update((s, i, 0) for i, _ in by[s])
+            continue
+        mean, whole = total[s] / sum(x > 0 for _, x in by[s]), int(target[s] // total[s])
+        rest, upto = target[s] - whole * total[s], 0
+
+        def odds(i, x, mean=mean):
+            u = (int(hashlib.md5(f"{'' if i is None else i}:{mixing.SEED}".encode()).hexdigest()[:13], 16) + 0.5) / (1 << 52)
+            return u / (1 - u) / (x / mean) ** 0.5
+
+        for _, i, x in sorted(((odds(i, x), -1 if i is None else i, x) for i, x in by[s] if x)):
+            upto += x
+            out[s, None if i < 0 else i, (whole + (2 * upto - x <= 2 * rest)) * x] += 1
+        out.update((s, i, 0) for i, x in by[s] if not x)
+    return out
+
+
+def test_mixing_row_by_row(spark):
+    """Ties in plenty: rows without an id, repeated ids, one source without words, one with a third of all rows."""
+    rnd = random.Random(9)
+    rows = [(None, rnd.choice([0, 1, 5, 5, 5]), "s1") for _ in range(900)] + [(rnd.randint(0, 40), rnd.choice([3, 7]), "s2") for _ in range(300)]
+    rows += [(k, rnd.randint(0, 60), rnd.choice(["a", "b", None, "z"])) for k in range(1500)] + [(k, 0, "blank") for k in range(5)]
+    df = spark.createDataFrame([(i, "w " * n, s) for i, n, s in rows], "doc_id long, text string, source string")
+    for run in (mixing.RUN, 7):
+        mixing.RUN, was = run, mixing.RUN
+        try:
+            got = Counter((r.source, r.doc_id, r.taken) for r in mixing.mix(df).collect())
+        finally:
+            mixing.RUN = was
+        assert got == slow_mix(rows)
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_against_sql(spark, name):
     import duckdb
