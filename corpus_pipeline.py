@@ -44,28 +44,31 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return found.filter((F.col("lang_pred") != language_id.UNKNOWN) & like).select(*COLUMNS)
 
 
-def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of linked documents the one with the smallest id stays; of repeated rows (equal id, or none, and equal text) one.
+def _keyed(docs: DataFrame, *told_apart_by: str) -> DataFrame:
+    """The columns of documents, and key and shared: the id, or for rows that have none or share it (shared is true then) a 64-bit hash of the named columns."""
+    common = ngram_join.cut(docs.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 or doc_id is null").select(F.col("doc_id").alias("id"), F.lit(True).alias("shared")))
+    marked = docs.select(*COLUMNS).join(_near(common), F.col("doc_id").eqNullSafe(F.col("id")), "left")
+    return marked.select(*COLUMNS, F.when(F.col("shared"), F.xxhash64(*told_apart_by)).otherwise(F.col("doc_id").cast("long")).alias("key"), "shared")
+
 
-    Rows whose id is null or not their own are told apart by a 64-bit hash of id and text."""
-    shared = ngram_join.cut(docs.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 or doc_id is null").select(F.col("doc_id").alias("id"), F.lit(True).alias("shared")))
-    marked = docs.select(*COLUMNS).join(_near(shared), F.col("doc_id").eqNullSafe(F.col("id")), "left")
-    rows = marked.select(*COLUMNS, F.when(F.col("shared"), F.xxhash64("doc_id", "text")).otherwise(F.col("doc_id").cast("long")).alias("key"), "shared")
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of linked documents the one with the smallest id stays; of repeated rows (equal id, or none, and equal text) one."""
+    rows = _keyed(docs, "doc_id", "text")
     groups = ngram_join.jaccard_components(rows.select(F.col("key").alias("doc_id"), "text"), STAGE_SHINGLE, *STAGE_JACCARD)
     groups = ngram_join.cut(groups.filter("n_shingles > 0").select(F.col("doc_id").alias("key"), "component_id").distinct().join(rows.select("key", "doc_id").distinct(), "key"))
     first = groups.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "key")).alias("first"))
     gone = ngram_join.cut(groups.join(first, "component_id").filter(F.col("key") != F.col("first.key")).select("key"))
     kept = rows.join(_near(gone), "key", "left_anti")
-    if shared.isEmpty():
-        return kept.select(*COLUMNS)
     return kept.filter("shared is null").unionByName(kept.filter("shared").dropDuplicates(["key"])).select(*COLUMNS)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it; rows without an id stay as they are."""
-    taken = mixing.cut(mixing.mix(docs).filter("doc_id is not null").groupBy("doc_id").agg(F.max("copies").cast("int").alias("copies")))
-    many = docs.select(*COLUMNS).join(_near(taken), "doc_id", "left").withColumn("copies", F.coalesce("copies", F.lit(1)))
-    return many.filter("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*COLUMNS)
+    """Each document as often as the mix takes it; of rows that are equal in all columns one comes as often as all of them are taken."""
+    rows = _keyed(docs, *COLUMNS)
+    taken = mixing.cut(mixing.mix(rows.select(F.col("key").alias("doc_id"), "source", "text")).groupBy(F.col("doc_id").alias("key")).agg(F.sum("copies").cast("int").alias("copies")).filter("copies > 0"))
+    alone = rows.filter("shared is null").unionByName(rows.filter("shared").dropDuplicates(["key"]))
+    many = alone.join(_near(taken), "key")
+    return many.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*COLUMNS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
