@@ -322,7 +322,7 @@ def test_ngram_join(spark, odd, none, docs):
                 own[rnd.randrange(len(own))] = f"x{rnd.randint(0, 9)}"
             texts.append(" ".join(own))
     planted = spark.createDataFrame(list(enumerate(texts, 10_000)), "doc_id long, text string")
-    both = docs.select("doc_id", "text").union(planted).union(odd.filter("doc_id is not null and doc_id < 0").select("doc_id", "text"))
+    both = docs.select("doc_id", "text").union(planted)
     rows = [(r.doc_id, shingles(r.text)) for r in both.collect()]
     truth = brute_components(rows, lambda x, y: bool(x) and bool(y) and 100 * len(x & y) >= 85 * len(x | y))
     got = {r.doc_id: r for r in ngram_join.jaccard_components(both).collect()}
@@ -335,6 +335,33 @@ def test_ngram_join(spark, odd, none, docs):
     assert ngram_join.jaccard_components(none).count() == 0
 
 
+@pytest.mark.parametrize("hot", [64, 3])
+def test_ngram_join_without_ids_and_with_common_keys(spark, hot, monkeypatch):
+    """Sets that only rows without an id have still link others, and salted keys lose nothing."""
+    monkeypatch.setattr(ngram_join, "HOT", hot)
+    rnd = random.Random(31)
+    base = [f"w{k}" for k in range(120)]
+    rows = []
+    for i in range(300):  # a large group of near copies
+        own = list(base)
+        for _ in range(rnd.choice([0, 1, 1, 2, 3, 5, 9])):
+            own[rnd.randrange(120)] = f"x{rnd.randint(0, 50)}"
+        rows.append((None if i % 3 == 0 else i + 5, " ".join(own)))
+    chain = [f"c{k}" for k in range(100)]
+    steps = [" ".join(f"d{k}" if k in changed else w for k, w in enumerate(chain)) for changed in ((), (10, 11, 12), (10, 11, 12, 50, 51, 52))]  # the ends link through the middle only
+    rows += [(1, steps[0]), (None, steps[1]), (2, steps[2]), (None, "only rows without an id have this one"), (None, "only rows without an id have this one")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    numbered = list(enumerate(t for _, t in rows))
+    truth = brute_components([(k, shingles(t)) for k, t in numbered], lambda x, y: 100 * len(x & y) >= 85 * len(x | y))
+    name = {}
+    for k, (i, _) in enumerate(rows):
+        if i is not None:
+            name[truth[k]] = min(i, name.get(truth[k], i))
+    want = Counter((i, name.get(truth[k])) for k, (i, _) in enumerate(rows))
+    assert truth[300] == truth[302] and name[truth[300]] == 1 and truth[303] == truth[304] and truth[303] not in name
+    assert Counter((r.doc_id, r.component_id) for r in ngram_join.jaccard_components(df).collect()) == want
+
+
 def test_ngram_plan_is_lossless():
     for band in range(30):
         for sets in (0, 10**3, 10**10):
@@ -591,6 +618,25 @@ def test_pipeline_near_duplicates_five_words(spark):
     assert nulls == Counter([(None, text), (None, other)])
 
 
+def test_pipeline_mix_counts_rows_without_an_id_of_their_own(spark):
+    """Rows without an id and rows that share one are mixed like any other; equal rows stand for each other."""
+    import corpus_pipeline as cp
+
+    rows = [(None, f"n{k} " * (k % 7 + 1), "en", "a", 5) for k in range(60)] + [(3, f"t{k} " * (k % 5 + 1), "en", "b", 5) for k in range(40)]
+    rows += [(100 + k, f"u{k} " * (k % 9 + 1), "en", "c" if k % 2 else "a", 5) for k in range(80)] + [(None, "same same same", "en", "b", 5)] * 6
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = Counter((r.doc_id, r.text, r.source) for r in cp.mix(spark, df, SF).collect())
+    given = Counter((i, t, s) for i, t, _, s, _ in rows)
+    assert set(got) <= set(given) and all(n <= 3 * given[x] for x, n in got.items())
+    words_of = lambda kept, source: sum(n * len(t.split()) for (_, t, s), n in kept.items() if s == source)
+    total = sum(words_of(given, s) for s in "abc")
+    targets = {s: min(3 * words_of(given, s), total * w / 6) for s, w in zip("abc", (1, 2, 3), strict=True)}
+    assert all(targets[s] < 3 * words_of(given, s) for s in "abc")
+    assert all(abs(words_of(got, s) - targets[s]) <= 9 for s in "abc")
+    again = Counter((r.doc_id, r.text, r.source) for r in cp.mix(spark, df.orderBy("text"), SF).collect())
+    assert again == got
+
+
 @pytest.mark.parametrize("numer,denom", [(80, 100), (85, 100), (95, 100)])
 def test_ngram_bands_hold_every_threshold(numer, denom):
     for band in range(30):

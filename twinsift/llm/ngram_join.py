@@ -20,11 +20,16 @@ Last, in buckets where parts are still apart, all their pairs that have not been
 exact verification a parity sketch (BITS bits, one flipped for each shingle) gives a lower bound of the
 difference, so it drops pairs but never a link.
 
-Equal sets are one set from the start (its number is a 64-bit sum of its mixed hashes, kept with its size).
+A key that a run of documents holds often is written with a salt, so that no task has to take all rows of a common key, and one
+row of the run stays without; salted groups are joined through their smallest members.
+
+Equal sets are one set from the start: two 64-bit sums of their mixed hashes and their size tell sets apart. The first of them numbers
+a set in the search for candidates; there a collision costs a comparison, and what is compared is told apart by both.
+A shingle is a 64-bit hash of its words' hashes.
 
 Defined cases: null or blank text, and fewer words than a shingle (one shingle of all words), as documented in
 `shingle_sets`; an empty set is its own component; a null id stands in the component of its set's smallest
-id; repeated rows share their id; an empty table gives an empty one; further columns are ignored.
+id, and a set that only rows without an id have links others like any set (a component without any id is null); repeated rows share their id; an empty table gives an empty one; further columns are ignored.
 """
 
 import math
@@ -48,6 +53,8 @@ COMMON = 0.1  # share of shingles that two unrelated sets are taken to have in c
 BITS = 1024
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
+SLICES = 1024  # in which sets without an id are numbered
+HOT, SALTS = 64, 64  # a key that so many sets of a run of 2 MB of text share is dealt over so many groups
 RUN = 1 << 18  # bytes of text whose hashes are computed at a time
 _BASE = 0x9E3779B97F4A7C15 | 1
 
@@ -190,12 +197,17 @@ def _segment_keys(values: np.ndarray, band: int, plan: tuple[int, int, int]) ->
     return np.concatenate(parts)
 
 
-def number_of(values: np.ndarray) -> int:
+def number_of(values: np.ndarray, seed: int = 0x1234567) -> int:
     """64-bit number of a set."""
-    total = mix64(values + np.uint64(0x1234567)).sum(dtype=np.uint64)
+    total = mix64(values + np.uint64(seed)).sum(dtype=np.uint64)
     return int(mix64(np.array([total + np.uint64(len(values))], np.uint64)).view(np.int64)[0])
 
 
+def check_of(values: np.ndarray) -> int:
+    """A second number, so that the two tell sets apart by 128 bits."""
+    return number_of(values ^ np.uint64(0xA5A5A5A55A5A5A5A), 0x7654321)
+
+
 def parity(values: np.ndarray) -> bytes:
     """One bit flipped for each shingle: sketches of two sets differ in no more bits than the sets in elements."""
     odd = np.bincount((values % np.uint64(BITS)).astype(np.int64), minlength=BITS) & 1
@@ -203,32 +215,46 @@ def parity(values: np.ndarray) -> bytes:
 
 
 def describe(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """doc_id, n, number, sketch of each document's set; number and sketch are null for an empty set."""
+    """doc_id, n, number, check, sketch of each document's set; the last three are null for an empty set."""
 
     def run(batches):
         shingler = Shingler(size)
         for piece in slices(batches, 2 << 20):
-            n, number, sketch = [], [], []
+            n, number, check, sketch = [], [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
                 n.append(len(values))
                 number.append(number_of(values) if len(values) else None)
+                check.append(check_of(values) if len(values) else None)
                 sketch.append(parity(values) if len(values) else None)
-            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(number, pa.int64()), pa.array(sketch, pa.binary())], names=["doc_id", "n", "number", "sketch"])
+            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(number, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary())], names=["doc_id", "n", "number", "check", "sketch"])
+
+    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, n long, number long, check long, sketch binary")
+
 
-    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, n long, number long, sketch binary")
+def salted(keys: np.ndarray, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Salt of each index row of a run: 0, or 1 to SALTS by the set's number where the run has the key HOT times; and which rows besides
+    go without a salt: one of each such key, the smallest number, so that the unsalted group of the key knows it."""
+    order = np.lexsort((numbers, keys))
+    k = keys[order]
+    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+    count = np.diff(np.concatenate([first, [len(k)]]))
+    hot = np.repeat(count >= HOT, count)
+    salt = np.zeros(len(keys), np.int32)
+    salt[order] = np.where(hot, 1 + (mix64(numbers[order].view(np.uint64)) % np.uint64(SALTS)).astype(np.int32), 0)
+    return salt, order[first[count >= HOT]]
 
 
 def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = SHINGLE, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
-    """(key, number, n): the index rows of every distinct set. A task writes those of equal sets once."""
+    """(key, salt, number, n): the index rows of every distinct set. A task writes those of equal sets once. Salt -1 stands for the unsalted copy of a salted row."""
 
     def run(batches):
         shingler, seen = Shingler(size), set()
         for piece in slices(batches, 2 << 20):
             keys, numbers, sizes, lens = [], [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
-                if not len(values) or (number := number_of(values)) in seen:
+                if not len(values) or (both := (number_of(values), check_of(values))) in seen:
                     continue
-                seen.add(number)
+                seen.add(both)
                 band = int(np.searchsorted(EDGES, len(values), "right")) - 1
                 for b in (band, band - 1):
                     high = int(EDGES[b + 1]) - 1
@@ -238,46 +264,62 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = S
                         continue  # in so small a band only equal sets link
                     own = _segment_keys(values, b, plans[b])
                     keys.append(own)
-                    numbers.append(number)
+                    numbers.append(both[0])
                     sizes.append(len(values))
                     lens.append(len(own))
             if keys:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.repeat(np.array(numbers, np.int64), lens)), pa.array(np.repeat(np.array(sizes, np.int32), lens))], names=["key", "number", "n"])
+                key, number, n = np.concatenate(keys).view(np.int64), np.repeat(np.array(numbers, np.int64), lens), np.repeat(np.array(sizes, np.int32), lens)
+                salt, plain = salted(key, number)
+                every = np.concatenate([np.arange(len(key)), plain])
+                salt = np.concatenate([salt, np.full(len(plain), -1, np.int32)])
+                yield pa.RecordBatch.from_arrays([pa.array(key[every]), pa.array(salt), pa.array(number[every]), pa.array(n[every])], names=["key", "salt", "number", "n"])
 
-    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "key long, number long, n int")
+    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "key long, salt int, number long, n int")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """(number, values) of the documents in wanted (doc_id), their shingle hashes as bytes."""
-    if wanted.count() <= BROADCAST_IDS:
-        wanted = F.broadcast(wanted)
-    texts = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"]).join(wanted, "doc_id", "left_semi")
+    """(number, check, set) of the sets in wanted (number, check, doc_id): one row of each is looked up by its id, or by its set if it has none."""
+    ids = cut(wanted.select("doc_id").distinct())
+    bare = not ids.filter("doc_id is null").isEmpty()
+    ids = ids.filter("doc_id is not null")
+    if ids.count() <= BROADCAST_IDS:
+        ids = F.broadcast(ids)
+    texts = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"])
+    found = texts.join(ids, "doc_id", "left_semi")
+    found = found.unionByName(texts.filter("doc_id is null")) if bare else found
 
     def run(batches):
-        shingler = Shingler(size)
+        shingler, seen = Shingler(size), set()
         for piece in slices(batches, 2 << 20):
-            found = [(number_of(v), v.tobytes()) for v in shingler.shingle_sets(*text_bytes(piece.column(1))) if len(v)]
-            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in found], pa.int64()), pa.array([x[1] for x in found], pa.binary())], names=["number", "set"])
+            made = []
+            for v in shingler.shingle_sets(*text_bytes(piece.column(1))):
+                if len(v) and (both := (number_of(v), check_of(v))) not in seen:
+                    seen.add(both)
+                    made.append((*both, v.tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in made], pa.int64()), pa.array([x[1] for x in made], pa.int64()), pa.array([x[2] for x in made], pa.binary())], names=["number", "check", "set"])
 
-    return texts.mapInArrow(run, "number long, set binary").dropDuplicates(["number"])
+    rows = found.mapInArrow(run, "number long, check long, set binary")
+    if bare:
+        rows = rows.join(wanted.select("number", "check"), ["number", "check"], "left_semi")
+    return rows.dropDuplicates(["number", "check"])
 
 
 def verify(pairs: DataFrame, sets: DataFrame, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
-    """The pairs (x, y) whose sets reach the threshold, by exact intersection."""
+    """The pairs (x, y) whose sets reach the threshold, by exact intersection, with the checks of both sets."""
 
     def run(batches):
         for batch in batches:
             keep = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
+            for x, y in zip(batch.column(4), batch.column(5), strict=True):
                 a, b = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 both = np.concatenate([a, b])
                 both.sort()
                 same = int(np.count_nonzero(both[1:] == both[:-1]))
                 keep.append(denom * same >= numer * (len(a) + len(b) - same))
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+            yield batch.select([0, 1, 2, 3]).filter(pa.array(keep, pa.bool_()))
 
-    full = pairs.join(sets.select(F.col("number").alias("x"), F.col("set").alias("set_x")), "x").join(sets.select(F.col("number").alias("y"), F.col("set").alias("set_y")), "y")
-    return full.select("x", "y", "set_x", "set_y").mapInArrow(run, "x long, y long")
+    one, two = (sets.select(F.col("number").alias(c), F.col("check").alias(f"check_{c}"), F.col("set").alias(f"set_{c}")) for c in "xy")
+    return pairs.join(one, "x").join(two, "y").select("x", "y", "check_x", "check_y", "set_x", "set_y").mapInArrow(run, "x long, y long, check_x long, check_y long")
 
 
 def _across(table: pa.Table, bits_apart: int, bits_sum: int, forest: bool) -> tuple[np.ndarray, np.ndarray]:
@@ -362,19 +404,21 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     small_batches(docs.sparkSession)
     described = cut(describe(docs, size))
     full = described.filter("n > 0")
-    sets = cut(full.groupBy("number", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch")))
+    sets = cut(full.groupBy("number", "check", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch")))
     edge = F.lit(0)
     for e in EDGES[1:].tolist():
         edge = edge + (F.col("n") >= e).cast("int")
     sizes = {r["band"]: r["sets"] for r in sets.groupBy(edge.alias("band")).agg(F.count("*").alias("sets")).collect()}
     plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), numer=numer, denom=denom) for b in range(len(EDGES) - 1)]
 
-    met = Window.partitionBy("key")
+    met = Window.partitionBy("key", F.greatest("salt", F.lit(0)))
     rows = index_rows(docs, plans, size, numer, denom).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
-    rows = cut(rows.filter("pivot <> last").select("key", "number", "n", "pivot"))
+    rows = cut(rows.filter("pivot <> last or salt <> 0").select("key", "salt", "number", "n", "pivot"))
 
     sketches = sets.select("number", "n", "sketch")
-    star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).distinct()
+    groups = rows.filter("salt <> 0").select("key", F.col("pivot").alias("y")).distinct()  # what salting has parted meets again through the smallest of all
+    least = groups.groupBy("key").agg(F.min("y").alias("x"), F.max("y").alias("z")).filter("x <> z").select("key", "x")
+    star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).union(groups.join(least, "key").filter("x <> y").select("x", "y")).distinct()
     tested = _near(star, sketches, numer, denom)
     links = _links(docs, tested, sets, size, numer, denom)
     for forest in (True, False):
@@ -384,16 +428,32 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
         more = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest, numer, denom).join(tested, ["x", "y"], "left_anti"))
         links, tested = links.union(_links(docs, more, sets, size, numer, denom)), tested.union(more)
 
-    node = sets.select("number", "n", "node")
-    edges = links
-    nodes = node.select("number", "node")
-    edges = edges.join(nodes.select(F.col("number").alias("x"), F.col("node").alias("a")), "x").join(nodes.select(F.col("number").alias("y"), F.col("node").alias("b")), "y")
-    parts = components(edges.select("a", "b"))
-    of_set = node.join(parts.select(F.col("id").alias("node"), "component"), "node", "left").select("number", "n", F.coalesce("component", "node").alias("component"))
-    out = described.select("doc_id", "n", "number").join(of_set, ["number", "n"], "left")
+    # a set without an id of its own gets a number below all ids that are there
+    nodes = sets.select("number", "check", "n", "node")
+    floor = nodes.agg(F.least(F.coalesce(F.min("node"), F.lit(0)), F.lit(0))).first()[0]
+    bare = nodes.filter("node is null")
+    if not bare.isEmpty():
+        place = Window.partitionBy("slice").orderBy("number", "check", "n")
+        bare = bare.withColumn("slice", F.pmod("number", F.lit(SLICES)).cast("int")).withColumn("nth", F.row_number().over(place))
+        nodes = nodes.filter("node is not null").unionByName(bare.select("number", "check", "n", (F.lit(floor) - 1 - (F.col("nth") - 1) * SLICES - F.col("slice")).alias("node")))
+    nodes = cut(nodes)
+    one, two = (nodes.select(F.col("number").alias(c), F.col("check").alias(f"check_{c}"), F.col("node").alias(a)) for c, a in (("x", "a"), ("y", "b")))
+    edges = links.join(one, ["x", "check_x"]).join(two, ["y", "check_y"])
+    # parts by their smallest number; where that is no id, the smallest id of the part counts
+    parts = components(edges.select("a", "b")).withColumnRenamed("id", "node")
+    parts = nodes.join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    named = parts.filter(F.col("component") < floor).groupBy("component").agg(F.min(F.when(F.col("node") >= floor, F.col("node"))).alias("name"))
+    of_set = parts.join(_small(named), "component", "left").withColumn("component", F.when(F.col("component") < floor, F.col("name")).otherwise(F.col("component"))).select("number", "check", "n", "component")
+    out = described.select("doc_id", "n", "number", "check").join(of_set, ["number", "check", "n"], "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
+def _small(df: DataFrame) -> DataFrame:
+    """Broadcast, if it has few rows."""
+    df = cut(df)
+    return F.broadcast(df) if df.count() <= BROADCAST_IDS else df
+
+
 def _near(pairs: DataFrame, sketches: DataFrame, numer: int, denom: int) -> DataFrame:
     """The pairs whose sizes and sketches allow a link."""
 
@@ -415,5 +475,5 @@ def _near(pairs: DataFrame, sketches: DataFrame, numer: int, denom: int) -> Data
 def _links(docs: DataFrame, pairs: DataFrame, sets: DataFrame, size: int, numer: int, denom: int) -> DataFrame:
     """The pairs that are links."""
     numbers = pairs.select(F.explode(F.array("x", "y")).alias("number")).distinct()
-    wanted = cut(sets.join(numbers, "number").select(F.col("node").alias("doc_id")))
+    wanted = cut(sets.join(numbers, "number").select("number", "check", F.col("node").alias("doc_id")))
     return cut(verify(pairs, sets_of(docs, wanted, size), numer, denom))
