@@ -1,6 +1,7 @@
 """Each operator against brute force on small inputs, with nulls, ties, repeats and clashing extra columns."""
 
 import hashlib
+import json
 import os
 import random
 import re
@@ -124,6 +125,33 @@ def test_sharding(spark, odd, none, docs):
     assert sharding.balance(none).count() == 0
 
 
+def test_sharding_keeps_quotas_and_counts_cut_links(spark):
+    """Groups of many sizes: quotas hold, slots are gapless, cut_links counts what brute force counts, and fewer links are cut than by hash."""
+    rnd = random.Random(14)
+    rows = [(i, f"group {g}") for g, n in enumerate([60, 25, 12, 12, 7, 5, 3, 2, 2, 2, *[1] * 70]) for i in range(1000 * g, 1000 * g + n)]
+    rows += [(None, "group 1")] * 5 + [(1000, "group 1")] * 2 + [(None, None)] * 3
+    rnd.shuffle(rows)
+    for shards in (3, 8):
+        placed = sharding.balance(spark.createDataFrame(rows, "doc_id long, text string"), shards).cache()
+        got = placed.collect()
+        sizes = Counter(r.shard for r in got)
+        assert [sizes[s] for s in range(shards)] == [len(rows) // shards + (s < len(rows) % shards) for s in range(shards)]
+        assert all(sorted(r.slot for r in got if r.shard == s) == list(range(sizes[s])) for s in range(shards))
+        assert Counter((r.doc_id, r.text_crc32) for r in got) == Counter((i, zlib.crc32((t or "").encode())) for i, t in rows)
+
+        def apart(of):
+            by = {}
+            for r, s in of:
+                by.setdefault(r.group, Counter())[s] += 1
+            many = [c for c in by.values() if sum(c.values()) > 1]
+            return sum(sum(c.values()) for c in many), sum(sum(c.values()) - max(c.values()) for c in many)
+
+        mine = apart((r, r.shard) for r in got)
+        one = sharding.cut_links(placed).first()
+        assert (one.linked, one.apart) == mine
+        assert max(0, 60 - max(sizes.values())) <= mine[1] < 0.7 * apart((r, zlib.crc32(repr(r).encode()) % shards) for r in got)[1]
+
+
 def test_sharding_gathers_a_large_group(spark):
     cells = spark.range(16).selectExpr("7L as group", "cast(id as int) as bucket", "cast(id as int) as shard", "50L as n").coalesce(1)  # 8 quotas
     done, report = sharding.propagate(cells, [100] * 16)
@@ -206,6 +234,16 @@ def test_bpe(odd, none, docs):
         assert r.ids_sha256 == hashlib.sha256(np.array(e.ids, "<u4").tobytes()).hexdigest()
 
 
+def test_bpe_refuses_what_it_does_not_do():
+    spec = json.loads(open(tokenizer_path(), encoding="utf-8").read())
+    bpe.check_spec(spec)
+    for change in ({"normalizer": {"type": "NFC"}}, {"pre_tokenizer": {"type": "Whitespace"}}, {"added_tokens": [spec["added_tokens"][0] | {"lstrip": True}]}, {"model": spec["model"] | {"ignore_merges": True}}):
+        with pytest.raises(ValueError):
+            bpe.check_spec(spec | change)
+    with pytest.raises(ValueError):
+        bpe.PairIndexBpe(open(tokenizer_path("word_bpe_49k.json"), encoding="utf-8").read())
+
+
 def test_chat_round_trip_and_spans():
     rnd = random.Random(2)
     bits = [*chat.CONTROLS, "\\", "a", " ", "\n", "é", "b", "="]

@@ -10,7 +10,8 @@ the same as the word-by-word rule.
 Defined cases: null text is empty and has no tokens; repeated rows give
 repeated results; further columns are ignored; the text of the special token is
 encoded as that token. The word index is reset when it exceeds WORDS entries,
-so memory follows the batch and not the corpus.
+so memory follows the batch and not the corpus. A vocabulary file that asks for a normalizer, another split or tokens with
+flags is refused.
 """
 
 import gc
@@ -41,6 +42,22 @@ def printable_bytes() -> dict[str, int]:
     return {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+def check_spec(spec: dict) -> None:
+    """Refuses a vocabulary file that asks for anything but what is done here, rather than encode it otherwise than its library."""
+    model, before = spec["model"], spec.get("pre_tokenizer") or {}
+    wrong = [k for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "fuse_unk", "byte_fallback", "ignore_merges") if model.get(k)]
+    wrong += [k for k in ("normalizer", "post_processor") if spec.get(k)]
+    if model.get("type") != "BPE":
+        wrong.append("model type")
+    if before.get("type") != "ByteLevel" or before.get("add_prefix_space") or not before.get("use_regex", True):
+        wrong.append("pre_tokenizer")
+    if (spec.get("decoder") or {}).get("type") != "ByteLevel":
+        wrong.append("decoder")
+    wrong += [f"{t['content']}: {k}" for t in spec.get("added_tokens", []) for k in ("single_word", "lstrip", "rstrip", "normalized") if t.get(k)]
+    if wrong:
+        raise ValueError(f"the vocabulary file asks for what this encoder does not do: {', '.join(wrong)}")
+
+
 class _Numbered(dict):
     def __missing__(self, word):
         self[word] = n = len(self)
@@ -50,6 +67,7 @@ class _Numbered(dict):
 class PairIndexBpe:
     def __init__(self, spec: str):
         model = json.loads(spec)
+        check_spec(model)
         as_byte = printable_bytes()
         vocab = model["model"]["vocab"]
         self.special = {t["content"]: t["id"] for t in model["added_tokens"]}
@@ -84,7 +102,7 @@ class PairIndexBpe:
 
     def rank_of(self, a, b):
         """Rank of each pair, or -1."""
-        key = a << 32 | b
+        key = a.astype(np.int64) << 32 | b
         at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
         return np.where((self.keys[at] == key) & (a >= 0) & (b >= 0), self.ranks[at], -1)
 
@@ -92,12 +110,12 @@ class PairIndexBpe:
         """Ids of all words one after another, and their number in each word."""
         lens = np.fromiter(map(len, words), np.int64, len(words))
         ends = np.cumsum(lens + 1)
-        sym = np.full(int(ends[-1]) + 1 if len(words) else 1, _END, np.int64)
+        sym = np.full(int(ends[-1]) + 1 if len(words) else 1, _END, np.int32)  # 12 bytes a byte of text in the three arrays
         inside = np.ones(len(sym), bool)
         inside[-1] = False
         inside[ends - 1] = False
         sym[inside] = self.byte_id[np.frombuffer(b"".join(words), np.uint8)]
-        nxt, prv = np.arange(1, len(sym) + 1), np.arange(-1, len(sym) - 1)
+        nxt, prv = np.arange(1, len(sym) + 1, dtype=np.int32), np.arange(-1, len(sym) - 1, dtype=np.int32)
         places, heap = {}, []
 
         def note(at, rank):
