@@ -29,7 +29,7 @@ class Config:
     p: float = 3.0
 
 
-PRESETS = {"paper": Config(), "small": Config(hidden=64, dim=64, qk=32), "tiny": Config(chunk=128, hidden=32, dim=32, qk=16)}
+PRESETS = {"paper": Config(), "small": Config(hidden=64, dim=64, qk=32), "tiny": Config(chunk=128, hidden=64, dim=128, qk=32)}
 
 # The grids of the ablations, as published.
 GRID = {"block": BLOCKS, "chunk": (128, 256, 512, 1024, 2048), "dim": (64, 128, 256, 512, 768), "pool": ("avg", "max", "gem"), "blocks x hidden": tuple((b, h) for b in (2, 3, 4) for h in (64, 128, 256, 512))}

@@ -85,26 +85,34 @@ def fit(views: list[tuple[int, str, str]], c: Config, steps: int, size: int = 32
     return weights, losses
 
 
-def fit_distributed(views: DataFrame, c: Config, steps: int, workers: int = 2, size: int = 16, seed: int = 0, peak: float = 1e-2) -> dict:
-    """Data-parallel: a barrier stage whose tasks share gradients each step and so keep equal weights; one of them hands on the result.
+def fit_distributed(views: DataFrame, c: Config, steps: int, workers: int = 2, size: int = 16, seed: int = 0, peak: float = 1e-2, every: int = 1) -> dict:
+    """Data-parallel: a barrier stage whose tasks meet after each `every` steps; one of them hands on the result.
 
-    views: (class_id, view_a, view_b), dealt over the workers. A lost task restarts the stage, as barrier stages do."""
+    every = 1: they share gradients and so keep equal weights. More (a meeting takes about a second, whatever is shared): each goes on by itself
+    from step to step, and they go on from the mean of their weights. views: (class_id, view_a, view_b), dealt over the workers.
+    A lost task restarts the stage, as barrier stages do."""
 
     def run(rows: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyspark import BarrierTaskContext
 
         ctx = BarrierTaskContext.get()
+
+        def mean(mine: dict | None) -> dict:
+            got = [pickle.loads(base64.b64decode(x)) for x in ctx.allGather(base64.b64encode(pickle.dumps(mine)).decode())]
+            got = [g for g in got if g is not None]
+            return {k: sum(g[k] for g in got) / len(got) for k in got[0]} if got else {}
+
         own = [(int(k), a, b) for part in rows for k, a, b in zip(part["class_id"], part["view_a"], part["view_b"], strict=True)]
         weights = init(c, seed)
         lamb, source = Lamb(weights), batches(own, size, seed + ctx.partitionId()) if own else None
         for step in range(steps):
-            mine = None
-            if own:
-                texts, ids = next(source)
-                mine = gradients(weights, c, texts, ids)[1]
-            got = [pickle.loads(base64.b64decode(x)) for x in ctx.allGather(base64.b64encode(pickle.dumps(mine)).decode())]
-            got = [g for g in got if g is not None]
-            lamb.step(weights, {k: sum(g[k] for g in got) / len(got) for k in weights}, cosine_rate(step, steps, peak))
+            mine = gradients(weights, c, *next(source))[1] if own else None
+            if every == 1:
+                mine = mean(mine)
+            if mine:
+                lamb.step(weights, mine, cosine_rate(step, steps, peak))
+            if every > 1 and (step % every == every - 1 or step == steps - 1):
+                weights = mean(weights if own else None) or weights
         if ctx.partitionId() == 0:
             yield pd.DataFrame({"name": list(weights), "shape": [list(v.shape) for v in weights.values()], "value": [v.ravel().tolist() for v in weights.values()]})
 
