@@ -1,5 +1,7 @@
 """Queries of groups A (pooling), T (loss), M and C over the vector table, each with its SQL."""
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -181,7 +183,7 @@ GRID = [round(0.2 + 0.01 * i, 2) for i in range(41)]
 
 
 def scored_pairs(spark, sf_dir):
-    """Every pair with cosine over 0.2 and whether the labels agree."""
+    """Every pair with cosine over 0.2 and whether the labels agree; same-label pairs below that are counted by the sweep as never found."""
     e = embeddings(spark, sf_dir)
     p = matching.pairs(e, 0.2).withColumn("score", F.round("score", 9))
     a, b = e.select(F.col("vec_id").alias("a"), F.col("label").alias("la")), e.select(F.col("vec_id").alias("b"), F.col("label").alias("lb"))
@@ -189,12 +191,17 @@ def scored_pairs(spark, sf_dir):
 
 
 _SCORED = f"(select x.vec_id as a, y.vec_id as b, round({COS}, 9) as score, (x.label = y.label)::bigint as truth from {E} x join {E} y on x.vec_id < y.vec_id where {COS} >= 0.2 - 1e-12)"
-_SWEEP = f"with s as materialized {_SCORED}, t as (select unnest([{', '.join(map(str, GRID))}])::double as threshold), c as (select threshold, coalesce(sum(truth) filter (score >= threshold), 0)::bigint as tp, coalesce(sum(1 - truth) filter (score >= threshold), 0)::bigint as fp, sum(truth)::bigint as p from s, t group by 1), r as (select threshold, tp, fp, p - tp as fn, case when tp + fp = 0 then 1.0 else tp::double / (tp + fp) end as precision, case when p = 0 then 1.0 else tp::double / p end as recall from c) select threshold, tp, fp, fn, round(precision, 6) as precision, round(recall, 6) as recall, round(case when precision + recall = 0 then 0.0 else 2 * precision * recall / (precision + recall) end, 6) as f1 from r"
+_SWEEP = f"with s as materialized {_SCORED}, t as (select unnest([{', '.join(map(str, GRID))}])::double as threshold), c as (select threshold, coalesce(sum(truth) filter (score >= threshold), 0)::bigint as tp, coalesce(sum(1 - truth) filter (score >= threshold), 0)::bigint as fp, (select sum(n * (n - 1) / 2)::bigint from (select count(*) as n from embeddings group by label)) as p from s, t group by 1), r as (select threshold, tp, fp, p - tp as fn, case when tp + fp = 0 then 1.0 else tp::double / (tp + fp) end as precision, case when p = 0 then 1.0 else tp::double / p end as recall from c) select threshold, tp, fp, fn, round(precision, 6) as precision, round(recall, 6) as recall, round(case when precision + recall = 0 then 0.0 else 2 * precision * recall / (precision + recall) end, 6) as f1 from r"
+
+
+def same_label_pairs(spark, sf_dir) -> int:
+    """All true pairs, scored or not: label counts are enough."""
+    return embeddings(spark, sf_dir).groupBy("label").agg(F.count("*").alias("n")).agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0)).cast("long")).first()[0]
 
 
 @query(_SWEEP)
 def m_sweep(spark, sf_dir):
-    out = matching.sweep(scored_pairs(spark, sf_dir), GRID)
+    out = matching.sweep(scored_pairs(spark, sf_dir), GRID, same_label_pairs(spark, sf_dir))
     return out.select("threshold", "tp", "fp", "fn", *(F.round(c, 6).alias(c) for c in ("precision", "recall", "f1")))
 
 
@@ -256,7 +263,7 @@ from twinsift.catalogue.lexical import md5_sql  # noqa: E402
 @query(f"select (select count(*) from documents) as n, count(distinct id) as with_duplicate, round(100.0 * count(distinct id) / (select count(*) from documents), 6) as percent from (select unnest([a, b]) as id from {JACCARD_SQL} where score >= 0.8)")
 def m_rate_within(spark, sf_dir):
     docs = read_table(spark, sf_dir, "documents")
-    return clustering.rate_within(docs.select(F.col("doc_id").alias("id")), sketches.jaccard_join(sketches.shingle_hashes(docs), 0.8))
+    return clustering.rate_within(docs.select(F.col("doc_id").alias("id")), *sketches.jaccard_classes(sketches.shingle_hashes(docs), 0.8))
 
 
 SPLIT = f"(select doc_id as id, case when {md5_sql('doc_id::varchar')} % 10 = 0 then 'valid' else 'train' end as split from documents)"
@@ -271,7 +278,7 @@ def split(docs):
 @query(f"with s as {SPLIT}, p as (select a, b from {JACCARD_SQL} where score >= 0.8), h as (select distinct case when x.split = 'valid' then a else b end as id from p join s x on x.id = a join s y on y.id = b where x.split <> y.split) select count(*) as n, count(h.id) as with_duplicate, round(100.0 * count(h.id) / count(*), 6) as percent from s left join h using (id) where split = 'valid'")
 def m_rate_across(spark, sf_dir):
     docs = read_table(spark, sf_dir, "documents")
-    return clustering.rate_across(split(docs), sketches.jaccard_join(sketches.shingle_hashes(docs), 0.8))
+    return clustering.rate_across(split(docs), *sketches.jaccard_classes(sketches.shingle_hashes(docs), 0.8))
 
 
 @query(r"with f as (select doc_id, ' ' || array_to_string(list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda w: w <> ''), ' ') || ' ' as t from documents), p as (select item_id, ' ' || array_to_string(list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}]+'), lambda w: w <> ''), ' ') || ' ' as p from benchmark) select doc_id, item_id from f join p on contains(t, p) where p <> '  '")
@@ -300,22 +307,75 @@ def m_short_text(spark, sf_dir):
     return both.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), F.round("score", 6).alias("score"))
 
 
-def _recall(spark, sf_dir, found):
-    truth = _knn(spark, sf_dir, 1).select("query_id", "target_id")
-    return metrics.recall_at(found, truth, 1)
+def disturbed(e: DataFrame, share: float = 0.06) -> DataFrame:
+    """(vec_id, embedding): near copies of all vectors, as queries; each component moves by noise of this deviation that the id and the place fix.
+
+    At 64 components and unit length .06 makes cosines of about .9, the published thresholds' region."""
+    u = lambda i, s: (F.pmod(F.xxhash64("vec_id", i, F.lit(s)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
+    noise = lambda i: F.sqrt(-2 * F.log(u(i, "r"))) * F.cos(2 * math.pi * u(i, "a"))
+    return e.select("vec_id", F.transform("embedding", lambda x, i: x.cast("double") + share * noise(i)).alias("embedding"))
+
+
+def _recall(queries: DataFrame, targets: DataFrame, found: DataFrame, compared: DataFrame) -> DataFrame:
+    """(queries, recall, candidate_percent): share of exact nearest neighbours that were found, and how many of all pairs were compared for it."""
+    truth = matching.knn(queries, targets, 1, ("vec_id", "embedding"), ("vec_id", "embedding")).select("query_id", "target_id")
+    n = queries.agg(F.count("*").alias("q")).crossJoin(targets.agg(F.count("*").alias("t"))).crossJoin(compared.agg(F.count("*").alias("c")))  # one row each
+    return metrics.recall_at(found, truth, 1).crossJoin(n).select("queries", "recall", F.round(100 * F.col("c") / F.col("q") / F.col("t"), 4).alias("candidate_percent"))
 
 
 @query()
 def m_ivf_recall(spark, sf_dir):
-    e = embeddings(spark, sf_dir)
-    cells, centres = matching.ivf_build(e, 10)
-    return _recall(spark, sf_dir, matching.ivf_search(e.filter("vec_id % 50 = 0"), e, cells, centres, 1, 6))
+    """Near copies of all vectors against all vectors by an inverted-list index: about 64 vectors a list, 6 % of the lists probed."""
+    e = cut(embeddings(spark, sf_dir).select("vec_id", "embedding"))
+    q = cut(disturbed(e))
+    lists = max(16, min(4096, e.count() // 64))
+    cells, centres = matching.ivf_build(e, lists)
+    cells = cut(cells)
+    probes = max(1, round(0.06 * lists))
+    met = matching.assign_cells(q, centres, probes).join(cells.withColumnRenamed("vec_id", "target_id"), "cell")
+    return _recall(q, e, matching.ivf_search(q, e, cells, centres, 1, probes, skip_same=False), met)
 
 
 @query()
 def m_sign_recall(spark, sf_dir):
-    e = embeddings(spark, sf_dir)
-    return _recall(spark, sf_dir, matching.sign_search(e.filter("vec_id % 50 = 0"), e, DIM, 1, 32, 5))
+    """The same by sign codes of 10 bits in 16 tables."""
+    e = cut(embeddings(spark, sf_dir).select("vec_id", "embedding"))
+    q = cut(disturbed(e))
+    met = matching.sign_candidates(q, e, DIM, 16, 10)
+    return _recall(q, e, matching.sign_search(q, e, DIM, 1, 16, 10, skip_same=False), met)
+
+
+@query()
+def m_near_join_recall(spark, sf_dir):
+    """(threshold, exact, found, recall, candidate_percent) of the approximate threshold join over all vectors and near copies of them."""
+    e = embeddings(spark, sf_dir).select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
+    both = cut(e.union(disturbed(e).withColumn("vec_id", -1 - F.col("vec_id"))).union(disturbed(e, 0.09).withColumn("vec_id", -1_000_000_000 - F.col("vec_id"))))
+    n, out = both.count(), None
+    for t in (0.9, 0.85):
+        truth = cut(matching.pairs(both, t))
+        found, met = matching.near_pairs_counted(both, t, DIM, 0.95, "vec_id", "embedding")
+        hit = truth.join(cut(found).select("a", "b"), ["a", "b"], "left_semi")
+        row = truth.agg(F.count("*").alias("exact")).crossJoin(hit.agg(F.count("*").alias("found"))).crossJoin(met.agg(F.count("*").alias("c")))
+        row = row.select(F.lit(t).alias("threshold"), "exact", "found", F.round(F.try_divide("found", "exact"), 6).alias("recall"), F.round(100 * F.col("c") / (n * (n - 1) / 2), 4).alias("candidate_percent"))
+        out = row if out is None else out.union(row)
+    return out
+
+
+@query()
+def b_minhash_recall(spark, sf_dir):
+    """(pairs, exact, found, recall): how many pairs of texts, and of texts that are not equal as sets, the banded search finds at .8 with 256 hashes."""
+    hashed = cut(sketches.shingle_hashes(read_table(spark, sf_dir, "documents")))
+    reps, members = sketches.classes(hashed)
+    keys = sketches.band_keys(sketches.sign_hashes(reps, 256), *sketches.choose_bands(0.8, 256, recall=0.95))
+    near, members = cut(sketches.exact_pairs(reps, sketches.candidates(keys), 0.8)), cut(members)
+    exact_near = cut(sketches.jaccard_classes(hashed, 0.8)[0])
+    rows = [("of sets", exact_near, near), ("of texts", sketches.expand(exact_near, members), sketches.expand(near, members))]
+    out = None
+    for name, truth, found in rows:
+        hit = truth.select("a", "b").join(found.select("a", "b"), ["a", "b"], "left_semi")
+        row = truth.agg(F.count("*").alias("exact")).crossJoin(hit.agg(F.count("*").alias("found"))).select(F.lit(name).alias("pairs"), "exact", "found", F.round(F.try_divide("found", "exact"), 6).alias("recall"))
+        out = row if out is None else out.union(row)
+    return out
 
 
 # measures -----------------------------------------------------------------------------------------
@@ -387,12 +447,8 @@ def c_ratio(spark, sf_dir):
 def c_dup_rates(spark, sf_dir):
     """Share of train with a duplicate in train, and of valid with one in train."""
     docs = read_table(spark, sf_dir, "documents")
-    found = cut(sketches.jaccard_join(sketches.shingle_hashes(docs), 0.8))
-    parts = split(docs)
-    train = parts.filter("split = 'train'").select("id")
-    inner = found.join(train.withColumnRenamed("id", "a"), "a").join(train.withColumnRenamed("id", "b"), "b")
-    one = clustering.rate_within(train, inner).select(F.lit("train").alias("part"), "percent")
-    return one.union(clustering.rate_across(parts, found).select(F.lit("valid").alias("part"), "percent"))
+    by = clustering.rates(*sketches.jaccard_classes(sketches.shingle_hashes(docs), 0.8), split(docs))
+    return by.select(F.col("split").alias("part"), "percent")
 
 
 @query(f"with t as (select a, b from {JACCARD_SQL} where score >= 0.5), f as (select x.doc_id as a, y.doc_id as b from documents x join documents y on string_split(x.text, chr(10))[1] = string_split(y.text, chr(10))[1] and x.doc_id < y.doc_id), w as (select 'false positive' as kind, a, b from (select a, b from f except select a, b from t) union all select 'false negative', a, b from (select a, b from t except select a, b from f)), k as (select *, row_number() over (partition by kind order by {md5_sql(chr(97) + ' || ' + repr('-') + ' || b || ' + repr('-errors'))}, a, b) as rn from w) select kind, a, b, substring(x.text, 1, 512) as text_a, substring(y.text, 1, 512) as text_b from k join documents x on x.doc_id = a join documents y on y.doc_id = b where rn <= 20")

@@ -11,7 +11,7 @@ from twinsift.operators.matching import pairs
 
 by_value(__name__)
 
-MAX_COMPONENT = 20_000
+MATRIX = 4000  # vectors whose distances to one another are kept: 128 MB
 
 
 def label_all(ids: DataFrame, edges: DataFrame, id_col: str = "id") -> DataFrame:
@@ -20,13 +20,88 @@ def label_all(ids: DataFrame, edges: DataFrame, id_col: str = "id") -> DataFrame
     return ids.select(F.col(id_col).alias("id")).join(parts, "id", "left").select("id", F.coalesce("cluster", "id").alias("cluster"))
 
 
+def _labels(ids: np.ndarray, merges: list[tuple[float, int, int]], cut: float) -> np.ndarray:
+    """The smallest id of each place's cluster after all merges up to the cut."""
+    n = len(ids)
+    root = np.arange(n)
+
+    def top(i):
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    for height, a, b in merges:
+        if height <= cut + 1e-12:
+            p, q = top(a), top(b)
+            root[max(p, q)] = min(p, q)
+    label = np.array([top(i) for i in range(n)])
+    least = np.full(n, np.iinfo(np.int64).max)
+    np.minimum.at(least, label, ids)
+    return least[label]
+
+
+def agglomerate_lean(x: np.ndarray, ids: np.ndarray, linkage: str, cut: float) -> np.ndarray:
+    """The clusters of `agglomerate` in memory of the size of the vectors: distances are computed when a chain asks for them.
+
+    The mean cosine of two clusters is the product of their mean vectors; for complete linkage the farthest member counts, one member of the asking cluster at a time.
+    Chains end at the cut: beyond it no merge changes the labels."""
+    n = len(ids)
+    sums, size, alive = x.copy(), np.ones(n), np.ones(n, bool)
+    members: dict[int, list[int]] = {i: [i] for i in range(n)}
+    owner = np.arange(n)
+    merges, done = [], np.zeros(n, bool)
+
+    def row(a: int) -> np.ndarray:
+        if linkage == "average":
+            far = 1 - (sums @ sums[a]) / (size * size[a])
+        else:
+            far = np.full(n, np.inf if linkage == "single" else -np.inf)
+            pick = np.minimum.at if linkage == "single" else np.maximum.at
+            for k in members[a]:
+                pick(far, owner, 1 - x @ x[k])
+        far[~alive] = np.inf
+        far[a] = np.inf
+        return far
+
+    chain: list[int] = []
+    while True:
+        if not chain:
+            left = np.flatnonzero(alive & ~done)
+            if not len(left):
+                break
+            chain.append(int(left[0]))
+        a = chain[-1]
+        far = row(a)
+        b = int(far.argmin())
+        if len(chain) > 1 and far[chain[-2]] <= far[b]:
+            b = chain[-2]
+        if far[b] > cut + 1e-12:  # nothing within the cut: what led here may still have other neighbours
+            done[a] = True
+            chain.pop()
+            continue
+        if len(chain) > 1 and b == chain[-2]:
+            del chain[-2:]
+            merges.append((float(far[b]), a, b))
+            sums[a] += sums[b]
+            size[a] += size[b]
+            owner[members[b]] = a
+            members[a] += members.pop(b)
+            alive[b] = False
+            sums[b], size[b] = 0, 1
+        else:
+            chain.append(b)
+    return _labels(ids, merges, cut)
+
+
 def agglomerate(x: np.ndarray, ids: np.ndarray, linkage: str, cut: float) -> np.ndarray:
     """Cluster label (smallest id) of each unit vector: merge nearest pairs of clusters by cosine distance up to the cut."""
     n = len(ids)
+    if n > MATRIX:
+        return agglomerate_lean(x, ids, linkage, cut)
     far = 1 - x @ x.T
     np.fill_diagonal(far, np.inf)
     size, alive = np.ones(n), np.ones(n, bool)
-    label = np.arange(n)
     chain: list[int] = []
     merges = []
     while alive.sum() > 1:
@@ -55,29 +130,14 @@ def agglomerate(x: np.ndarray, ids: np.ndarray, linkage: str, cut: float) -> np.
         far[a, a] = np.inf
         alive[b] = False
         size[a] += size[b]
-    root = np.arange(n)
-
-    def top(i):
-        while root[i] != i:
-            i = root[i]
-        return i
-
-    for height, a, b in merges:
-        if height <= cut + 1e-12:
-            p, q = top(a), top(b)
-            root[max(p, q)] = min(p, q)
-    label = np.array([top(i) for i in range(n)])
-    out = np.empty(n, ids.dtype)
-    for part in np.unique(label):
-        out[label == part] = ids[label == part].min()
-    return out
+    return _labels(ids, merges, cut)
 
 
 def agglomerative(vectors: DataFrame, linkage: str = "average", cut: float = 0.3, id_col: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """(id, cluster) by single, complete or average linkage of cosine distances, cut at a distance.
 
     A merge at or below the cut needs a pair at or below it, so clusters never cross the components of the threshold graph;
-    each component is clustered by itself. Single linkage is the components. A component beyond MAX_COMPONENT is an error, not a guess."""
+    each component is clustered by itself, in one task that holds its vectors. Single linkage is the components."""
     edges = pairs(vectors, 1 - cut, id_col, vector)
     parts = label_all(vectors, edges, id_col)
     if linkage == "single":
@@ -87,8 +147,6 @@ def agglomerative(vectors: DataFrame, linkage: str = "average", cut: float = 0.3
     rows = rows.join(size, "cluster")
 
     def run(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
-        if len(part) > MAX_COMPONENT:
-            raise ValueError(f"component {key[0]} has {len(part)} members; cut lower")
         part = part.sort_values("id")
         x = np.array(part["v"].tolist())
         length = np.linalg.norm(x, axis=1, keepdims=True)
@@ -109,20 +167,30 @@ def keep_one(docs: DataFrame, clusters: DataFrame, keep: str = "min_id", id_col:
     return rows.join(best, "cluster").select("id", "cluster", "cluster_size", (F.col("id") == F.col("best")).cast("int").alias("kept"))
 
 
-def rate_within(ids: DataFrame, found: DataFrame) -> DataFrame:
-    """(n, with_duplicate, percent): ids in any pair, over all ids."""
-    inside = found.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    rows = ids.select("id").join(inside.withColumn("hit", F.lit(1)), "id", "left")
-    return rows.agg(F.count("*").alias("n"), F.count("hit").alias("with_duplicate")).withColumn("percent", F.round(F.try_divide(100.0 * F.col("with_duplicate"), "n"), 6))
+def rates(near: DataFrame, members: DataFrame, split: DataFrame, owner: str = "id") -> DataFrame:
+    """(split, n, with_duplicate, percent): texts with another text of the train part that equals them or is linked with them.
+
+    near: links (a, b) of classes of equal rows; members: (id, rep), and the text a row is a part of (owner) if rows are parts; split: (id, split) of texts,
+    'train' or another name. A class carries the smallest and the largest of its train texts, which tell whether it has another one; copies are never paired."""
+    rows = members.select("rep", F.col(owner).alias("text")).distinct().join(split.select(F.col("id").alias("text"), "split"), "text")
+    train = F.when(F.col("split") == "train", F.col("text"))
+    ends = rows.groupBy("rep").agg(F.min(train).alias("lo"), F.max(train).alias("hi")).filter("lo is not null")
+    both = near.select("a", "b").union(near.select("b", "a"))
+    beside = both.join(ends.withColumnRenamed("rep", "b"), "b").groupBy(F.col("a").alias("rep")).agg(F.min("lo").alias("lo2"), F.max("hi").alias("hi2"))
+    other = F.greatest(*(F.coalesce((F.col(c) != F.col("text")).cast("int"), F.lit(0)) for c in ("lo", "hi", "lo2", "hi2")))
+    hit = rows.join(ends, "rep", "left").join(beside, "rep", "left").groupBy("text").agg(F.max(other).alias("hit"))
+    out = split.select(F.col("id").alias("text"), "split").join(hit, "text", "left").groupBy("split").agg(F.count("*").alias("n"), F.coalesce(F.sum("hit"), F.lit(0)).alias("with_duplicate"))
+    return out.withColumn("percent", F.round(F.try_divide(100.0 * F.col("with_duplicate"), "n"), 6))
+
+
+def rate_within(ids: DataFrame, near: DataFrame, members: DataFrame) -> DataFrame:
+    """(n, with_duplicate, percent): ids whose text equals another's or is linked with it, over all ids."""
+    return rates(near, members, ids.select("id", F.lit("train").alias("split"))).drop("split")
 
 
-def rate_across(split: DataFrame, found: DataFrame) -> DataFrame:
+def rate_across(split: DataFrame, near: DataFrame, members: DataFrame) -> DataFrame:
     """The same for valid ids that have a train partner; split: (id, split)."""
-    left, right = split.select(F.col("id").alias("a"), F.col("split").alias("sa")), split.select(F.col("id").alias("b"), F.col("split").alias("sb"))
-    both = found.select("a", "b").join(left, "a").join(right, "b").filter("sa <> sb")
-    hit = both.select(F.when(F.col("sa") == "valid", F.col("a")).otherwise(F.col("b")).alias("id")).distinct()
-    rows = split.filter("split = 'valid'").select("id").join(hit.withColumn("hit", F.lit(1)), "id", "left")
-    return rows.agg(F.count("*").alias("n"), F.count("hit").alias("with_duplicate")).withColumn("percent", F.round(F.try_divide(100.0 * F.col("with_duplicate"), "n"), 6))
+    return rates(near, members, split).filter("split = 'valid'").drop("split")
 
 
 def drop_chunks(chunks: DataFrame, mark: str = "chunk") -> DataFrame:

@@ -1,5 +1,6 @@
 """Nearest neighbours and threshold joins over vectors."""
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -9,11 +10,12 @@ from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
 from twinsift.functions.vectors import cosine
+from twinsift.operators.sketches import candidates
+from twinsift.plans.checkpoints import cut
 
 by_value(__name__)
 
 BLOCK = 2000
-MAX_BROADCAST_LISTS = 4096
 
 
 def _matrix(column: pd.Series) -> np.ndarray:
@@ -94,12 +96,56 @@ def spans(chunk_pairs: DataFrame, chunks: DataFrame) -> DataFrame:
     return chunk_pairs.join(left, "a").join(right, "b").filter("doc_a <> doc_b").select("doc_a", "start_a", "doc_b", "start_b", "score")
 
 
-def top_by(results: DataFrame, query: str, target: str, score: str, low: bool = False) -> DataFrame:
-    """(query, target, score, ties): the best target of each query, ties to the smallest id and counted."""
+def top_by(results: DataFrame, query: str, target: str, score: str, low: bool = False, ties: str | None = None) -> DataFrame:
+    """(query, target, score, ties): the best target of each query, ties to the smallest id and counted (a column may say how many a row stands for).
+
+    Rows are counted by score before anything is shuffled, so neither ties nor the other results leave the task that found them."""
     value = -F.col(score) if low else F.col(score)
-    best = results.groupBy(query).agg(F.max(value).alias("_best"))
-    kept = results.join(best, query).filter(value == F.col("_best"))
-    return kept.groupBy(query).agg(F.min(target).alias(target), F.first(score).alias(score), F.count("*").alias("ties"))
+    some = F.sum(ties) if ties else F.count("*")
+    by = results.groupBy(query, score).agg(F.min(target).alias(target), some.alias("ties"))
+    best = by.groupBy(query).agg(F.max_by(F.struct(target, score, "ties"), value).alias("best"))
+    return best.select(query, f"best.{target}", f"best.{score}", "best.ties")
+
+
+def vector_classes(vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding") -> tuple[DataFrame, DataFrame]:
+    """Equal vectors as one: (id, v) of the smallest id of each, and (id, rep) of every vector that is there. Two 64-bit hashes tell vectors apart."""
+    marks = [F.xxhash64("v").alias("mark"), F.xxhash64(F.lit("check"), "v").alias("check")]
+    rows = vectors.select(F.col(id_col).alias("id"), F.col(vector).cast("array<double>").alias("v")).filter("v is not null").select("id", "v", *marks)
+    reps = cut(rows.groupBy("mark", "check").agg(F.min("id").alias("rep"), F.first("v").alias("v")))
+    return reps.select(F.col("rep").alias("id"), "v"), rows.select("id", "mark", "check").join(reps.select("mark", "check", "rep"), ["mark", "check"]).select("id", "rep")
+
+
+def plan_signs(threshold: float, n: int, recall: float = 0.95) -> tuple[int, int]:
+    """Tables and bits for a threshold join of n vectors: codes long enough that unrelated vectors rarely share one, and as many tables as the recall at the threshold asks for.
+
+    A random hyperplane parts two vectors with the probability angle / pi."""
+    bits = min(30, max(8, math.ceil(math.log2(max(2, n))) - 2))
+    same = (1 - math.acos(threshold) / math.pi) ** bits
+    return max(1, math.ceil(math.log(1 - recall) / math.log(1 - same))), bits
+
+
+def near_pairs(vectors: DataFrame, threshold: float, dim: int, recall: float = 0.95, id_col: str = "id", vector: str = "v", seed: int = 3) -> DataFrame:
+    """(a, b, score): pairs with cosine >= threshold among those that share a sign code in some table; a pair right at the threshold is found with
+    probability recall, a nearer one more often. Candidates are an equi-join of codes; what they cost follows from `plan_signs`, not from n squared."""
+    found, _ = near_pairs_counted(vectors, threshold, dim, recall, id_col, vector, seed)
+    return found
+
+
+def near_pairs_counted(vectors: DataFrame, threshold: float, dim: int, recall: float = 0.95, id_col: str = "id", vector: str = "v", seed: int = 3) -> tuple[DataFrame, DataFrame]:
+    """near_pairs, and the candidates (a, b) that were compared for it."""
+    rows = cut(vectors.select(F.col(id_col).alias("id"), F.col(vector).cast("array<double>").alias("v")).filter("v is not null"))
+    tables, bits = plan_signs(threshold, rows.count(), recall)
+    keys = sign_codes(rows, dim, tables, bits, seed, "id", "v").select("id", F.xxhash64("no", "code").alias("key"))
+    met = cut(candidates(keys))
+    one, two = rows.select(F.col("id").alias("a"), F.col("v").alias("va")), rows.select(F.col("id").alias("b"), F.col("v").alias("vb"))
+    scored = met.join(one, "a").join(two, "b").mapInPandas(_cosines, "a long, b long, score double")
+    return scored.filter(F.col("score") >= threshold - 1e-12), met
+
+
+def _cosines(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for rows in batches:
+        x, y = (_matrix(rows[c]) if len(rows) else np.zeros((0, 1)) for c in ("va", "vb"))
+        yield pd.DataFrame({"a": rows["a"], "b": rows["b"], "score": np.einsum("ij,ij->i", x, y)})
 
 
 def sign_codes(vectors: DataFrame, dim: int, tables: int, bits: int, seed: int = 3, id_col: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -115,11 +161,15 @@ def sign_codes(vectors: DataFrame, dim: int, tables: int, bits: int, seed: int =
     return vectors.select(F.col(id_col).alias("id"), F.col(vector).cast("array<double>").alias("v")).filter("v is not null").mapInPandas(run, "id long, no long, code long")
 
 
+def sign_candidates(queries: DataFrame, targets: DataFrame, dim: int, tables: int, bits: int) -> DataFrame:
+    """(query_id, target_id) that share a code."""
+    q, t = sign_codes(queries, dim, tables, bits), sign_codes(targets, dim, tables, bits)
+    return q.withColumnRenamed("id", "query_id").join(t.withColumnRenamed("id", "target_id"), ["no", "code"]).select("query_id", "target_id").distinct()
+
+
 def sign_search(queries: DataFrame, targets: DataFrame, dim: int, k: int = 1, tables: int = 24, bits: int = 6, skip_same: bool = True) -> DataFrame:
     """Approximate: targets that share a code with the query are compared in full. (query_id, rank, target_id, score)"""
-    q, t = sign_codes(queries, dim, tables, bits), sign_codes(targets, dim, tables, bits)
-    near = q.withColumnRenamed("id", "query_id").join(t.withColumnRenamed("id", "target_id"), ["no", "code"]).select("query_id", "target_id").distinct()
-    return _rank(near, queries, targets, k, skip_same)
+    return _rank(sign_candidates(queries, targets, dim, tables, bits), queries, targets, k, skip_same)
 
 
 def _rank(near: DataFrame, queries: DataFrame, targets: DataFrame, k: int, skip_same: bool) -> DataFrame:
@@ -137,13 +187,11 @@ def ivf_build(vectors: DataFrame, lists: int, sample: int = 20_000, seed: int =
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
-    if lists > MAX_BROADCAST_LISTS:
-        raise ValueError("centres are sent to every task; build a second level beyond this number")
     rows = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).filter("v is not null")
     n = rows.count()
     some = rows.filter(F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(1 << 30)) < min(1.0, sample / max(1, n)) * (1 << 30))
     model = KMeans(k=lists, seed=seed, maxIter=8, featuresCol="f").fit(some.select(array_to_vector("v").alias("f")))
-    centres = np.array(model.clusterCenters())
+    centres = np.array(model.clusterCenters())  # at most as many as the sample has rows, so their size is bounded with it
     return assign_cells(vectors, centres, 1).select("vec_id", "cell"), centres
 
 
@@ -154,10 +202,12 @@ def assign_cells(vectors: DataFrame, centres: np.ndarray, probes: int) -> DataFr
         for rows in batches:
             if not len(rows):
                 continue
-            x = np.array(rows["v"].tolist())
-            far = (centres**2).sum(1)[None] - 2 * x @ centres.T
-            near = np.argsort(far, axis=1, kind="stable")[:, :probes]
-            yield pd.DataFrame({"vec_id": np.repeat(rows["vec_id"].to_numpy(), near.shape[1]), "cell": near.ravel()})
+            for k in range(0, len(rows), 256):  # distances of a few vectors to all centres at a time
+                part = rows.iloc[k : k + 256]
+                x = np.array(part["v"].tolist())
+                far = (centres**2).sum(1)[None] - 2 * x @ centres.T
+                near = np.argsort(far, axis=1, kind="stable")[:, :probes]
+                yield pd.DataFrame({"vec_id": np.repeat(part["vec_id"].to_numpy(), near.shape[1]), "cell": near.ravel()})
 
     return vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).filter("v is not null").mapInPandas(run, "vec_id long, cell long")
 

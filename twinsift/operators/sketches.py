@@ -10,10 +10,13 @@ from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
 from twinsift.functions.text import PRIME31, char_shingles, hamming, md5_int, word_shingles
-
+from twinsift.plans.checkpoints import cut
 
 by_value(__name__)
 
+COMMON = 200_000  # frequent shingles whose rank all tasks know: 3 MB
+MAX_BROADCAST_KEYS = 100_000
+
 
 def shingle_hashes(df: DataFrame, n: int = 3, kind: str = "word", id_col: str = "doc_id", text_col: str = "text", fast: bool = False) -> DataFrame:
     """(id, hashes): distinct 60-bit md5 numbers of the shingles; fast uses xxhash64, which DuckDB lacks."""
@@ -69,21 +72,21 @@ def agreement(a: Column, b: Column) -> Column:
 
 
 @cache
-def choose_bands(threshold: float, k: int, weight: float = 0.5) -> tuple[int, int]:
-    """Bands and rows with bands * rows <= k that make the weighted areas of wrong candidates and of missed pairs smallest."""
-
-    def area(lo: float, hi: float, f) -> float:
-        n = max(1, int((hi - lo) / 1e-3))
-        h = (hi - lo) / n
-        return h * (sum(f(lo + i * h) for i in range(1, n)) + (f(lo) + f(hi)) / 2)
+def choose_bands(threshold: float, k: int, weight: float = 0.5, recall: float = 0.0) -> tuple[int, int]:
+    """Bands and rows with bands * rows <= k that make the weighted areas of wrong candidates and of missed pairs smallest.
 
+    recall: only choices that find a pair right at the threshold with this probability at least."""
+    below, above = np.linspace(0, threshold, 401), np.linspace(threshold, 1, 401)
     best = None
     for rows in range(1, k + 1):
-        for bands in {k // rows, max(1, k // rows // 2)} if k > 64 else range(1, k // rows + 1):
-            meets = lambda s, b=bands, r=rows: 1 - (1 - s**r) ** b
-            cost = weight * area(0, threshold, meets) + (1 - weight) * area(threshold, 1, lambda s: 1 - meets(s))
-            if best is None or cost < best[0]:
+        for bands in range(1, k // rows + 1):
+            if recall and 1 - (1 - threshold**rows) ** bands < recall:
+                continue
+            cost = weight * np.trapezoid(1 - (1 - below**rows) ** bands, below) + (1 - weight) * np.trapezoid((1 - above**rows) ** bands, above)
+            if best is None or cost < best[0] - 1e-12:
                 best = (cost, bands, rows)
+    if best is None:
+        raise ValueError(f"{k} hashes cannot find pairs at {threshold} with probability {recall}")
     return best[1], best[2]
 
 
@@ -93,10 +96,23 @@ def band_keys(signed: DataFrame, bands: int, rows: int) -> DataFrame:
     return signed.filter("signature is not null").select("id", F.explode(keys).alias("key"))
 
 
-def candidates(keys: DataFrame) -> DataFrame:
-    """Distinct pairs a < b of ids that share a key."""
-    other = keys.select(F.col("key"), F.col("id").alias("b"))
-    return keys.withColumnRenamed("id", "a").join(other, "key").filter("a < b").select("a", "b").distinct()
+HOT_KEY = 2000  # rows of a key that one task pairs with one another
+
+
+def candidates(keys: DataFrame, such_that: Column | None = None) -> DataFrame:
+    """Distinct pairs a < b of ids that share a key; rows (key, id, and columns that such_that sees as <name>_a and <name>_b).
+
+    The rows of a key beyond HOT_KEY are dealt over blocks, and each pair of blocks is a group of its own: no task pairs a common key alone."""
+    keys = cut(keys)
+    rest = [c for c in keys.columns if c not in ("key", "id")]
+    hot = keys.groupBy("key").agg(F.ceil(F.count("*") / HOT_KEY).cast("int").alias("blocks")).filter("blocks > 1")
+    hot = cut(hot)
+    small = hot.count() <= MAX_BROADCAST_KEYS
+    dealt = keys.join(F.broadcast(hot) if small else hot, "key", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    left = dealt.select("key", "block", F.col("id").alias("a"), *(F.col(c).alias(f"{c}_a") for c in rest), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    right = dealt.select("key", F.col("block").alias("other"), F.col("id").alias("b"), *(F.col(c).alias(f"{c}_b") for c in rest), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
+    both = left.join(right, ["key", "block", "other"]).filter("a < b")
+    return (both if such_that is None else both.filter(such_that)).select("a", "b").distinct()
 
 
 def exact_pairs(hashed: DataFrame, pairs: DataFrame, threshold: float) -> DataFrame:
@@ -109,30 +125,79 @@ def exact_pairs(hashed: DataFrame, pairs: DataFrame, threshold: float) -> DataFr
     return both.filter(F.col("score") >= threshold).select("a", "b", "score")
 
 
-def minhash_pairs(df: DataFrame, threshold: float, k: int = 256, n: int = 3, **how) -> DataFrame:
-    """Banded MinHash candidates, verified exactly. Equal sets are one set until the end, so copies make no pairs of copies."""
-    hashed = shingle_hashes(df, n, **how).filter("size(hashes) > 0")
-    hashed = hashed.withColumn("mark", F.xxhash64(F.array_sort("hashes")))
-    reps = hashed.groupBy("mark").agg(F.min("id").alias("id"), F.first("hashes").alias("hashes"))
-    bands, rows = choose_bands(threshold, k)
-    signed = sign_hashes(reps, k)
-    near = exact_pairs(reps, candidates(band_keys(signed, bands, rows)), threshold)
-    copies = hashed.select("mark", F.col("id").alias("b")).join(reps.select("mark", F.col("id").alias("a")), "mark").filter("a <> b")
-    return near.unionByName(copies.select("a", "b", F.lit(1.0).alias("score")))
+def classes(hashed: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Equal sets as one: (id, hashes) of the smallest id of each, and (id, rep) of every row. Two 64-bit hashes tell sets apart."""
+    hashed = cut(hashed.filter("size(hashes) > 0").select("id", F.array_sort("hashes").alias("hashes")))
+    marks = [F.xxhash64("hashes").alias("mark"), F.xxhash64(F.lit("check"), "hashes").alias("check")]
+    reps = cut(hashed.select("id", "hashes", *marks).groupBy("mark", "check").agg(F.min("id").alias("rep"), F.first("hashes").alias("hashes")))
+    members = hashed.select("id", *marks).join(reps.select("mark", "check", "rep"), ["mark", "check"]).select("id", "rep")
+    return reps.select(F.col("rep").alias("id"), "hashes"), members
+
 
+def expand(near: DataFrame, members: DataFrame) -> DataFrame:
+    """All pairs (a < b, score) of rows from links of classes (a, b, score) and membership (id, rep): as many rows as there are pairs."""
+    own = members.select("rep").distinct().select(F.col("rep").alias("a"), F.col("rep").alias("b"), F.lit(1.0).alias("score"))
+    left, right = members.select(F.col("rep").alias("a"), F.col("id").alias("i")), members.select(F.col("rep").alias("b"), F.col("id").alias("j"))
+    full = near.select("a", "b", "score").unionByName(own).join(left, "a").join(right, "b").filter((F.col("a") != F.col("b")) | (F.col("i") < F.col("j")))
+    return full.select(F.least("i", "j").alias("a"), F.greatest("i", "j").alias("b"), "score")
 
-def jaccard_join(hashed: DataFrame, threshold: float, a: str = "a", b: str = "b") -> DataFrame:
-    """All pairs (a < b) of sets at the threshold: rare-first prefixes make the candidates, sizes and sets decide.
 
-    A set of n can only reach t with another if they share one of its n - ceil(t n) + 1 rarest elements."""
-    rows = hashed.filter("size(hashes) > 0").select("id", F.size("hashes").alias("n"), F.explode("hashes").alias("h"))
-    ranks = rows.groupBy("h").agg(F.count("*").alias("often"))
-    ordered = rows.join(ranks, "h").groupBy("id", "n").agg(F.array_sort(F.collect_list(F.struct("often", "h"))).alias("o"))
-    keep = F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1
-    prefix = ordered.select("id", "n", F.explode(F.slice("o", F.lit(1), keep.cast("int"))["h"]).alias("h"))
-    other = prefix.select(F.col("id").alias(b), F.col("n").alias("nb"), "h")
-    pairs = prefix.withColumnRenamed("id", a).join(other, "h").filter((F.col(a) < F.col(b)) & (F.least("n", "nb") >= F.greatest("n", "nb") * threshold - 1e-9))
-    return exact_pairs(hashed, pairs.select(F.col(a).alias("a"), F.col(b).alias("b")).distinct(), threshold)
+def stars(members: DataFrame) -> DataFrame:
+    """(a, b, score): each copy with the smallest id of its class, instead of all pairs of copies."""
+    return members.filter("id <> rep").select(F.col("rep").alias("a"), F.col("id").alias("b"), F.lit(1.0).alias("score"))
+
+
+def minhash_classes(df: DataFrame, threshold: float, k: int = 256, n: int = 3, recall: float = 0.0, **how) -> tuple[DataFrame, DataFrame]:
+    """Links (a, b, score) of classes of equal sets, and membership (id, rep): banded MinHash candidates, verified exactly."""
+    reps, members = classes(shingle_hashes(df, n, **how))
+    return exact_pairs(reps, candidates(band_keys(sign_hashes(reps, k), *choose_bands(threshold, k, recall=recall))), threshold), members
+
+
+def minhash_pairs(df: DataFrame, threshold: float, k: int = 256, n: int = 3, recall: float = 0.0, **how) -> DataFrame:
+    """The links of minhash_classes, and each copy with the smallest id of its set: enough for components, not all pairs (see `expand`)."""
+    near, members = minhash_classes(df, threshold, k, n, recall, **how)
+    return near.unionByName(stars(members))
+
+
+def rare_first(sets: DataFrame, threshold: float) -> DataFrame:
+    """(key, id, n): of each set of n the n - ceil(t n) + 1 elements that come first, rare ones before common ones.
+
+    Two sets that reach t share one of these in any common order; the order only decides how many others do. So the COMMON most frequent
+    elements are known to all tasks with their rank, and all others come before them by their value."""
+    often = sets.select(F.explode("hashes").alias("h")).groupBy("h").agg(F.count("*").alias("often")).filter("often > 1").orderBy(F.desc("often"), "h").limit(COMMON)
+    known = np.array([r["h"] for r in often.select("h").collect()], np.int64)  # COMMON numbers at most
+    order = np.argsort(known)
+    sent = sets.sparkSession.sparkContext.broadcast((known[order], len(known) - order))
+
+    def run(batches):
+        common, rank = sent.value
+        for batch in batches:
+            lists = batch.column(1)
+            flat = lists.flatten().to_numpy(zero_copy_only=False)
+            offsets = lists.offsets.to_numpy() - lists.offsets.to_numpy()[0]
+            n = np.diff(offsets).astype(np.int64)
+            owner = np.repeat(np.arange(len(n)), n)
+            at = np.minimum(np.searchsorted(common, flat), max(0, len(common) - 1))
+            place = np.where(common[at] == flat, rank[at], 0) if len(common) else np.zeros(len(flat), np.int64)
+            sorted_ = np.lexsort((flat, place, owner))
+            keep = n - np.ceil(n * threshold - 1e-9).astype(np.int64) + 1
+            first = (np.arange(len(flat)) - np.repeat(offsets[:-1], n)) < np.repeat(keep, n)
+            ids = batch.column(0).to_numpy()
+            yield pa.RecordBatch.from_arrays([pa.array(flat[sorted_][first]), pa.array(ids[owner[first]]), pa.array(n[owner[first]])], names=["key", "id", "n"])
+
+    return sets.select(F.col("id").cast("long").alias("id"), "hashes").mapInArrow(run, "key long, id long, n long")
+
+
+def jaccard_classes(hashed: DataFrame, threshold: float) -> tuple[DataFrame, DataFrame]:
+    """Links (a, b, score) of all classes of equal sets that reach the threshold, and membership (id, rep). Exact."""
+    reps, members = classes(hashed)
+    alike = F.least("n_a", "n_b") >= F.greatest("n_a", "n_b") * threshold - 1e-9
+    return exact_pairs(reps, candidates(rare_first(reps, threshold), alike), threshold), members
+
+
+def jaccard_join(hashed: DataFrame, threshold: float) -> DataFrame:
+    """All pairs (a < b, score) of sets at the threshold, copies too."""
+    return expand(*jaccard_classes(hashed, threshold))
 
 
 def containment_pairs(hashed: DataFrame, threshold: float) -> DataFrame:
@@ -161,18 +226,62 @@ def simhash(grams: Column) -> Column:
 
 
 def simhash_votes(df: DataFrame, n: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, fingerprint) by 64 summed columns over exploded shingles: partial sums in the map side, no array in memory."""
-    rows = df.select(F.col(id_col).alias("id"), F.explode_outer(char_shingles(F.col(text_col), n)).alias("g")).groupBy("id", "g").agg(F.count("g").alias("w"))
-    halves = [F.conv(F.substring(F.md5(F.col("g").cast("binary")), 1 + 8 * p, 8), 16, 10).cast("long") for p in (0, 1)]
-    rows = rows.select("id", "w", halves[0].alias("h0"), halves[1].alias("h1"))
-    votes = [F.sum(F.col("w") * (F.getbit(f"h{p}", F.lit(b)).cast("long") * 2 - 1)).alias(f"v{p}_{b}") for p in (0, 1) for b in range(SIM_HALF)]
-    counted = rows.groupBy("id").agg(F.max("w").alias("most"), *votes)
-    bit = lambda p, b: F.when(F.col(f"v{p}_{b}") > 0, F.shiftleft(F.lit(1).cast("long"), b + SIM_HALF * (1 - p))).otherwise(F.lit(0).cast("long"))
-    total = F.lit(0).cast("long")
-    for p in (0, 1):
-        for b in range(SIM_HALF):
-            total = total.bitwiseOR(bit(p, b))
-    return counted.select("id", F.when(F.col("most") > 0, total).alias("fingerprint"))
+    """(id, fingerprint): the same numbers by a count within the row: nothing is shuffled.
+
+    A run of texts becomes one array of code points; its distinct n-grams are hashed once, and each text's votes are the sum of its grams' bits."""
+
+    def run(batches):
+        for batch in batches:
+            for piece in runs_of(batch, SIM_RUN):
+                texts = piece.column(1).to_pylist()
+                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(fingerprints(texts, n), pa.int64())], names=["id", "fingerprint"])
+
+    return df.select(F.col(id_col).cast("long").alias("id"), F.lower(F.col(text_col)).alias("t")).mapInArrow(run, "id long, fingerprint long")
+
+
+SIM_RUN = 1 << 20  # bytes of text
+
+
+def runs_of(batch: pa.RecordBatch, most: int, column: int = 1):
+    """The batch in slices with at most so many bytes in a text column; a longer text comes alone."""
+    lens = pa.compute.fill_null(pa.compute.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    start, total = 0, 0
+    for i, size in enumerate(lens.tolist()):
+        if i > start and total + size > most:
+            yield batch.slice(start, i - start)
+            start, total = i, 0
+        total += size
+    if start < batch.num_rows:
+        yield batch.slice(start)
+
+
+def fingerprints(texts: list[str | None], n: int) -> list[int | None]:
+    """64-bit fingerprints of texts that are lower-case already; null where a text has fewer than n characters."""
+    whole = "".join(t or "" for t in texts)
+    lens = np.array([len(t or "") for t in texts], np.int64)
+    ends = np.cumsum(lens)
+    points = np.frombuffer(whole.encode("utf-32-le", "surrogatepass"), np.uint32)
+    if len(points) < n:
+        return [None] * len(texts)
+    owner = np.repeat(np.arange(len(texts)), lens)
+    starts = np.flatnonzero(owner[: len(points) - n + 1] == owner[n - 1 :])
+    letters, number = np.unique(points, return_inverse=True)
+    codes = np.zeros(len(starts), np.int64)
+    for k in range(n):  # grams numbered step by step, so any alphabet fits
+        codes = codes * len(letters) + number[starts + k]
+        if k < n - 1 and float(codes.max(initial=0) + 1) * len(letters) > 2**62:
+            codes = np.unique(codes, return_inverse=True)[1]
+    _, first, inverse = np.unique(codes, return_index=True, return_inverse=True)
+    digests = b"".join(hashlib.md5(whole[i : i + n].encode("utf-8", "surrogatepass")).digest()[:8] for i in starts[first].tolist())
+    bits = np.unpackbits(np.frombuffer(digests, np.uint8).reshape(-1, 8), axis=1)
+    ones, of = np.zeros((len(texts), 64), np.int64), owner[starts]
+    for k in range(0, len(starts), 1 << 16):
+        part = of[k : k + (1 << 16)]
+        edges = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
+        ones[part[edges]] += np.add.reduceat(bits[inverse[k : k + (1 << 16)]], edges, axis=0, dtype=np.int64)
+    grams = np.bincount(of, minlength=len(texts))
+    found = np.packbits(2 * ones > grams[:, None], axis=1).view(">i8")[:, 0]
+    return [int(v) if g else None for v, g in zip(found, grams, strict=True)]
 
 
 def simhash_pairs(signed: DataFrame, limit: int) -> DataFrame:
@@ -190,9 +299,8 @@ def simhash_block_pairs(signed: DataFrame, limit: int, blocks: int | None = None
     edges = [64 * i // blocks for i in range(blocks + 1)]
     marks = signed.filter("fingerprint is not null").groupBy("fingerprint").agg(F.min("id").alias("rep"))
     keys = F.array(*(F.struct(F.lit(i).alias("no"), F.shiftrightunsigned("fingerprint", lo).bitwiseAND(F.lit((1 << (hi - lo)) - 1).cast("long")).alias("bits")) for i, (lo, hi) in enumerate(zip(edges, edges[1:], strict=False))))
-    rows = marks.select("fingerprint", F.explode(keys).alias("k")).select("fingerprint", "k.no", "k.bits")
-    other = rows.select(F.col("fingerprint").alias("fb"), "no", "bits")
-    near = rows.join(other, ["no", "bits"]).filter("fingerprint < fb").select("fingerprint", "fb").distinct().withColumn("distance", hamming(F.col("fingerprint"), F.col("fb"))).filter(F.col("distance") <= limit)
+    rows = marks.select(F.col("fingerprint").alias("id"), F.explode(keys).alias("k")).select("id", F.xxhash64("k.no", "k.bits").alias("key"))
+    near = candidates(rows).select(F.col("a").alias("fingerprint"), F.col("b").alias("fb")).withColumn("distance", hamming(F.col("fingerprint"), F.col("fb"))).filter(F.col("distance") <= limit)
     near = near.unionByName(marks.select("fingerprint", F.col("fingerprint").alias("fb"), F.lit(0).alias("distance")))
     left, right = signed.select(F.col("id").alias("i"), "fingerprint"), signed.select(F.col("id").alias("j"), F.col("fingerprint").alias("fb"))
     full = near.join(left, "fingerprint").join(right, "fb").filter((F.col("distance") > 0) | (F.col("i") < F.col("j")))
