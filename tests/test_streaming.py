@@ -1,5 +1,7 @@
 """Streams over files: one batch or many, restarts, late rows, and agreement with the batch twins."""
 
+from datetime import datetime
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -48,7 +50,33 @@ def test_windows_and_late(spark, source, tmp_path):
     batch = guard.tumbling(spark.read.parquet(source).withColumn("is_repeat", F.lit(0)))
     assert sorted(map(tuple, spark.read.parquet(str(tmp_path / "wout")).collect())) == sorted(map(tuple, batch.collect()))
     guard.drain(guard.file_stream(spark, source, 1), str(tmp_path / "l"), put=guard.count_late(str(tmp_path / "late"), 60))
-    assert spark.read.parquet(str(tmp_path / "late")).count() >= 0
+    tops = {r.number: r.top for r in spark.read.parquet(str(tmp_path / "late/newest")).collect()}
+    assert len(tops) == 5
+    order = sorted(tops)
+    got = {r["batch"]: r["n"] for r in spark.read.parquet(str(tmp_path / "late/late")).groupBy("batch").agg(F.count("*").alias("n")).collect()}
+    assert sum(got.values()) > 0 and set(got) <= set(order[1:])
+
+
+def test_late_rows_after_a_restart(spark, tmp_path):
+    """A sink that is made anew knows what came before; a batch that runs again gives the same."""
+    batch = lambda *hours: spark.createDataFrame([(datetime(2024, 1, 1, h),) for h in hours], "ts timestamp")
+    guard.count_late(str(tmp_path), 3600)(batch(1, 12), 0)
+    for _ in range(2):
+        guard.count_late(str(tmp_path), 3600)(batch(3, 11, 13), 1)
+    guard.count_late(str(tmp_path), 3600)(batch(11, 14), 2)
+    assert sorted((r["batch"], r["ts"].hour) for r in spark.read.parquet(f"{tmp_path}/late").collect()) == [(1, 3), (2, 11)]
+
+
+def test_recent_arrivals_forget_nothing(spark, tmp_path):
+    """One text arrives 150 times over three batches, and a near copy of it: every pair is told, none is lost to a bound."""
+    words = [f"w{k}" for k in range(60)]
+    rows = [(i, " ".join(words)) for i in range(150)] + [(150, " ".join([*words[:-1], "end"])), (151, "another text of its own that nobody else has sent here")]
+    path = str(tmp_path / "in")
+    spark.createDataFrame([(datetime(2024, 1, 1, 0, i % 60), i, 1, t) for i, t in rows], guard.SCHEMA).repartition(3, "doc_id").write.parquet(path)
+    guard.drain(guard.recent(guard.file_stream(spark, path, 1), 0.8), str(tmp_path / "r"))
+    got = {frozenset((r.doc_id, r.match)) for r in spark.read.parquet(str(tmp_path / "r/out")).collect()}
+    assert got >= {frozenset((a, b)) for a in range(150) for b in range(a)} and not any(151 in pair for pair in got)
+    assert any(150 in pair for pair in got)
 
 
 def test_interval_join(spark, source, tmp_path):

@@ -5,11 +5,12 @@ A policy goes from sentences over words to characters; on each level the row's h
 
 import random
 import unicodedata
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from twinsift.augment.operators import OPERATORS, Spark, expression
@@ -43,7 +44,7 @@ def operators_of(level: str, kind: str) -> list[str]:
 
 def corrupt_one(rows: DataFrame, name: str, rate: float, seed: str = "g") -> DataFrame:
     """(doc_id, lang, text) after one operator; rows as with_lexicons makes them."""
-    view = f"ts_aug_{abs(hash((name, rate, seed))) % 10**8}"
+    view = f"ts_aug_{zlib.crc32(repr((name, rate, seed)).encode())}"
     rows.createOrReplaceTempView(view)
     return rows.sparkSession.sql(expression(name, rate, seed, Spark(), view))
 
@@ -57,7 +58,7 @@ def apply(rows: DataFrame, policy: Policy, seed: str, kinds: tuple[str, ...] = K
         pick = F.pmod(u, F.lit(len(options)))
         rate = F.pmod(F.shiftright(u, 20), F.lit(4))
         rows = rows.withColumn("_pick", pick * 4 + rate).withColumn("_text", F.col("text"))
-        view = f"ts_pol_{level}_{abs(hash(seed)) % 10**8}"
+        view = f"ts_pol_{level}_{zlib.crc32(repr((seed, policy)).encode())}"
         rows.createOrReplaceTempView(view)
         cases = []
         for k, (kind, name) in enumerate(options):
@@ -84,31 +85,19 @@ def _unicode_char(rnd: random.Random) -> str:
             return c
 
 
-COUNTED = ("word_sub_trigram", "char_sub_ngram", "char_insert_ngram", "char_sub_unicode", "char_insert_unicode")
+COUNTED = ("word_sub_trigram", "char_sub_ngram", "char_insert_ngram")
+UNICODE = ("char_sub_unicode", "char_insert_unicode")
 
 
-def corrupt_counted(docs: DataFrame, name: str, rate: float, seed: str = "g", n: int = 3, table: dict | None = None) -> DataFrame:
-    """Operators that follow corpus counts or draw any assigned code point. table: what follows a key, as {key: [(next, n), ...]}, bounded by its builder and broadcast."""
-    sent = docs.sparkSession.sparkContext.broadcast(table or {})
+def corrupt_unicode(docs: DataFrame, name: str, rate: float, seed: str = "g") -> DataFrame:
+    """(doc_id, lang, text): characters replaced by any assigned code point, or such put behind them."""
 
     def one(key, text: str) -> str:
         rnd = random.Random(f"{key}-{name}-{seed}")
-        known = sent.value
-
-        def follow(before):
-            options = known.get(before)
-            return rnd.choices([o[0] for o in options], [o[1] for o in options])[0] if options else None
-
-        if name == "word_sub_trigram":
-            w = text.split(" ")
-            return " ".join((follow((w[i - 2].lower(), w[i - 1].lower())) or x) if i >= 2 and rnd.random() < rate else x for i, x in enumerate(w))
         out = []
-        for i, c in enumerate(text):
-            if rnd.random() >= rate:
-                out.append(c)
-                continue
-            new = _unicode_char(rnd) if "unicode" in name else follow(text[max(0, i - n + 1) : i].lower()) if i >= n - 1 else None
-            out.append((c + (new or "")) if "insert" in name else (new or c))
+        for c in text:
+            new = _unicode_char(rnd) if rnd.random() < rate else None
+            out.append(c if new is None else c + new if "insert" in name else new)
         return "".join(out)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -118,16 +107,71 @@ def corrupt_counted(docs: DataFrame, name: str, rate: float, seed: str = "g", n:
     return docs.select("doc_id", "lang", "text").mapInPandas(run, "doc_id long, lang string, text string")
 
 
-def followers(docs: DataFrame, name: str, n: int = 3, most: int = 20_000) -> dict:
-    """The counts that corrupt_counted needs: the `most` frequent continuations, never all of them."""
+def continuations(docs: DataFrame, name: str, n: int = 3) -> DataFrame:
+    """(key, next, lo, hi, total): every continuation in the corpus, with its part [lo, hi) of all that follow its key. A table, never on the driver."""
     from twinsift.catalogue.lexical import char_ngrams, word_trigrams
 
-    if "unicode" in name:
-        return {}
-    rows = word_trigrams(docs) if name == "word_sub_trigram" else char_ngrams(docs, n)
-    out: dict = {}
-    cols = ("first", "second", "third") if name == "word_sub_trigram" else ("before", "next")
-    for r in rows.orderBy(F.desc("n"), *cols).limit(most).collect():
-        key = (r["first"], r["second"]) if name == "word_sub_trigram" else r["before"]
-        out.setdefault(key, []).append((r["third" if name == "word_sub_trigram" else "next"], r["n"]))
-    return out
+    if name == "word_sub_trigram":
+        rows = word_trigrams(docs).select(F.concat_ws(" ", "first", "second").alias("key"), F.col("third").alias("next"), "n")
+    else:
+        rows = char_ngrams(docs, n).select(F.col("before").alias("key"), "next", "n")
+    upto = F.sum("n").over(Window.partitionBy("key").orderBy("next").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    rows = rows.withColumn("hi", upto).withColumn("lo", F.col("hi") - F.col("n"))
+    total = rows.groupBy("key").agg(F.sum("n").alias("total"))
+    return rows.join(total, "key").select("key", "next", "lo", "hi", "total")
+
+
+def _place_number(name: str, seed: str, i: F.Column, salt: str = "") -> F.Column:
+    text = F.concat(F.col("doc_id").cast("string"), F.lit("-"), i.cast("string"), F.lit(f"-{name}{salt}-{seed}"))
+    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 13), 16, 10).cast("long")
+
+
+def corrupt_counted(docs: DataFrame, name: str, rate: float, seed: str = "g", n: int = 3, table: DataFrame | None = None) -> DataFrame:
+    """(doc_id, lang, text) where chosen places follow the corpus: a word by what follows the two before it, a character by what follows the n - 1 before it.
+
+    A place draws a number below its key's total and joins the continuation whose part holds it, so frequent ones come often and none is left out; a key that
+    the table lacks leaves its place as it was. table: as `continuations` gives it."""
+    table = continuations(docs, name, n) if table is None else table
+    word = name == "word_sub_trigram"
+    units = F.split("text", " ") if word else F.filter(F.split("text", ""), lambda c: c != "")
+    back = 2 if word else n - 1
+    rows = docs.filter("text is not null").select("doc_id", units.alias("u"))
+    chosen = F.filter(F.sequence(F.lit(back), F.size("u") - 1), lambda i: _place_number(name, seed, i) % 10000 < round(rate * 10000))
+    key = lambda i: F.lower(F.array_join(F.slice("u", i - back + 1, F.lit(back)), " " if word else ""))
+    places = rows.filter(F.size("u") > back).select("doc_id", F.explode(F.transform(chosen, lambda i: F.struct(i.alias("i"), key(i).alias("key"), _place_number(name, seed, i, "d").alias("draw")))).alias("p")).select("doc_id", "p.*")
+    drawn = F.pmod("draw", "total")
+    edits = places.join(table, "key").filter((drawn >= F.col("lo")) & (drawn < F.col("hi"))).groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("i", "next"))).alias("edits"))
+    insert, glue = "insert" in name, " " if word else ""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for part in batches:
+            out = []
+            for text, changes in zip(part["text"], part["edits"], strict=True):
+                if text is not None and changes is not None:
+                    own = text.split(" ") if word else list(text)
+                    for e in changes:
+                        own[e["i"]] = own[e["i"]] + e["next"] if insert else e["next"]
+                    text = glue.join(own)
+                out.append(text)
+            yield pd.DataFrame({"doc_id": part["doc_id"], "lang": part["lang"], "text": out})
+
+    both = docs.select("doc_id", "lang", "text").join(edits, "doc_id", "left")
+    return both.select("doc_id", "lang", "text", "edits").mapInPandas(run, "doc_id long, lang string, text string")
+
+
+def counted_sql(name: str, rate: float, seed: str = "g", n: int = 3) -> str:
+    """The same in SQL, over documents."""
+    from twinsift.catalogue.lexical import WORDS
+
+    word = name == "word_sub_trigram"
+    back, glue = (2, " ") if word else (n - 1, "")
+    grams = f"select w[i] || ' ' || w[i+1] as key, w[i+2] as next, count(*) as n from (select w, unnest(range(1, len(w) - 1)) as i from (select {WORDS} as w from documents)) group by all having count(*) >= 2" if word else f"select substring(g, 1, {n - 1}) as key, substring(g, {n}, 1) as next, count(*) as n from (select substring(t, i, {n}) as g from (select lower(text) as t, unnest(range(1, length(lower(text)) - {n - 2})) as i from documents)) group by all having count(*) >= 2"
+    number = lambda salt="": f"('0x' || substr(md5(doc_id::varchar || '-' || (i - 1)::varchar || '-{name}{salt}-{seed}'), 1, 13))::bigint"
+    units = "string_split(text, ' ')" if word else "list_filter(string_split(text, ''), lambda c: c <> '')"
+    new = "x || coalesce(next, '')" if "insert" in name else "coalesce(next, x)"
+    return f"""with g as ({grams}), c as (select key, next, sum(n) over o - n as lo, sum(n) over o as hi, sum(n) over (partition by key) as total from g window o as (partition by key order by next)),
+u as (select doc_id, {units} as u from documents where text is not null), e as (select doc_id, unnest(u) as x, unnest(range(1, len(u) + 1)) as i, u from u),
+p as (select doc_id, i, lower(array_to_string(u[i-{back}:i-1], '{glue}')) as key, {number('d')} as draw from e where i > {back} and {number()} % 10000 < {round(rate * 10000)}),
+d as (select doc_id, i, next from p join c using (key) where draw % total >= lo and draw % total < hi),
+t as (select doc_id, string_agg({new}, '{glue}' order by i) as text from e left join d using (doc_id, i) group by doc_id)
+select doc_id, md5(coalesce(t.text, s.text)) as digest, length(coalesce(t.text, s.text))::bigint as n from documents s left join t using (doc_id)"""

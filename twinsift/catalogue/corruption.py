@@ -22,19 +22,24 @@ def _native(name):
     return run
 
 
-def _counted(name):
-    def run(spark, sf_dir):
-        docs = read_table(spark, sf_dir, "documents")
-        return _digest(policy.corrupt_counted(docs, name, RATE, table=policy.followers(docs, name)))
+def _counted(name, n):
+    return lambda spark, sf_dir: _digest(policy.corrupt_counted(read_table(spark, sf_dir, "documents"), name, RATE, n=n))
 
-    return run
+
+def _unicode(name):
+    return lambda spark, sf_dir: _digest(policy.corrupt_unicode(read_table(spark, sf_dir, "documents"), name, RATE))
 
 
 for _name in OPERATORS:
     QUERIES[f"g_{_name}"] = _native(_name)
     ORACLES[f"g_{_name}"] = f"select doc_id, md5(text) as digest, length(text)::bigint as n from ({expression(_name, RATE, 'g', Duck(), SQL_ROWS)})"
 for _name in policy.COUNTED:
-    QUERIES[f"g_{_name}"] = _counted(_name)
+    for _n in (3, 4, 5) if "ngram" in _name else (3,):
+        _key = f"g_{_name}" + (f"_{_n}" if _n > 3 else "")
+        QUERIES[_key] = _counted(_name, _n)
+        ORACLES[_key] = policy.counted_sql(_name, RATE, n=_n)
+for _name in policy.UNICODE:
+    QUERIES[f"g_{_name}"] = _unicode(_name)
 
 
 def _policy(which):

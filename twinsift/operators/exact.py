@@ -1,9 +1,15 @@
 """Exact duplicates: whole texts, titles, rows and shared passages."""
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from twinsift.functions.text import md5_int, words
+from twinsift.functions.shipping import by_value
+from twinsift.functions.text import words
+from twinsift.plans.checkpoints import cut
+
+by_value(__name__)
 
 
 def folded(text: Column) -> Column:
@@ -28,17 +34,46 @@ def row_groups(df: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def token_windows(df: DataFrame, n: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, start, window): the number of every run of n words."""
-    w = words(F.col(text_col))
-    toks = df.select(F.col(id_col).alias("id"), w.alias("w")).filter(F.size("w") >= n)
-    starts = F.sequence(F.lit(0), F.size("w") - n)
-    return toks.select("id", F.explode(F.transform(starts, lambda s: F.struct(s.alias("start"), md5_int(F.array_join(F.slice("w", s + 1, n), " ")).alias("window")))).alias("x")).select("id", "x.*")
+    """(id, start, window, check): two 64-bit numbers of every run of n words, 128 bits together.
+
+    Words are hashed once; the numbers of runs follow from one running sum each, so a word costs the same for any n."""
+    toks = df.select(F.col(id_col).cast("long").alias("id"), F.transform(words(F.col(text_col)), lambda w: F.xxhash64(w)).alias("w")).filter(F.size("w") >= n)
+
+    def run(batches):
+        for batch in batches:
+            lists = batch.column(1)
+            flat = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
+            offsets = lists.offsets.to_numpy().astype(np.int64) - lists.offsets.to_numpy()[0]
+            ids = batch.column(0).to_numpy()
+            for k in range(len(ids)):
+                own = flat[offsets[k] : offsets[k + 1]]
+                window, check = (rolled(own, n, base) for base in BASES)
+                count = len(window)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(count, ids[k])), pa.array(np.arange(count, dtype=np.int32)), pa.array(window), pa.array(check)], names=["id", "start", "window", "check"])
+
+    return toks.mapInArrow(run, "id long, start int, window long, check long")
+
+
+# Two odd multipliers: a run's number is the sum of its word hashes, each times the power of its place.
+BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
+
+
+def rolled(hashes: np.ndarray, n: int, base: int) -> np.ndarray:
+    """The number of each run of n hashes, modulo 2 ** 64: the number of the last n, from running sums over powers of the base."""
+    powers = np.full(len(hashes) + 1, base, np.uint64)
+    powers[0] = 1
+    up = np.cumprod(powers, dtype=np.uint64)
+    powers[1:] = pow(base, -1, 1 << 64)
+    down = np.cumprod(powers, dtype=np.uint64)
+    mixed = hashes ^ (hashes >> np.uint64(29))
+    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mixed * up[: len(hashes)], dtype=np.uint64)])
+    return ((total[n:] - total[:-n]) * down[: len(hashes) - n + 1]).view(np.int64)
 
 
 def shared_windows(windows: DataFrame) -> DataFrame:
     """Windows that occur in two documents or more, with (id, start)."""
-    spread = windows.groupBy("window").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).filter("lo <> hi").select("window")
-    return windows.join(spread, "window")
+    spread = windows.groupBy("window", "check").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).filter("lo <> hi").select("window", "check")
+    return windows.join(spread, ["window", "check"])
 
 
 def shared_spans(windows: DataFrame, n: int) -> DataFrame:
@@ -49,6 +84,10 @@ def shared_spans(windows: DataFrame, n: int) -> DataFrame:
     return runs.groupBy("id", "island").agg(F.min("start").alias("first"), (F.max("start") - F.min("start") + n).alias("words")).drop("island")
 
 
+def _leads(k: int):
+    return lambda at: F.struct(at.alias("at"), F.xxhash64(F.array_join(F.slice("w", at, F.lit(k)), " ")).alias("key"))
+
+
 def passage_hits(df: DataFrame, passages: DataFrame) -> DataFrame:
     """(doc_id, item_id): documents that hold a passage word for word. Passages go by their first words, so no document meets them all."""
     lead = 8
@@ -57,11 +96,14 @@ def passage_hits(df: DataFrame, passages: DataFrame) -> DataFrame:
     w = df.select("doc_id", words(F.col("text")).alias("w"))
     sizes = [r["k"] for r in known.select("k").distinct().collect()]  # at most `lead` numbers
     found = None
-    for k in sizes:
-        rows = w.filter(F.size("w") >= k).select("doc_id", "w", F.posexplode(F.sequence(F.lit(1), F.size("w") - k + 1)).alias("_", "at"))
-        rows = rows.withColumn("key", F.xxhash64(F.array_join(F.slice("w", F.col("at"), F.lit(k)), " ")))
-        hit = rows.join(known.filter(F.col("k") == k), "key").filter(F.expr("slice(w, at, size(p))") == F.col("p")).select("doc_id", "item_id")
+    for k in sizes:  # positions meet the passages by a hash; only documents with a hit bring their words
+        start = F.sequence(F.lit(1), F.size("w") - k + 1)
+        places = F.transform(start, _leads(k))
+        rows = w.filter(F.size("w") >= k).select("doc_id", F.explode(places).alias("x")).select("doc_id", "x.at", "x.key")
+        some = known.filter(F.col("k") == k).select("key", "item_id")
+        hit = rows.join(some, "key").select("doc_id", "at", "item_id")
         found = hit if found is None else found.union(hit)
     if found is None:
         return df.select("doc_id", F.lit(None).cast("long").alias("item_id")).limit(0)
-    return found.distinct()
+    full = cut(found).join(w, "doc_id").join(known.select("item_id", "p"), "item_id")
+    return full.filter(F.expr("slice(w, at, size(p))") == F.col("p")).select("doc_id", "item_id").distinct()

@@ -2,11 +2,13 @@
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from twinsift.functions.shipping import by_value
+from twinsift.functions.text import md5_int, word_shingles
 from twinsift.operators import sketches
 from twinsift.plans.checkpoints import ensure_checkpoint_dir
 
@@ -53,39 +55,43 @@ def build_index(docs: DataFrame, threshold: float, k: int = 64) -> tuple[DataFra
     return hashed, sketches.band_keys(sketches.sign_hashes(hashed, k), bands, rows)
 
 
-def recent(stream: DataFrame, threshold: float = 0.8, k: int = 32, ttl_ms: int = 3_600_000, cap: int = 64) -> DataFrame:
-    """(doc_id, match, score) among recent arrivals: for each band key the state keeps the signatures of at most `cap` texts for ttl_ms.
+def recent(stream: DataFrame, threshold: float = 0.8, k: int = 32, ttl_ms: int = 3_600_000, lateness: str = "1 hour") -> DataFrame:
+    """(doc_id, match, score) among recent arrivals: for each band key the state keeps the signatures of all texts whose time is at most ttl_ms behind the watermark.
 
-    The estimate decides, and a full key forgets its oldest text: a guard with bounded state, not the exact search of a batch."""
-    from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+    The estimate decides. Nothing is forgotten before its time, so a key's state grows with what arrives within it; a key that is silent so long loses its state.
+    A pair that shares several keys comes once for each."""
+    from pyspark.sql.streaming.state import GroupStateTimeout
 
     bands, rows = sketches.choose_bands(threshold, k)
 
-    class Remember(StatefulProcessor):
-        def init(self, handle: StatefulProcessorHandle) -> None:
-            self.seen = handle.getListState("seen", "doc_id long, signature array<long>", ttlDurationMs=ttl_ms)
-
-        def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:
-            held = [(r[0], list(r[1])) for r in self.seen.get()]
-            out = []
-            for part in rows:
-                for doc_id, sig in zip(part["doc_id"], part["signature"], strict=True):
-                    sig = [int(x) for x in sig]
-                    for other, was in held:
-                        score = sum(x == y for x, y in zip(sig, was, strict=True)) / len(sig)
-                        if score >= threshold and other != doc_id:
-                            out.append((int(doc_id), int(other), score))
-                    held = [*held, (int(doc_id), sig)][-cap:]
-            self.seen.put(held)
-            yield pd.DataFrame(out, columns=["doc_id", "match", "score"])
-
-        def close(self) -> None:
-            pass
-
-    signed = sketches.sign_hashes(sketches.shingle_hashes(stream), k).filter("signature is not null")
+    def remember(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        now = state.getCurrentWatermarkMs()
+        arrived = pd.concat(list(parts), ignore_index=True)
+        ids, signatures = arrived["doc_id"].to_numpy(np.int64), np.array(arrived["signature"].tolist(), np.int64).reshape(len(arrived), -1)
+        times = arrived["at"].to_numpy(np.int64)
+        held = 0
+        if state.exists:
+            was_ids, was_times, was = (np.array(x, np.int64) for x in state.get)
+            young = was_times > now - ttl_ms
+            held = int(young.sum())
+            ids, times, signatures = np.concatenate([was_ids[young], ids]), np.concatenate([was_times[young], times]), np.concatenate([was.reshape(len(was_ids), -1)[young], signatures])
+        out = []
+        for i in range(held, len(ids)):
+            score = (signatures[:i] == signatures[i]).mean(1)
+            out += [(int(ids[i]), int(ids[j]), float(score[j])) for j in np.flatnonzero((score >= threshold) & (ids[:i] != ids[i]))]
+        state.update((ids.tolist(), times.tolist(), signatures.ravel().tolist()))
+        state.setTimeoutTimestamp(max(int(times.max()), now) + ttl_ms)
+        yield pd.DataFrame(out, columns=["doc_id", "match", "score"])
+
+    hashed = F.array_distinct(F.transform(word_shingles(F.col("text"), 3), md5_int))
+    timed = stream.filter("text is not null and ts is not null").withWatermark("ts", lateness).select("ts", F.col("doc_id").cast("long").alias("doc_id"), sketches.minhash(hashed, k).alias("signature")).filter("signature is not null")
     keys = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(b, F.slice("signature", b * rows + 1, rows)))
-    keyed = signed.select(F.explode(keys).alias("key"), F.col("id").alias("doc_id"), "signature")
-    return keyed.groupBy("key").transformWithStateInPandas(Remember(), "doc_id long, match long, score double", "Append", "ProcessingTime")
+    keyed = timed.select("ts", F.explode(keys).alias("key"), "doc_id", F.unix_millis("ts").alias("at"), "signature")
+    schema = "ids array<long>, times array<long>, signatures array<long>"
+    return keyed.groupBy("key").applyInPandasWithState(remember, "doc_id long, match long, score double", schema, "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def tumbling(found: DataFrame, width: str = "1 hour") -> DataFrame:
@@ -122,15 +128,17 @@ def append_once(path: str) -> Callable[[DataFrame, int], None]:
 
 
 def count_late(path: str, lateness_s: int = 3600) -> Callable[[DataFrame, int], None]:
-    """A foreachBatch sink before the stateful step: rows behind the largest time seen so far, less the lateness, go to a side table."""
-    newest: list = [None]
+    """A foreachBatch sink before the stateful step: rows behind the largest time seen so far, less the lateness, go to a side table.
+
+    The largest time of each batch is written beside it, so a stream that starts again knows what came before; a batch that runs again sees the batches before it only."""
 
     def put(batch: DataFrame, number: int) -> None:
-        if newest[0] is not None:
-            late = batch.filter(F.col("ts") < F.lit(newest[0]) - F.expr(f"interval {lateness_s} seconds"))
-            late.write.mode("overwrite").parquet(f"{path}/batch={number}")
-        top = batch.agg(F.max("ts")).first()[0]
-        newest[0] = max(filter(None, (newest[0], top)), default=None)
+        spark = batch.sparkSession
+        batch.agg(F.max("ts").alias("top")).withColumn("number", F.lit(number)).write.mode("overwrite").parquet(f"{path}/newest/of={number}")
+        newest = spark.read.parquet(f"{path}/newest").filter(F.col("number") < number).agg(F.max("top")).first()[0]
+        if newest is not None:
+            late = batch.filter(F.col("ts") < F.lit(newest) - F.expr(f"interval {lateness_s} seconds"))
+            late.write.mode("overwrite").parquet(f"{path}/late/batch={number}")
 
     return put
 
