@@ -8,7 +8,8 @@ from twinsift.experiments import workloads as w
 from twinsift.sources.tables import read_table
 
 ORACLES: dict[str, str] = {}
-QUERIES = {f"w_{n}": getattr(w, f"w_{n}") for n in ("adversarial", "by_kind", "by_amount", "by_length", "news", "ratio", "thresholds", "scholarly", "corpus", "speed", "campaigns", "errors", "ablate_shape", "ablate_train")}
+QUERIES = {f"w_{n}": getattr(w, f"w_{n}") for n in ("adversarial", "by_kind", "by_amount", "by_length", "news", "ratio", "thresholds", "scholarly", "corpus", "speed", "campaigns", "errors", "stream", "ablate_shape", "ablate_train")}
+QUERIES["c_index_cost"] = w.c_index_cost
 
 
 def _e(name, methods):
@@ -17,14 +18,30 @@ def _e(name, methods):
 
 QUERIES |= {
     "e_retrieve": _e("w_adversarial", ("doc", "chunk", "untrained")),
+    "e_by_kind": _e("w_by_kind", ("doc", "chunk")),
     "e_by_amount": _e("w_by_amount", ("doc", "chunk")),
+    "e_by_length": _e("w_by_length", ("doc", "chunk")),
     "e_news": _e("w_news", ("doc", "chunk")),
+    "e_ratio": _e("w_ratio", ("doc", "chunk")),
+    "e_thresholds": _e("w_thresholds", ("doc", "chunk")),
+    "e_scholarly": _e("w_scholarly", ("doc", "chunk")),
     "e_dedup": _e("w_corpus", ("doc", "chunk")),
     "e_campaigns": _e("w_campaigns", ("doc",)),
     "e_throughput": _e("w_speed", ("doc",)),
 }
 
 
+def _slices(name, column):
+    """A breakdown alone: the recall rows of a workload's lexical methods, by its slice."""
+    def run(spark, sf_dir):
+        return getattr(w, name)(spark, sf_dir).filter("metric = 'recall@1'").select("method", F.col("slice").alias(column), F.col("value").alias("recall"))
+
+    return run
+
+
+QUERIES |= {"c_recall_kind": _slices("w_by_kind", "kind"), "c_recall_amount": _slices("w_by_amount", "amount"), "c_recall_length": _slices("w_by_length", "bound")}
+
+
 def e_encode_doc(spark, sf_dir):
     weights, c = api.model("tiny")
     return api.encode_texts(read_table(spark, sf_dir, "documents"), weights, c).select(F.col("id").alias("doc_id"), "doc_vector", F.size("chunk_vectors").alias("chunks"))
@@ -42,4 +59,4 @@ def c_footprint(spark, sf_dir):
 
 
 QUERIES |= {f.__name__: f for f in (e_encode_doc, e_encode_chunk, c_footprint)}
-ORACLES["c_footprint"] = "select * from (values ('paper', 535810, 1024), ('small', {small}, 256), ('tiny', {tiny}, 128), ('minhash 256', 0, 2048), ('minhash 10', 0, 80), ('simhash 64', 0, 8)) t(method, parameters, bytes)".format(small=net.n_params(net.PRESETS["small"]), tiny=net.n_params(net.PRESETS["tiny"]))
+ORACLES["c_footprint"] = "select * from (values ('paper', 535810, 1024), ('small', {small}, 256), ('tiny', {tiny}, {width}), ('minhash 256', 0, 2048), ('minhash 10', 0, 80), ('simhash 64', 0, 8)) t(method, parameters, bytes)".format(small=net.n_params(net.PRESETS["small"]), tiny=net.n_params(net.PRESETS["tiny"]), width=4 * net.PRESETS["tiny"].dim)

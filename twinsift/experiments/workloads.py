@@ -1,5 +1,6 @@
 """The experiments: planted inputs from the given tables, every method, every measure. Results are rows (method, slice, metric, value)."""
 
+import time
 from collections.abc import Callable
 from functools import reduce
 
@@ -15,11 +16,13 @@ from twinsift.functions.shipping import by_value
 from twinsift.functions.text import md5_int
 from twinsift.operators import clustering, exact, matching, metrics, sketches
 from twinsift.plans.checkpoints import cut
-from twinsift.sources.tables import read_table
+from twinsift.streaming import guard
+from twinsift.sources.tables import html_text, read_table
 
 by_value(__name__)
 
 LEXICAL = ("minhash", "simhash")
+MANY_LANGUAGES = 10_000
 ENCODER = ("doc", "chunk", "untrained")
 # Published settings of methods by task.
 SETTINGS = {"news": {"doc": 0.89, "chunk": 0.84, "minhash": (10, 2, 0.6), "simhash": (5, 10)}, "scholarly": {"doc": 0.86, "chunk": 0.82, "minhash": (256, 3, 0.5), "simhash": (3, 6)}, "corpus": {"doc": 0.90, "chunk": 0.85, "minhash": (256, 3, 0.8)}}
@@ -77,26 +80,31 @@ def top1(queries: DataFrame, found: DataFrame, method: str) -> DataFrame:
     side = lambda df, name: df.select("lang", "id", "v", F.pmod(F.xxhash64("id"), F.ceil(F.count("*").over(_by("lang")) / block)).cast("int").alias(name), F.ceil(F.count("*").over(_by("lang")) / block).cast("int").alias("n"))
     q, t = side(queries, "i"), side(found, "j")
     sizes = q.groupBy("lang").agg(F.max("n").alias("nq")).join(t.groupBy("lang").agg(F.max("n").alias("nt")), "lang")
-    sizes = F.broadcast(sizes)  # one row a language
+    sizes = F.broadcast(sizes) if sizes.count() <= MANY_LANGUAGES else sizes
     a = q.drop("n").join(sizes, "lang").select("lang", "i", F.explode(F.sequence(F.lit(0), F.col("nt") - 1)).alias("j"), F.lit(0).alias("side"), "id", "v")
     b = t.drop("n").join(sizes, "lang").select("lang", F.explode(F.sequence(F.lit(0), F.col("nq") - 1)).alias("i"), "j", F.lit(1).alias("side"), "id", "v")
 
     def best(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        """For each query of the block its best score here, the smallest target with it, and how many targets have it."""
         x, y = rows[rows["side"] == 0], rows[rows["side"] == 1].sort_values("id")
         if not len(x) or not len(y):
-            return pd.DataFrame({"query_id": [], "target_id": [], "score": []})
+            return pd.DataFrame({"query_id": [], "target_id": [], "score": [], "n": []})
         p, r = np.array(x["v"].tolist()), np.array(y["v"].tolist())
         if equal:
             score = np.stack([(r == row[None]).mean(1) for row in p])
         else:
             p, r = (m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-12) for m in (p, r))
             score = np.round(p @ r.T, 9)
-        top = score.max(1)
-        qi, ti = np.nonzero(score == top[:, None])
-        return pd.DataFrame({"query_id": x["id"].to_numpy()[qi], "target_id": y["id"].to_numpy()[ti], "score": top[qi]})
+        targets, first = np.unique(y["id"].to_numpy(), return_index=True)
+        queries, start = np.unique(x["id"].to_numpy(), return_inverse=True)
+        whole = np.full((len(queries), len(targets)), -np.inf)
+        np.maximum.at(whole, start, np.maximum.reduceat(score, first, axis=1))  # the nearest part of a target to any part of the query
+        top = whole.max(1)
+        tied = whole == top[:, None]
+        return pd.DataFrame({"query_id": queries, "target_id": targets[tied.argmax(1)], "score": top, "n": tied.sum(1)})
 
-    near = a.union(b.select("lang", "i", "j", "side", "id", "v")).groupBy("lang", "i", "j").applyInPandas(best, "query_id long, target_id long, score double")
-    return matching.top_by(near.distinct(), "query_id", "target_id", "score")
+    near = a.union(b.select("lang", "i", "j", "side", "id", "v")).groupBy("lang", "i", "j").applyInPandas(best, "query_id long, target_id long, score double, n long")
+    return matching.top_by(near, "query_id", "target_id", "score", ties="n")
 
 
 def _by(*cols):
@@ -106,36 +114,41 @@ def _by(*cols):
 
 
 def retrieval(found: DataFrame, queries: DataFrame, methods: tuple[str, ...], slice_by: str, preset: str = "tiny") -> DataFrame:
-    """Recall@1 and tie rate of each method over slices; queries: (doc_id, lang, text, slice column)."""
+    """Recall@1 and tie rate of each method over slices; queries: (doc_id, lang, text, slice column, and target if a query's id is not its target's)."""
+    if "target" not in queries.columns:
+        queries = queries.withColumn("target", F.col("doc_id"))
     found, queries = cut(found), cut(queries)
     out = []
     for m in methods:
         v = vectors_of(found, m, preset).join(found.select(F.col("doc_id").alias("id"), "lang"), "id")
         q = vectors_of(queries, m, preset).join(queries.select(F.col("doc_id").alias("id"), "lang"), "id")
         top = cut(top1(q, v, m))
-        truth = queries.select(F.col("doc_id").alias("query_id"), F.col("doc_id").alias("target_id"), slice_by)
+        truth = queries.select(F.col("doc_id").alias("query_id"), F.col("target").alias("target_id"), slice_by)
         by = metrics.recall_at(top.withColumn("rank", F.lit(1)), truth, 1, (slice_by,))
         out += [tidy(by, m, slice_by, "recall@1", "recall"), tidy(metrics.macro(by), m, "", "macro recall@1", "mean"), tidy(metrics.tie_rate(top), m, "", "tie rate", "tie_rate")]
     return union(out)
 
 
-def w_adversarial(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = LEXICAL, preset: str = "tiny") -> DataFrame:
+def w_adversarial(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = (*LEXICAL, "char stand-in"), preset: str = "tiny") -> DataFrame:
     """Corrupted copies must find their source, by language."""
     t = cut(targets(read_table(spark, sf_dir, "documents")))
     q = made(policy.apply(with_lexicons(t), policy.BENCH, "bench").select("doc_id", "lang", "text"))
     return retrieval(t, q, methods, "lang", preset)
 
 
+COMBOS = [(lev, k) for lev in ("para", "sent", "word", "char") for k in policy.KINDS if policy.operators_of(lev, k)]
+
+
 def w_by_kind(spark, sf_dir, methods=LEXICAL, preset="tiny"):
-    """One level and kind of corruption at a time; each query gets one that its id picks."""
+    """One level and kind of corruption at a time over all targets; a query's id draws among all operators of the kind."""
     t = cut(targets(read_table(spark, sf_dir, "documents")))
-    combos = [(lev, k) for lev in ("sent", "word", "char") for k in policy.KINDS]
-    rows = with_lexicons(t).withColumn("combo", F.pmod(F.xxhash64("doc_id", F.lit("kind")), F.lit(len(combos))))
-    parts = []
-    for i, (lev, kind) in enumerate(combos):
-        own = rows.filter(F.col("combo") == i).drop("combo")
-        name = policy.operators_of(lev, kind)[0]
-        parts.append(policy.corrupt_one(own, name, 0.2, f"k{i}").withColumn("kind", F.lit(f"{lev} {kind}")))
+    rows, parts = cut(with_lexicons(t)), []
+    for i, (lev, kind) in enumerate(COMBOS):
+        names = policy.operators_of(lev, kind)
+        for j, name in enumerate(names):
+            own = rows.filter(F.pmod(F.xxhash64("doc_id", F.lit(f"{lev} {kind}")), F.lit(len(names))) == j)
+            part = policy.corrupt_one(own, name, 0.2, f"k{i}").withColumn("kind", F.lit(f"{lev} {kind}"))
+            parts.append(part.withColumn("target", F.col("doc_id")).withColumn("doc_id", F.col("doc_id") * len(COMBOS) + i))
     return retrieval(t, made(union(parts)), methods, "kind", preset)
 
 
@@ -143,20 +156,27 @@ RATES = (0.0, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6)
 
 
 def w_by_amount(spark, sf_dir, methods=LEXICAL, preset="tiny"):
-    """Character substitution at growing rates; each query gets one rate that its id picks. Rate 0 must give 1."""
+    """Character substitution at growing rates, each over all targets. Rate 0 must give 1."""
     t = cut(targets(read_table(spark, sf_dir, "documents")))
-    rows = with_lexicons(t).withColumn("pick", F.pmod(F.xxhash64("doc_id", F.lit("amount")), F.lit(len(RATES))))
-    parts = [policy.corrupt_one(rows.filter(F.col("pick") == i).drop("pick"), "char_sub_alphabet", r, f"a{i}").withColumn("amount", F.lit(r)) for i, r in enumerate(RATES)]
+    rows, parts = cut(with_lexicons(t)), []
+    for i, r in enumerate(RATES):
+        part = policy.corrupt_one(rows, "char_sub_alphabet", r, f"a{i}").withColumn("amount", F.lit(r))
+        parts.append(part.withColumn("target", F.col("doc_id")).withColumn("doc_id", F.col("doc_id") * len(RATES) + i))
     return retrieval(t, made(union(parts)), methods, "amount", preset)
 
 
+BOUNDS = (64, 128, 256, 512, 1024, 2048, 4096, 8192)
+
+
 def w_by_length(spark, sf_dir, methods=LEXICAL, preset="tiny"):
-    """By the largest length of a target, doubling from 64."""
-    t = cut(targets(read_table(spark, sf_dir, "documents")))
-    q = made(policy.apply(with_lexicons(t), policy.BENCH, "bench").select("doc_id", "lang", "text"))
-    bound = F.pow(F.lit(2), F.ceil(F.log2(F.greatest(F.length("text"), F.lit(64))))).cast("int")
-    q = q.join(t.select("doc_id", bound.alias("bound")), "doc_id")
-    return retrieval(t, q, methods, "bound", preset)
+    """Targets cut to a largest length, doubling from 64: a benchmark of its own for each bound. And the distinct product names, the shortest texts there are."""
+    docs, out = read_table(spark, sf_dir, "documents"), []
+    names = read_table(spark, sf_dir, "part").select(F.col("p_name").alias("text")).distinct().filter("length(text) >= 4").select(F.xxhash64("text").alias("doc_id"), F.lit("en").alias("lang"), "text")
+    for bound in (*BOUNDS, 0):
+        t = cut(targets(docs, bound) if bound else names)
+        q = made(policy.apply(with_lexicons(t), policy.BENCH, "bench").select("doc_id", "lang", "text"))
+        out.append(retrieval(t, q.withColumn("bound", F.lit(str(bound) if bound else "names")), methods, "bound", preset).filter("metric = 'recall@1'"))
+    return union(out)
 
 
 # pairs and clusters --------------------------------------------------------------------------------
@@ -173,20 +193,93 @@ def news(spark, sf_dir) -> DataFrame:
     return noisy.select("doc_id", "lang", "text", "cluster").unionByName(rows.filter("copy = 0").select("doc_id", "lang", "text", "cluster"))
 
 
-def pairs_by(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> DataFrame:
-    """(a, b) that a method calls near-duplicates at its settings."""
+def links_by(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> tuple[DataFrame, DataFrame]:
+    """Links (a, b, score) of classes of equal rows that a method calls near-duplicates, and membership (id, rep, text): a row is a text, or a chunk of it.
+
+    Vectors go through the approximate threshold join; sketches are exact but for the banding of MinHash."""
     if method == "minhash":
         k, n, t = settings["minhash"]
-        return sketches.minhash_pairs(texts, t, k, n).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+        near, members = sketches.minhash_classes(texts, t, k, n, recall=settings.get("recall", 0.0))
+        return near, members.withColumn("text", F.col("id"))
     if method == "simhash":
         n, limit = settings["simhash"]
-        return sketches.simhash_block_pairs(cut(sketches.simhash_votes(texts, n).filter("fingerprint is not null")), limit).select("a", "b")
-    v = vectors_of(texts, method, preset)
+        signed = cut(sketches.simhash_votes(texts, n).filter("fingerprint is not null"))
+        reps = signed.groupBy("fingerprint").agg(F.min("id").alias("id"))
+        near = sketches.simhash_block_pairs(reps, limit).select("a", "b", (1 - F.col("distance") / 64).alias("score"))
+        return near, signed.join(reps.withColumnRenamed("id", "rep"), "fingerprint").select("id", "rep", F.col("id").alias("text"))
+    v = cut(vectors_of(texts, method, preset).withColumn("text", F.col("id")).withColumn("id", F.xxhash64("id", "part") if method == "chunk" else F.col("id")))
+    reps, members = matching.vector_classes(v, "id", "v")
+    first = v.select(F.size("v").alias("n")).first()
+    near = matching.near_pairs(reps, settings["chunk" if method == "chunk" else "doc"], first["n"] if first else 1)
+    return near, members.join(v.select("id", "text"), "id")
+
+
+def edges_by(near: DataFrame, members: DataFrame) -> DataFrame:
+    """(a, b) of texts, enough for components: links between the texts of the representatives, and each copy with its representative."""
+    of = members.select("id", "text")
+    one, two = (of.select(F.col("id").alias(c), F.col("text").alias(t)) for c, t in (("a", "x"), ("b", "y")))
+    linked = near.join(one, "a").join(two, "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
+    copies = members.filter("id <> rep").select("text", F.col("rep").alias("a")).join(one, "a").select(F.col("x").alias("a"), F.col("text").alias("b"))
+    return linked.union(copies).filter("a <> b")
+
+
+def pairs_by(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> DataFrame:
+    """(a, b, score), a < b: all pairs of texts that a method calls near-duplicates, copies too; of chunks the nearest two count."""
+    near, members = links_by(texts, method, settings, preset)
+    full = sketches.expand(near, members)
     if method != "chunk":
-        return matching.pairs(v, settings["doc"], "id", "v").select("a", "b")
-    v = cut(v.withColumn("vec_id", F.xxhash64("id", "part")).withColumnRenamed("id", "doc_id"))
-    found = matching.pairs(v, settings["chunk"], "vec_id", "v", group="doc_id")
-    return matching.doc_pairs_from_chunks(found, v).select(F.col("doc_a").alias("a"), F.col("doc_b").alias("b"))
+        return full
+    one, two = (members.select(F.col("id").alias(c), F.col("text").alias(t)) for c, t in (("a", "x"), ("b", "y")))
+    both = full.join(one, "a").join(two, "b").filter("x <> y")
+    return both.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.max("score").alias("score"))
+
+
+# Lowest scores and steps of a sweep, by method; SimHash scores are 1 - distance / 64.
+SWEPT = {"minhash": (0.2, 0.02), "simhash": (1 - 14 / 64, 1 / 64), "": (0.6, 0.01)}
+
+
+def scored_by(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> tuple[DataFrame, list[float]]:
+    """Pairs (a, b, score) from a low score on, exactly, and the grid of thresholds: for curves and tuning on a slice."""
+    low, step = SWEPT.get(method, SWEPT[""])
+    grid = [round(low + step * i, 6) for i in range(int((1 - low) / step + 1e-9) + 1)]
+    if method == "minhash":
+        found = sketches.jaccard_join(sketches.shingle_hashes(texts, settings["minhash"][1]), low)
+    elif method == "simhash":
+        signed = cut(sketches.simhash_votes(texts, settings["simhash"][0]).filter("fingerprint is not null"))
+        found = sketches.simhash_block_pairs(signed, round((1 - low) * 64)).select("a", "b", F.round(1 - F.col("distance") / 64, 6).alias("score"))
+    else:
+        v = cut(vectors_of(texts, method, preset).withColumnRenamed("id", "doc_id").withColumn("vec_id", F.xxhash64("doc_id", "part")))
+        near = matching.pairs(v, low, "vec_id", "v", group="doc_id")
+        found = matching.doc_pairs_from_chunks(near, v).select(F.col("doc_a").alias("a"), F.col("doc_b").alias("b"), "score")
+    return found, grid
+
+
+def swept(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> DataFrame:
+    """(threshold, tp, fp, fn, precision, recall, f1) of a method's pairs against the planted clusters."""
+    scored, grid = scored_by(texts, method, settings, preset)
+    one, two = (texts.select(F.col("doc_id").alias(i), F.col("cluster").alias(c)) for i, c in (("a", "ca"), ("b", "cb")))
+    marked = scored.join(one, "a").join(two, "b").select("score", (F.col("ca") == F.col("cb")).cast("long").alias("truth"))
+    return matching.sweep(marked, grid, _true_pairs(texts).count())
+
+
+def tuned(texts: DataFrame, method: str, settings: dict, preset: str = "tiny") -> dict:
+    """The settings with the threshold of the best F1 over pairs of these texts."""
+    best = swept(texts, method, settings, preset).orderBy(F.desc("f1"), "threshold").first()["threshold"]
+    if method == "minhash":
+        return settings | {"minhash": (*settings["minhash"][:2], best), "recall": 0.0}
+    if method == "simhash":
+        return settings | {"simhash": (settings["simhash"][0], round((1 - best) * 64))}
+    return settings | {"chunk" if method == "chunk" else "doc": best}
+
+
+def threshold_of(settings: dict, method: str) -> float:
+    return float(settings["minhash"][2] if method == "minhash" else settings["simhash"][1] if method == "simhash" else settings["chunk" if method == "chunk" else "doc"])
+
+
+def _slice(texts: DataFrame, tuning: bool) -> DataFrame:
+    """A fifth of the clusters is for choosing thresholds, the rest for measuring."""
+    mine = F.pmod(F.xxhash64("cluster", F.lit("tune")), F.lit(5)) == 0
+    return texts.filter(mine if tuning else ~mine)
 
 
 def _true_pairs(texts: DataFrame) -> DataFrame:
@@ -196,76 +289,102 @@ def _true_pairs(texts: DataFrame) -> DataFrame:
 
 
 def w_news(spark, sf_dir, methods=LEXICAL, preset="tiny"):
-    """Adjusted Rand index of the components of each method's pairs against the planted clusters."""
+    """Adjusted Rand index of the components of each method's pairs against the planted clusters: at published settings, and with the threshold tuned on other clusters."""
     texts = cut(news(spark, sf_dir))
-    truth = texts.select(F.col("doc_id").alias("id"), "cluster")
-    return union([tidy(metrics.ari(truth, clustering.label_all(texts, pairs_by(texts, m, SETTINGS["news"], preset), "doc_id")), m, "", "ARI", "ari") for m in methods])
+    tune, rest = cut(_slice(texts, True)), cut(_slice(texts, False))
+    truth = rest.select(F.col("doc_id").alias("id"), "cluster")
+    out = []
+    for m in methods:
+        found = tuned(tune, m, SETTINGS["news"], preset)
+        for name, settings in (("published", SETTINGS["news"]), ("tuned", found)):
+            ari = metrics.ari(truth, clustering.label_all(rest, edges_by(*links_by(rest, m, settings, preset)), "doc_id"))
+            out.append(tidy(ari.withColumn("s", F.lit(name)), m, "s", "ARI", "ari"))
+        out.append(tidy(spark.createDataFrame([("tuned", threshold_of(found, m))], "s string, t double"), m, "s", "threshold", "t"))
+    return union(out)
 
 
 def w_ratio(spark, sf_dir, methods=LEXICAL, preset="tiny"):
-    """Share of the planted pairs that each method finds, by length ratio."""
+    """Share of the planted pairs that each method finds with its tuned threshold, by length ratio."""
     texts = cut(news(spark, sf_dir))
-    truth = cut(_true_pairs(texts))
-    return union([tidy(metrics.detection_by_ratio(pairs_by(texts, m, SETTINGS["news"], preset), truth), m, "ratio", "detection rate", "rate") for m in methods])
+    tune, rest = cut(_slice(texts, True)), cut(_slice(texts, False))
+    truth = cut(_true_pairs(rest))
+    return union([tidy(metrics.detection_by_ratio(pairs_by(rest, m, tuned(tune, m, SETTINGS["news"], preset), preset), truth), m, "ratio", "detection rate", "rate") for m in methods])
 
 
-def w_thresholds(spark, sf_dir, methods=("char stand-in",), preset="tiny"):
-    """Precision, recall and F1 of vector pairs by distance."""
-    texts = cut(news(spark, sf_dir))
-    same = texts.select(F.col("doc_id").alias("a"), F.col("cluster").alias("ca")), texts.select(F.col("doc_id").alias("b"), F.col("cluster").alias("cb"))
-    positives = _true_pairs(texts).count()
-    grid = [round(0.5 + 0.01 * i, 2) for i in range(51)]
+def w_thresholds(spark, sf_dir, methods=(*LEXICAL, "char stand-in"), preset="tiny"):
+    """Precision, recall and F1 of pairs by distance (1 - score), on the clusters that thresholds are chosen on."""
+    texts = cut(_slice(cut(news(spark, sf_dir)), True))
     out = []
     for m in methods:
-        v = vectors_of(texts, m, preset)
-        scored = matching.pairs(v, 0.5, "id", "v").join(same[0], "a").join(same[1], "b").select("score", (F.col("ca") == F.col("cb")).cast("long").alias("truth"))
-        s = matching.sweep(scored, grid, positives).withColumn("distance", F.round(1 - F.col("threshold"), 2))
+        s = swept(texts, m, SETTINGS["news"], preset).withColumn("distance", F.round(1 - F.col("threshold"), 4))
         out += [tidy(s, m, "distance", k, k) for k in ("precision", "recall", "f1")]
     return union(out)
 
 
-def w_scholarly(spark, sf_dir, methods=("title", *LEXICAL), preset="tiny"):
-    """A quarter exact, a quarter near, half without a duplicate: scores of both classes."""
+LIGHT = ("word_swap", "char_swap", "char_case", "word_delete", "noise_scan", "char_sub_keyboard")
+
+
+def scholarly(spark, sf_dir) -> DataFrame:
+    """(doc_id, lang, text, cluster, truth): records of which a quarter has an exact copy, a quarter a lightly edited one, half none."""
     base = targets(read_table(spark, sf_dir, "documents"), 1200)
     kind = F.pmod(F.xxhash64("doc_id", F.lit("kind")), F.lit(6))  # copies count as records too: 1/6 exact, 1/6 near, 4/6 none make 25/25/50
-    rows = with_lexicons(base).withColumn("k", kind)
-    exact_copy = rows.filter("k = 0").select((F.col("doc_id") * 2 + 1).alias("doc_id"), "lang", "text", F.lit(1).alias("truth"))
-    near = policy.corrupt_one(rows.filter("k = 1"), "word_swap", 0.05, "sch").select((F.col("doc_id") * 2 + 1).alias("doc_id"), "lang", "text", F.lit(1).alias("truth"))
-    near = made(near)
-    first = rows.select((F.col("doc_id") * 2).alias("doc_id"), "lang", "text", (F.col("k") <= 1).cast("int").alias("truth"))
-    texts = cut(first.union(exact_copy).union(near))
+    rows = cut(with_lexicons(base).withColumn("k", kind))
+    first = rows.select((F.col("doc_id") * 2).alias("doc_id"), "lang", "text", F.col("doc_id").alias("cluster"), (F.col("k") <= 1).cast("int").alias("truth"))
+    copy = lambda df: df.select((F.col("doc_id") * 2 + 1).alias("doc_id"), "lang", "text", F.col("doc_id").alias("cluster"), F.lit(1).alias("truth"))
+    pick = F.pmod(F.xxhash64("doc_id", F.lit("edit")), F.lit(len(LIGHT)))
+    near = made(union([copy(policy.corrupt_one(rows.filter((F.col("k") == 1) & (pick == i)), name, 0.05, "sch")) for i, name in enumerate(LIGHT)]))
+    return first.union(copy(rows.filter("k = 0"))).union(near)
+
+
+def w_scholarly(spark, sf_dir, methods=("title", *LEXICAL), preset="tiny"):
+    """A quarter exact, a quarter near, half without a duplicate: scores of both classes, at published settings and tuned on other records."""
+    texts = cut(scholarly(spark, sf_dir))
+    tune, rest = cut(_slice(texts, True)), cut(_slice(texts, False))
     out = []
     for m in methods:
-        found = exact.groups(texts, exact.title(F.col("text"))).select("id") if m == "title" else pairs_by(texts, m, SETTINGS["scholarly"], preset).select(F.explode(F.array("a", "b")).alias("id"))
-        rec = texts.select(F.col("doc_id").alias("id"), "truth").join(found.distinct().withColumn("pred", F.lit(1)), "id", "left").fillna(0, ["pred"])
-        scores = metrics.two_class(rec)
-        out += [tidy(scores, m, "", k, k) for k in ("p_dup", "r_dup", "p_non", "r_non", "f1_of_macro", "accuracy")]
+        for name in ("published",) if m == "title" else ("published", "tuned"):
+            settings = SETTINGS["scholarly"] if name == "published" else tuned(tune, m, SETTINGS["scholarly"], preset)
+            found = exact.groups(rest, exact.title(F.col("text"))).select("id") if m == "title" else edges_by(*links_by(rest, m, settings, preset)).select(F.explode(F.array("a", "b")).alias("id"))
+            rec = rest.select(F.col("doc_id").alias("id"), "truth").join(found.distinct().withColumn("pred", F.lit(1)), "id", "left").fillna(0, ["pred"])
+            scores = cut(metrics.two_class(rec).withColumn("s", F.lit(name)))
+            out += [tidy(scores, m, "s", k, k) for k in ("p_dup", "r_dup", "p_non", "r_non", "f1_of_macro", "accuracy")]
     return union(out)
 
 
-def w_corpus(spark, sf_dir, methods=("minhash", "substring"), preset="tiny"):
-    """Duplicate rates within train and of valid against train, by method, over documents."""
+def corpora(spark, sf_dir) -> dict[str, DataFrame]:
+    """The corpora of the deduplication experiment: documents, and the visible text of pages."""
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "lang", "text")
-    parts = docs.select(F.col("doc_id").alias("id"), F.when(md5_int(F.col("doc_id").cast("string")) % 10 == 0, "valid").otherwise("train").alias("split"))
+    pages = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("doc_id"), F.lit(None).cast("string").alias("lang"), html_text(F.col("html")).alias("text"))
+    return {"documents": docs, "pages": pages}
+
+
+def w_corpus(spark, sf_dir, methods=("minhash", "substring"), preset="tiny"):
+    """Duplicate rates within train and of valid against train, by method, over documents and pages; and how many texts hold a known passage of the benchmark."""
     out = []
-    for m in methods:
-        if m == "substring":
-            win = exact.token_windows(docs, 50).join(parts, "id")
-            by = win.groupBy("window").agg(F.count_distinct(F.when(F.col("split") == "train", F.col("id"))).alias("t"))
-            hit = win.join(by, "window").filter("(split = 'train' and t > 1) or (split = 'valid' and t > 0)").select("id", "split").distinct()
-        else:
-            found = cut(pairs_by(docs, m, SETTINGS["corpus"], preset))
-            x, y = parts.select(F.col("id").alias("a"), F.col("split").alias("sa")), parts.select(F.col("id").alias("b"), F.col("split").alias("sb"))
-            both = found.join(x, "a").join(y, "b")
-            inner = both.filter("sa = 'train' and sb = 'train'").select(F.explode(F.array("a", "b")).alias("id"), F.lit("train").alias("split"))
-            cross = both.filter("sa <> sb").select(F.when(F.col("sa") == "valid", F.col("a")).otherwise(F.col("b")).alias("id"), F.lit("valid").alias("split"))
-            hit = inner.union(cross).distinct()
-        n = parts.groupBy("split").agg(F.count("*").alias("n"))
-        rate = n.join(hit.groupBy("split").agg(F.count("*").alias("d")), "split", "left").withColumn("percent", F.round(100.0 * F.coalesce("d", F.lit(0)) / F.col("n"), 4))
-        out.append(tidy(rate, m, "split", "% with duplicate", "percent"))
+    for corpus, docs in corpora(spark, sf_dir).items():
+        docs = cut(docs)
+        parts = docs.select(F.col("doc_id").alias("id"), F.when(md5_int(F.col("doc_id").cast("string")) % 10 == 0, "valid").otherwise("train").alias("split"))
+        for m in methods:
+            if m == "substring":
+                win = exact.token_windows(docs, 50).select("id", F.xxhash64("window", "check").alias("rep"))
+                rate = clustering.rates(spark.createDataFrame([], "a long, b long"), win.withColumn("text", F.col("id")), parts, "text")
+            else:
+                settings = SETTINGS["corpus"] | {"recall": 0.95} | (tuned_on_news(spark, sf_dir, m, preset) if m in ENCODER else {})
+                near, members = links_by(docs, m, settings, preset)
+                rate = clustering.rates(cut(near), cut(members), parts, "text")
+            out.append(tidy(rate.withColumn("s", F.concat(F.lit(f"{corpus} "), F.col("split"))), m, "s", "% with duplicate", "percent"))
+        known = exact.passage_hits(docs, read_table(spark, sf_dir, "benchmark"))
+        hit = known.agg(F.count_distinct("doc_id").alias("texts"), F.count_distinct("item_id").alias("passages"))
+        out += [tidy(hit, "passages", "", f"{corpus} {k}", k) for k in ("texts", "passages")]
     return union(out)
 
 
+def tuned_on_news(spark, sf_dir, method: str, preset: str) -> dict:
+    """Thresholds of vectors for whole corpora, chosen on the planted clusters that thresholds are chosen on."""
+    s = tuned(cut(_slice(cut(news(spark, sf_dir)), True)), method, SETTINGS["news"], preset)
+    return {k: s[k] for k in ("doc", "chunk")}
+
+
 def w_speed(spark, sf_dir, methods=("minhash 10", "minhash 256", "simhash"), preset="tiny"):
     """Documents a second of hashing or encoding, with reading, without indexing."""
     docs = read_table(spark, sf_dir, "documents")
@@ -275,19 +394,26 @@ def w_speed(spark, sf_dir, methods=("minhash 10", "minhash 256", "simhash"), pre
     return rows.select("method", F.lit("all").alias("slice"), F.lit("examples/s").alias("metric"), F.round("per_second", 1).alias("value"))
 
 
-ATTACKS = ("attack_prepend", "attack_append", "attack_foreign", "attack_typo", "attack_emoji", "attack_homoglyph", "attack_script", "attack_invisible", "attack_word_pad")
+ATTACKS = ("attack_prepend", "attack_append", "attack_interleave", "attack_foreign", "attack_typo", "attack_emoji", "attack_homoglyph", "attack_script", "attack_invisible", "attack_word_pad")
 
 
-def campaigns(spark, sf_dir, members: int = 8) -> DataFrame:
-    """(doc_id, lang, text, cluster): messages of a campaign, each changed by an attack that its number picks; toxic documents first, then opening turns."""
+def campaigns(spark, sf_dir, members: int = 27) -> DataFrame:
+    """(doc_id, lang, text, cluster): messages of a campaign, each changed by one to three attacks that its number picks; toxic documents first, then opening turns."""
     docs, labels = read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels")
     seeds = docs.join(labels.filter("toxic = 1").select("doc_id"), "doc_id").select("doc_id", "lang", F.substring("text", 1, 600).alias("text"))
     turns = read_table(spark, sf_dir, "conversations").filter("turn = 0").select((F.col("conv_id") + 10_000_000).alias("doc_id"), F.lit("en").alias("lang"), "text")
-    once = seeds.union(turns).filter("length(text) >= 16").dropDuplicates(["text"])
-    rows = once.join(F.broadcast(_lex(docs)), "lang").withColumn("cluster", F.col("doc_id")).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(members - 1))))
-    rows = rows.withColumn("doc_id", F.col("cluster") * members + F.col("copy")).withColumn("pick", F.pmod(F.xxhash64("doc_id", F.lit("attack")), F.lit(len(ATTACKS))))
-    parts = [policy.corrupt_one(rows.filter(F.col("pick") == i), name, 0.15, f"c{i}") for i, name in enumerate(ATTACKS)]
-    return made(union(parts)).join(rows.select("doc_id", "cluster"), "doc_id")
+    once = seeds.union(turns).filter("length(text) >= 16").groupBy("text").agg(F.min("doc_id").alias("cluster"), F.min("lang").alias("lang"))
+    texts = once.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(members - 1)))).select((F.col("cluster") * members + F.col("copy")).alias("doc_id"), "lang", "text", "cluster")
+    lexicon = cut(_lex(docs))
+    lexicon = F.broadcast(lexicon) if lexicon.count() <= MANY_LANGUAGES else lexicon
+    texts = cut(texts)
+    for turn in range(3):
+        rows = texts.join(lexicon, "lang").withColumn("pick", F.pmod(F.xxhash64("doc_id", F.lit(f"attack {turn}")), F.lit(len(ATTACKS))))
+        again = F.pmod(F.xxhash64("doc_id", F.lit("attacks")), F.lit(3)) >= turn  # a third of the members gets one, two, three
+        parts = [policy.corrupt_one(rows.filter(again & (F.col("pick") == i)), name, 0.15, f"c{turn}-{i}") for i, name in enumerate(ATTACKS)]
+        changed = cut(union(parts)).select("doc_id", F.col("text").alias("new"))
+        texts = cut(texts.join(changed, "doc_id", "left").withColumn("text", F.coalesce("new", "text")).drop("new"))
+    return texts.filter("length(text) > 0")
 
 
 def _lex(docs):
@@ -296,19 +422,24 @@ def _lex(docs):
     return lexicons(docs)
 
 
-def w_campaigns(spark, sf_dir, methods=("simhash",), preset="tiny", cut_at: float = 0.3, linkage: str = "average"):
-    """Homogeneity, completeness, V-measure and ARI of clusters of attacked messages."""
+CUTS = (0.1, 0.2, 0.3, 0.4)
+
+
+def w_campaigns(spark, sf_dir, methods=(*LEXICAL, "char stand-in"), preset="tiny", cuts: tuple[float, ...] = CUTS, linkages: tuple[str, ...] = ("average", "complete")):
+    """Homogeneity, completeness, V-measure and ARI of clusters of attacked messages; vectors by linkage and cut."""
     texts = cut(campaigns(spark, sf_dir))
-    truth = texts.select(F.col("doc_id").alias("id"), "cluster")
+    truth = cut(texts.select(F.col("doc_id").alias("id"), "cluster"))
     out = []
     for m in methods:
-        if m in ("simhash", "minhash"):
-            found = clustering.label_all(texts, pairs_by(texts, m, SETTINGS["news"], preset), "doc_id")
+        if m in LEXICAL:
+            runs = [("published", clustering.label_all(texts, edges_by(*links_by(texts, m, SETTINGS["news"], preset)), "doc_id"))]
         else:
-            found = clustering.agglomerative(cut(vectors_of(texts, m, preset)), linkage, cut_at, "id", "v")
-        found = cut(found)
-        v = metrics.v_measure(truth, found)
-        out += [tidy(v, m, "", k, k) for k in ("homogeneity", "completeness", "v_measure")] + [tidy(metrics.ari(truth, found), m, "", "ARI", "ari")]
+            v = cut(vectors_of(texts, m, preset))
+            runs = [(f"{how} {at}", clustering.agglomerative(v, how, at, "id", "v")) for how in linkages for at in cuts]
+        for name, found in runs:
+            found = cut(found)
+            v_m = cut(metrics.v_measure(truth, found).crossJoin(metrics.ari(truth, found)).withColumn("s", F.lit(name)))  # one row each
+            out += [tidy(v_m, m, "s", k, c) for k, c in (("homogeneity", "homogeneity"), ("completeness", "completeness"), ("v_measure", "v_measure"), ("ARI", "ari"))]
     return union(out)
 
 
@@ -317,6 +448,49 @@ def w_errors(spark, sf_dir, method: str = "minhash", preset: str = "tiny", n: in
     return metrics.error_samples(pairs_by(texts, method, SETTINGS["news"], preset), _true_pairs(texts).select("a", "b"), texts, n)
 
 
+def w_stream(spark, sf_dir, threshold: float = 0.8, batches: int = 4) -> DataFrame:
+    """Live use: documents arrive with the clock of the event of their number, in batches by time; each is compared with all that were stored before it,
+    then stored. (batch, arrived, matched): the batch form of the guard over a stored index that grows."""
+    rows = cut(guard.arrivals(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "events")).withColumn("ts", F.col("ts").cast("timestamp")))
+    ends = rows.selectExpr(f"percentile_approx(unix_micros(ts), array({', '.join(str((i + 1) / batches) for i in range(batches - 1))}), 10000) as e").first()["e"] or []
+    number = sum(((F.unix_micros("ts") > e).cast("int") for e in ends), F.lit(0))
+    rows = cut(rows.withColumn("batch", number))
+    hashed, keys = guard.build_index(rows, threshold)  # every text is signed once, when it arrives
+    hashed, keys = cut(hashed), cut(keys)
+    of = rows.select(F.col("doc_id").alias("id"), "batch")
+    out = []
+    for i in range(batches):
+        new, old = rows.filter(F.col("batch") == i), of.filter(F.col("batch") < i).select("id")
+        found = guard.near(new, hashed.join(old, "id", "left_semi"), keys.join(old, "id", "left_semi"), threshold)
+        out.append(new.agg(F.count("*").alias("arrived")).crossJoin(found.agg(F.count("*").alias("matched"))).select(F.lit(i).alias("batch"), "arrived", "matched"))  # one row each
+    return union(out)
+
+
+def c_index_cost(spark, sf_dir, preset: str = "tiny") -> DataFrame:
+    """(method, vectors_per_document, build_seconds, query_seconds): signing or encoding aside, what an index costs to write and to ask for 200 texts, doc- and chunk-level."""
+    docs, rows = read_table(spark, sf_dir, "documents"), []
+    n = docs.count()
+    for method in ("doc", "chunk"):
+        v = cut(vectors_of(docs, method, preset).select(F.xxhash64("id", "part").alias("vec_id"), F.col("v").alias("embedding")))
+        many, dim = v.count(), len(v.first()["embedding"])
+        began = time.perf_counter()
+        cells, centres = matching.ivf_build(v, max(4, min(4096, many // 64)))
+        cells = cut(cells)
+        built = time.perf_counter()
+        q = v.orderBy("vec_id").limit(200)  # the stated number of queries
+        matching.ivf_search(q, v, cells, centres, 1, 2, skip_same=False).write.format("noop").mode("overwrite").save()
+        rows.append((f"{method}, {dim} dimensions, inverted lists", many / max(1, n), built - began, time.perf_counter() - built))
+    began = time.perf_counter()
+    _, keys = guard.build_index(docs, 0.8)
+    keys = cut(keys)
+    built = time.perf_counter()
+    hashed = cut(sketches.shingle_hashes(docs))
+    asked = time.perf_counter()
+    guard.near(docs.orderBy("doc_id").limit(200), hashed, keys, 0.8).write.format("noop").mode("overwrite").save()
+    rows.append(("minhash bands", keys.count() / max(1, n), built - began, time.perf_counter() - asked))
+    return spark.createDataFrame(rows, "method string, vectors_per_document double, build_seconds double, query_seconds double")
+
+
 # ablations -----------------------------------------------------------------------------------------
 
 def ablation(spark, views: list[tuple[int, str, str]], configs: dict[str, net.Config], losses: dict[str, tuple] | None = None, steps: int = 60) -> DataFrame:

@@ -14,6 +14,7 @@ from twinsift.plans.checkpoints import ensure_checkpoint_dir
 
 by_value(__name__)
 
+RECALL = 0.9999  # of a pair right at the threshold
 SCHEMA = "ts timestamp, doc_id long, user_id long, text string"
 
 
@@ -34,13 +35,13 @@ def exact(stream: DataFrame, lateness: str = "1 hour") -> DataFrame:
 
 
 def near(batch: DataFrame, index: DataFrame, signed_index: DataFrame, threshold: float, k: int = 64) -> DataFrame:
-    """(doc_id, match, score): for each arriving text its best stored text at the threshold, if any.
+    """(doc_id, match, score): for each arriving text its best stored text at the threshold, if any; a text is no match of itself.
 
     index: (id, hashes), signed_index: (key, id) band keys as they were written. Candidates are an equi-join on band keys, verified by the sets."""
-    bands, rows = sketches.choose_bands(threshold, k)
+    bands, rows = sketches.choose_bands(threshold, k, recall=RECALL)
     hashed = sketches.shingle_hashes(batch).filter("size(hashes) > 0")
     keys = sketches.band_keys(sketches.sign_hashes(hashed, k), bands, rows)
-    met = keys.select(F.col("id").alias("a"), "key").join(signed_index.select(F.col("id").alias("b"), "key"), "key").select("a", "b").distinct()
+    met = keys.select(F.col("id").alias("a"), "key").join(signed_index.select(F.col("id").alias("b"), "key"), "key").filter("a <> b").select("a", "b").distinct()
     left, right = hashed.select(F.col("id").alias("a"), F.col("hashes").alias("ha")), index.select(F.col("id").alias("b"), F.col("hashes").alias("hb"))
     same = F.size(F.array_intersect("ha", "hb"))
     scored = met.join(left, "a").join(right, "b").withColumn("score", F.try_divide(same, F.size("ha") + F.size("hb") - same)).filter(F.col("score") >= threshold)
@@ -50,7 +51,7 @@ def near(batch: DataFrame, index: DataFrame, signed_index: DataFrame, threshold:
 
 def build_index(docs: DataFrame, threshold: float, k: int = 64) -> tuple[DataFrame, DataFrame]:
     """Sets and band keys of stored texts, for `near`."""
-    bands, rows = sketches.choose_bands(threshold, k)
+    bands, rows = sketches.choose_bands(threshold, k, recall=RECALL)
     hashed = sketches.shingle_hashes(docs).filter("size(hashes) > 0")
     return hashed, sketches.band_keys(sketches.sign_hashes(hashed, k), bands, rows)
 
