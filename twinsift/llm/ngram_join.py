@@ -245,7 +245,7 @@ def salted(keys: np.ndarray, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = SHINGLE, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
-    """(key, salt, number, n): the index rows of every distinct set. A task writes those of equal sets once. Salt -1 stands for the unsalted copy of a salted row."""
+    """(key, salt, number, n): the index rows of every distinct set. A task writes those of equal sets once. The unsalted copy of a salted row has its n negative."""
 
     def run(batches):
         shingler, seen = Shingler(size), set()
@@ -271,8 +271,9 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = S
                 key, number, n = np.concatenate(keys).view(np.int64), np.repeat(np.array(numbers, np.int64), lens), np.repeat(np.array(sizes, np.int32), lens)
                 salt, plain = salted(key, number)
                 every = np.concatenate([np.arange(len(key)), plain])
-                salt = np.concatenate([salt, np.full(len(plain), -1, np.int32)])
-                yield pa.RecordBatch.from_arrays([pa.array(key[every]), pa.array(salt), pa.array(number[every]), pa.array(n[every])], names=["key", "salt", "number", "n"])
+                salt = np.concatenate([salt, np.zeros(len(plain), np.int32)])
+                n = np.concatenate([n, -n[plain]])
+                yield pa.RecordBatch.from_arrays([pa.array(key[every]), pa.array(salt), pa.array(number[every]), pa.array(n)], names=["key", "salt", "number", "n"])
 
     return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "key long, salt int, number long, n int")
 
@@ -411,12 +412,13 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     sizes = {r["band"]: r["sets"] for r in sets.groupBy(edge.alias("band")).agg(F.count("*").alias("sets")).collect()}
     plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), numer=numer, denom=denom) for b in range(len(EDGES) - 1)]
 
-    met = Window.partitionBy("key", F.greatest("salt", F.lit(0)))
+    met = Window.partitionBy("key", "salt")
     rows = index_rows(docs, plans, size, numer, denom).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
-    rows = cut(rows.filter("pivot <> last or salt <> 0").select("key", "salt", "number", "n", "pivot"))
+    parted = (F.col("salt") > 0) | (F.col("n") < 0)
+    rows = cut(rows.filter((F.col("pivot") != F.col("last")) | parted).select("key", parted.alias("parted"), "number", F.abs("n").alias("n"), "pivot"))
 
     sketches = sets.select("number", "n", "sketch")
-    groups = rows.filter("salt <> 0").select("key", F.col("pivot").alias("y")).distinct()  # what salting has parted meets again through the smallest of all
+    groups = rows.filter("parted").select("key", F.col("pivot").alias("y")).distinct()  # what salting has parted meets again through the smallest of all
     least = groups.groupBy("key").agg(F.min("y").alias("x"), F.max("y").alias("z")).filter("x <> z").select("key", "x")
     star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).union(groups.join(least, "key").filter("x <> y").select("x", "y")).distinct()
     tested = _near(star, sketches, numer, denom)
