@@ -54,6 +54,7 @@ BITS = 1024
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
 SLICES = 1024  # in which sets without an id are numbered
+TOP = 57  # the salt's lowest bit in a place
 HOT, SALTS = 64, 64  # a key that so many sets of a run of 2 MB of text share is dealt over so many groups
 RUN = 1 << 18  # bytes of text whose hashes are computed at a time
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -245,7 +246,9 @@ def salted(keys: np.ndarray, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = SHINGLE, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
-    """(key, salt, number, n): the index rows of every distinct set. A task writes those of equal sets once. The unsalted copy of a salted row has its n negative."""
+    """(place, number, n): the index rows of every distinct set. A task writes those of equal sets once.
+
+    A row's place is its key with the salt in the highest bits; the salt also stands above the 32 bits of n, so the key can be had again. The unsalted copy of a salted row has its n negative."""
 
     def run(batches):
         shingler, seen = Shingler(size), set()
@@ -271,11 +274,11 @@ def index_rows(docs: DataFrame, plans: list[tuple[int, int, int]], size: int = S
                 key, number, n = np.concatenate(keys).view(np.int64), np.repeat(np.array(numbers, np.int64), lens), np.repeat(np.array(sizes, np.int32), lens)
                 salt, plain = salted(key, number)
                 every = np.concatenate([np.arange(len(key)), plain])
-                salt = np.concatenate([salt, np.zeros(len(plain), np.int32)])
-                n = np.concatenate([n, -n[plain]])
-                yield pa.RecordBatch.from_arrays([pa.array(key[every]), pa.array(salt), pa.array(number[every]), pa.array(n)], names=["key", "salt", "number", "n"])
+                salt = np.concatenate([salt, np.zeros(len(plain), np.int32)]).astype(np.int64)
+                n = np.concatenate([n, -n[plain]]).astype(np.int64) + (salt << 32)
+                yield pa.RecordBatch.from_arrays([pa.array(key[every] ^ (salt << TOP)), pa.array(number[every]), pa.array(n)], names=["place", "number", "n"])
 
-    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "key long, salt int, number long, n int")
+    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "place long, number long, n long")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFrame:
@@ -302,7 +305,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFram
     rows = found.mapInArrow(run, "number long, check long, set binary")
     if bare:
         rows = rows.join(wanted.select("number", "check"), ["number", "check"], "left_semi")
-    return rows.dropDuplicates(["number", "check"])
+    return rows.repartition("number").dropDuplicates(["number", "check"])  # dealt as the joins that follow ask for
 
 
 def verify(pairs: DataFrame, sets: DataFrame, numer: int = NUMER, denom: int = DENOM) -> DataFrame:
@@ -412,10 +415,12 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     sizes = {r["band"]: r["sets"] for r in sets.groupBy(edge.alias("band")).agg(F.count("*").alias("sets")).collect()}
     plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), numer=numer, denom=denom) for b in range(len(EDGES) - 1)]
 
-    met = Window.partitionBy("key", "salt")
+    met = Window.partitionBy("place")
     rows = index_rows(docs, plans, size, numer, denom).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
-    parted = (F.col("salt") > 0) | (F.col("n") < 0)
-    rows = cut(rows.filter((F.col("pivot") != F.col("last")) | parted).select("key", parted.alias("parted"), "number", F.abs("n").alias("n"), "pivot"))
+    salt = F.greatest(F.shiftright("n", 32), F.lit(0).cast("long"))
+    parted = (F.col("n") < 0) | (salt > 0)
+    key = F.col("place").bitwiseXOR(F.shiftleft(salt, TOP))
+    rows = cut(rows.filter((F.col("pivot") != F.col("last")) | parted).select(key.alias("key"), parted.alias("parted"), "number", F.abs(F.col("n") - F.shiftleft(salt, 32)).alias("n"), "pivot"))
 
     sketches = sets.select("number", "n", "sketch")
     groups = rows.filter("parted").select("key", F.col("pivot").alias("y")).distinct()  # what salting has parted meets again through the smallest of all
