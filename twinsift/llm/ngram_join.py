@@ -49,7 +49,7 @@ by_value(__name__)
 SHINGLE = 4  # words, unless the caller of jaccard_components says otherwise; so is the threshold
 NUMER, DENOM = 85, 100  # the threshold as a fraction
 BAND_RATIO = 1.4
-COMMON = 0.1  # share of shingles that two unrelated sets are taken to have in common, for the cost estimate only
+COMMON = 0.1  # share of four-word shingles that two unrelated sets are taken to have in common, a tenth of it for each word more; for the cost estimate only
 BITS = 1024
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
@@ -413,7 +413,7 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     for e in EDGES[1:].tolist():
         edge = edge + (F.col("n") >= e).cast("int")
     sizes = {r["band"]: r["sets"] for r in sets.groupBy(edge.alias("band")).agg(F.count("*").alias("sets")).collect()}
-    plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), numer=numer, denom=denom) for b in range(len(EDGES) - 1)]
+    plans = [plan_band(b, sizes.get(b, 0) + sizes.get(b + 1, 0), min(0.5, COMMON ** (size - 3)), numer, denom) for b in range(len(EDGES) - 1)]
 
     met = Window.partitionBy("place")
     rows = index_rows(docs, plans, size, numer, denom).withColumn("pivot", F.min("number").over(met)).withColumn("last", F.max("number").over(met))
