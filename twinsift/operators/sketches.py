@@ -127,7 +127,7 @@ def exact_pairs(hashed: DataFrame, pairs: DataFrame, threshold: float) -> DataFr
 
 def classes(hashed: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Equal sets as one: (id, hashes) of the smallest id of each, and (id, rep) of every row. Two 64-bit hashes tell sets apart."""
-    hashed = cut(hashed.filter("size(hashes) > 0").select("id", F.array_sort("hashes").alias("hashes")))
+    hashed = cut(hashed.filter("size(hashes) > 0").select("id", F.sort_array("hashes").alias("hashes")))
     marks = [F.xxhash64("hashes").alias("mark"), F.xxhash64(F.lit("check"), "hashes").alias("check")]
     reps = cut(hashed.select("id", "hashes", *marks).groupBy("mark", "check").agg(F.min("id").alias("rep"), F.first("hashes").alias("hashes")))
     members = hashed.select("id", *marks).join(reps.select("mark", "check", "rep"), ["mark", "check"]).select("id", "rep")
