@@ -409,6 +409,42 @@ def test_ngram_plan_is_lossless():
             assert one + 2 * two == h + room >= h + 1
 
 
+def test_ngram_sketches_bound_the_difference():
+    """Sketches of any two lengths differ, at the shorter one, in no more bits than the sets in elements; wide ones tell unrelated long sets apart."""
+    rng = np.random.default_rng(6)
+    for m, n, common in ((900, 1100, 800), (1025, 2049, 900), (4000, 5000, 3900), (3000, 3100, 0), (80_000, 70_000, 60_000)):
+        values = rng.integers(0, 1 << 63, m + n - common).astype(np.uint64)
+        sets = values[:m], values[m - common :]
+        wide = [np.frombuffer(ngram_join.wide_parity(v) or ngram_join.parity(v), np.uint64)[None] for v in sets]
+        words = min(w.shape[1] for w in wide)
+        apart = int(np.bitwise_count(ngram_join.folded(wide[0], words) ^ ngram_join.folded(wide[1], words)).sum())
+        assert apart <= m + n - 2 * common
+        if not common:
+            assert apart > ngram_join.most_apart(m, n, 80, 100)
+        narrow = ngram_join.folded(wide[0], ngram_join.BITS // 64)
+        assert narrow.tobytes() == ngram_join.parity(sets[0])
+
+
+def test_ngram_join_of_long_texts(spark):
+    """Texts whose sets have sketches of several lengths, around the threshold, and ones that share only a passage."""
+    rnd = random.Random(61)
+    passage = [f"p{k}" for k in range(900)]
+    texts = []
+    for n in (1010, 1022, 2040, 3000):
+        base = [f"b{n}x{k}" for k in range(n)]
+        texts.append(" ".join(passage + base))
+        for changes in (0, 1, 20, 36, 39, 42, 46, 60, 75, 79, 84, 90, 125):
+            own = list(base)
+            for _ in range(changes):
+                own[rnd.randrange(n)] = f"y{rnd.random()}"
+            texts.append(" ".join(own + [f"z{k}" for k in range(changes // 3)]))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    rows = [(i, shingles(t)) for i, t in enumerate(texts)]
+    truth = brute_components(rows, lambda x, y: 100 * len(x & y) >= 85 * len(x | y))
+    assert {r.doc_id: r.component_id for r in ngram_join.jaccard_components(df).collect()} == truth
+    assert 4 < len(set(truth.values())) < len(texts)
+
+
 @pytest.mark.parametrize("plan", [(8, 0, 2), (0, 4, 2), (4, 3, 4)])
 def test_ngram_keys_meet(plan):
     rng = np.random.default_rng(5)

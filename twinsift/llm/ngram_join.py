@@ -17,8 +17,8 @@ a large group of copies never becomes all its pairs: first each member with the
 smallest of its bucket; what the verified links connect is one part. Then, in buckets
 where several parts meet, the nearest pairs that would join them (a spanning forest, fewer than parts).
 Last, in buckets where parts are still apart, all their pairs that have not been compared yet. Before
-exact verification a parity sketch (BITS bits, one flipped for each shingle) gives a lower bound of the
-difference, so it drops pairs but never a link.
+exact verification a parity sketch (one bit flipped for each shingle; BITS bits, and in pairs at least a bit for
+each shingle up to WIDE_BITS) gives a lower bound of the difference, so it drops pairs but never a link.
 
 A key that a run of documents holds often is written with a salt, so that no task has to take all rows of a common key, and one
 row of the run stays without; salted groups are joined through their smallest members.
@@ -36,6 +36,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -51,6 +52,7 @@ NUMER, DENOM = 85, 100  # the threshold as a fraction
 BAND_RATIO = 1.4
 COMMON = 0.1  # share of four-word shingles that two unrelated sets are taken to have in common, a tenth of it for each word more; for the cost estimate only
 BITS = 1024
+WIDE_BITS = 1 << 16  # of the widest sketch; it has a bit for each shingle of a set up to that, and tells longer sets apart less well
 BROADCAST_IDS = 1_000_000  # 8 MB of ids
 BUCKET = 1500
 SLICES = 1024  # in which sets without an id are numbered
@@ -209,27 +211,41 @@ def check_of(values: np.ndarray) -> int:
     return number_of(values ^ np.uint64(0xA5A5A5A55A5A5A5A), 0x7654321)
 
 
-def parity(values: np.ndarray) -> bytes:
+def parity(values: np.ndarray, bits: int = BITS) -> bytes:
     """One bit flipped for each shingle: sketches of two sets differ in no more bits than the sets in elements."""
-    odd = np.bincount((values % np.uint64(BITS)).astype(np.int64), minlength=BITS) & 1
+    odd = np.bincount((values % np.uint64(bits)).astype(np.int64), minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8)).tobytes()
 
 
+def wide_parity(values: np.ndarray) -> bytes | None:
+    """A parity sketch with a bit or more for each shingle, for sets of more than BITS shingles: there BITS bits tell nothing any more."""
+    return parity(values, min(WIDE_BITS, 1 << (len(values) - 1).bit_length())) if len(values) > BITS else None
+
+
+def folded(sketches: np.ndarray, words: int) -> np.ndarray:
+    """Parity sketches (a row each) brought down to this many 64-bit words, a power of two: the halves' exclusive or is the sketch of half the bits."""
+    while sketches.shape[1] > words:
+        half = sketches.shape[1] // 2
+        sketches = sketches[:, :half] ^ sketches[:, half:]
+    return sketches
+
+
 def describe(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """doc_id, n, number, check, sketch of each document's set; the last three are null for an empty set."""
+    """doc_id, n, number, check, sketch, wide of each document's set; all but the first two are null for an empty set, and wide for sets of up to BITS shingles."""
 
     def run(batches):
         shingler = Shingler(size)
         for piece in slices(batches, 2 << 20):
-            n, number, check, sketch = [], [], [], []
+            n, number, check, sketch, wide = [], [], [], [], []
             for values in shingler.shingle_sets(*text_bytes(piece.column(1))):
                 n.append(len(values))
                 number.append(number_of(values) if len(values) else None)
                 check.append(check_of(values) if len(values) else None)
                 sketch.append(parity(values) if len(values) else None)
-            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(number, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary())], names=["doc_id", "n", "number", "check", "sketch"])
+                wide.append(wide_parity(values))
+            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(n, pa.int64()), pa.array(number, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary()), pa.array(wide, pa.binary())], names=["doc_id", "n", "number", "check", "sketch", "wide"])
 
-    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, n long, number long, check long, sketch binary")
+    return docs.select(docs["doc_id"].cast("long"), docs["text"]).mapInArrow(run, "doc_id long, n long, number long, check long, sketch binary, wide binary")
 
 
 def salted(keys: np.ndarray, numbers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -408,7 +424,7 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     small_batches(docs.sparkSession)
     described = cut(describe(docs, size))
     full = described.filter("n > 0")
-    sets = cut(full.groupBy("number", "check", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch")))
+    sets = cut(full.groupBy("number", "check", "n").agg(F.min("doc_id").alias("node"), F.first("sketch").alias("sketch"), F.first("wide").alias("wide")))
     edge = F.lit(0)
     for e in EDGES[1:].tolist():
         edge = edge + (F.col("n") >= e).cast("int")
@@ -422,7 +438,7 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
     key = F.col("place").bitwiseXOR(F.shiftleft(salt, TOP))
     rows = cut(rows.filter((F.col("pivot") != F.col("last")) | parted).select(key.alias("key"), parted.alias("parted"), "number", F.abs(F.col("n") - F.shiftleft(salt, 32)).alias("n"), "pivot"))
 
-    sketches = sets.select("number", "n", "sketch")
+    sketches = sets.select("number", "n", "sketch", "wide")
     groups = rows.filter("parted").select("key", F.col("pivot").alias("y")).distinct()  # what salting has parted meets again through the smallest of all
     least = groups.groupBy("key").agg(F.min("y").alias("x"), F.max("y").alias("z")).filter("x <> z").select("key", "x")
     star = rows.filter("number <> pivot").select(F.col("pivot").alias("x"), F.col("number").alias("y")).union(groups.join(least, "key").filter("x <> y").select("x", "y")).distinct()
@@ -432,8 +448,8 @@ def jaccard_components(docs: DataFrame, size: int = SHINGLE, numer: int = NUMER,
         parts = components(links.select(F.col("x").alias("a"), F.col("y").alias("b")))
         labelled = rows.join(parts.select(F.col("id").alias("number"), F.col("component").alias("part")), "number", "left").withColumn("part", F.coalesce("part", "number"))
         mixed = labelled.select("key", "number", "n", "part").distinct()
-        more = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest, numer, denom).join(tested, ["x", "y"], "left_anti"))
-        links, tested = links.union(_links(docs, more, sets, size, numer, denom)), tested.union(more)
+        found = cut(pairs_across(mixed, sketches.select("number", "sketch"), forest, numer, denom).join(tested, ["x", "y"], "left_anti"))
+        links, tested = links.union(_links(docs, _near(found, sketches, numer, denom), sets, size, numer, denom)), tested.union(found)
 
     # a set without an id of its own gets a number below all ids that are there
     nodes = sets.select("number", "check", "n", "node")
@@ -468,13 +484,17 @@ def _near(pairs: DataFrame, sketches: DataFrame, numer: int, denom: int) -> Data
         for batch in batches:
             if not batch.num_rows:
                 continue
-            a, b = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint64).reshape(batch.num_rows, -1) for c in (4, 5))
-            apart = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
+            apart = np.zeros(batch.num_rows, np.int64)
+            bytes_x, bytes_y = (pc.binary_length(batch.column(c)).to_numpy(zero_copy_only=False) for c in (4, 5))
+            for kind in set(zip(bytes_x.tolist(), bytes_y.tolist(), strict=True)):  # sketches of two lengths are compared at the shorter one
+                at = np.flatnonzero((bytes_x == kind[0]) & (bytes_y == kind[1]))
+                a, b = (folded(np.frombuffer(b"".join(batch.column(c).take(pa.array(at)).to_pylist()), np.uint64).reshape(len(at), -1), min(kind) // 8) for c in (4, 5))
+                apart[at] = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
             keep = apart * (denom + numer) <= (batch.column(2).to_numpy() + batch.column(3).to_numpy()) * (denom - numer)
             yield batch.select([0, 1]).filter(pa.array(keep))
 
-    one = sketches.select(F.col("number").alias("x"), F.col("n").alias("nx"), F.col("sketch").alias("sx"))
-    two = sketches.select(F.col("number").alias("y"), F.col("n").alias("ny"), F.col("sketch").alias("sy"))
+    one = sketches.select(F.col("number").alias("x"), F.col("n").alias("nx"), F.coalesce("wide", "sketch").alias("sx"))
+    two = sketches.select(F.col("number").alias("y"), F.col("n").alias("ny"), F.coalesce("wide", "sketch").alias("sy"))
     both = pairs.join(one, "x").join(two, "y").filter(f"least(nx, ny) * {denom} >= greatest(nx, ny) * {numer}")
     return cut(both.select("x", "y", "nx", "ny", "sx", "sy").mapInArrow(run, "x long, y long"))
 
