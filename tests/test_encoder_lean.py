@@ -75,3 +75,9 @@ def test_inverted_lists_ship_probed_cells_only(spark, monkeypatch):
     monkeypatch.setattr(matching, "_search", lambda q, t, *a, **k: shipped.append(t.count()) or real(q, t, *a, **k))
     found, _ = matching.ivf_search(e.filter("vec_id < 2"), e, cells, centres, 1, 2, skip_same=False)
     assert {r.query_id: r.target_id for r in found.collect()} == {0: 0, 1: 1} and shipped[0] < 150
+
+
+def test_texts_are_dealt_over_all_cores(spark):
+    docs = read_table(spark, SF, "documents").coalesce(2)
+    dealt = w.spread(docs)
+    assert dealt.rdd.getNumPartitions() == 4 * spark.sparkContext.defaultParallelism and dealt.count() == docs.count()
