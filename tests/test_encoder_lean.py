@@ -29,6 +29,20 @@ def test_lean_encoder_is_forward_of_each_text_alone(trained):
     assert np.abs(net.encode(weights, c, TEXTS[::-1], batch=3)[::-1] - want).max() < 2e-6
 
 
+@pytest.mark.parametrize("trained", [True, False])
+def test_encoder_of_a_task_looks_up_the_first_block_of_full_chunks(trained, monkeypatch):
+    weights, c = api.model("tiny", trained)
+    rnd = np.random.default_rng(3)
+    texts = ["".join(map(chr, rnd.integers(1, 256, c.chunk))) for _ in range(9)] + TEXTS + ["x" * 127 + "\u0100"]
+    want = np.array([alone(weights, c, t) for t in texts])
+    ready, gates = net.lean(weights, c), []
+    assert np.abs(net.encode(weights, c, texts, ready=ready) - want).max() < 2e-6
+    real = ready._gates
+    monkeypatch.setattr(ready, "_gates", lambda i, *a: gates.append(i) or real(i, *a))
+    assert np.abs(net.encode(weights, c, texts[:9], ready=ready) - want[:9]).max() < 2e-6
+    assert set(gates) == {1}
+
+
 def test_vectors_of_texts(spark):
     weights, c = api.model("tiny")
     docs = spark.createDataFrame([(1, "ab" * 200), (2, ""), (3, None)], "doc_id long, text string")
