@@ -60,3 +60,10 @@ def test_sweep_counts_those_pairs(spark, name):
     marked = scored.join(one, "a").join(two, "b").select("score", (F.col("ca") == F.col("cb")).cast("long").alias("truth"))
     want = matching.sweep(marked, grid, w._true_pairs(texts).count()).collect()
     assert sorted(w.swept(texts, name, w.SETTINGS["news"]).collect()) == sorted(want)
+
+
+def test_thresholds_are_those_of_all_clusters(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(w, "swept", lambda texts, *_: seen.append(texts) or spark.createDataFrame([(0.5, 1.0, 1.0, 1.0)], "threshold double, precision double, recall double, f1 double"))
+    w.w_thresholds(spark, SF, ("minhash",)).collect()
+    assert sorted(map(tuple, seen[0].collect())) == sorted(map(tuple, w.news(spark, SF).collect()))
